@@ -43,8 +43,27 @@ def op8_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
     return out.select("doc_id", "size", "text_crc32", F.lit("rows").alias("law"), "shard", "slot", F.lit(None).cast("int").alias("grown_shard"), "source")
 
 
+def op1_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    import public_tokenizers
+
+    from padgrad.llm.packing import pack_documents
+
+    return pack_documents(_table(spark, sf_dir, "documents"), public_tokenizers.path("byte_bpe_50k.json"), end_id=1)
+
+
+def op5_token_files(spark: SparkSession, sf_dir: str) -> DataFrame:
+    import public_tokenizers
+
+    from padgrad.llm.token_files import read_token_files, write_token_files
+    from padgrad.shared import fresh_path
+
+    folder = fresh_path(spark, "token-ids")
+    files = write_token_files(_table(spark, sf_dir, "documents"), folder, public_tokenizers.path("word_bpe_49k.json"), end_id=2, space_joins=False)
+    return read_token_files(spark, folder, files)
+
+
 def queries() -> dict:
-    return {"op3_line_dedup": op3_line_dedup, "op8_sharding": op8_sharding}
+    return {"op1_packing": op1_packing, "op3_line_dedup": op3_line_dedup, "op5_token_files": op5_token_files, "op8_sharding": op8_sharding}
 
 
 def oracle_sql() -> dict:
