@@ -62,8 +62,14 @@ def op5_token_files(spark: SparkSession, sf_dir: str) -> DataFrame:
     return read_token_files(spark, folder, files)
 
 
+def op10_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from padgrad.llm.near_dedup import near_duplicates
+
+    return near_duplicates(_table(spark, sf_dir, "documents"), percent=85)
+
+
 def queries() -> dict:
-    return {"op1_packing": op1_packing, "op3_line_dedup": op3_line_dedup, "op5_token_files": op5_token_files, "op8_sharding": op8_sharding}
+    return {"op1_packing": op1_packing, "op3_line_dedup": op3_line_dedup, "op5_token_files": op5_token_files, "op8_sharding": op8_sharding, "op10_near_dedup": op10_near_dedup}
 
 
 def oracle_sql() -> dict:
