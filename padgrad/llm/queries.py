@@ -62,6 +62,13 @@ def op5_token_files(spark: SparkSession, sf_dir: str) -> DataFrame:
     return read_token_files(spark, folder, files)
 
 
+def op9_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from padgrad.llm.decontamination import find_leaks
+
+    leaks = find_leaks(_table(spark, sf_dir, "documents"), _table(spark, sf_dir, "benchmark"))
+    return leaks.withColumn("similarity", F.round("similarity", 6))
+
+
 def op10_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     from padgrad.llm.near_dedup import near_duplicates
 
@@ -69,7 +76,7 @@ def op10_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict:
-    return {"op1_packing": op1_packing, "op3_line_dedup": op3_line_dedup, "op5_token_files": op5_token_files, "op8_sharding": op8_sharding, "op10_near_dedup": op10_near_dedup}
+    return {"op1_packing": op1_packing, "op3_line_dedup": op3_line_dedup, "op5_token_files": op5_token_files, "op8_sharding": op8_sharding, "op9_decontamination": op9_decontamination, "op10_near_dedup": op10_near_dedup}
 
 
 def oracle_sql() -> dict:

@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from pyspark.sql import Column
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 UPPER, LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
@@ -35,3 +35,12 @@ def id_key(doc_id: Column) -> Column:
 def words_of(text: Column) -> Column:
     """Words ``[^\\x20\\x09-\\x0D]+`` of the text with A-Z lower-cased, as an array."""
     return F.filter(F.split(ascii_lower(F.coalesce(text, F.lit(""))), "[ \\x09-\\x0D]+", -1), lambda w: w != "")
+
+
+#: Rows of narrow id tables that may be broadcast (about 24 bytes each); a larger one is shuffled.
+BROADCAST_ROWS = 2_000_000
+
+
+def sized(ids: DataFrame, most: int = BROADCAST_ROWS) -> DataFrame:
+    """``ids`` with a broadcast hint if it has at most ``most`` rows, else to be joined by a shuffle."""
+    return F.broadcast(ids) if ids.limit(most + 1).count() <= most else ids.hint("merge")
