@@ -62,6 +62,14 @@ def op5_token_files(spark: SparkSession, sf_dir: str) -> DataFrame:
     return read_token_files(spark, folder, files)
 
 
+def op2_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from padgrad.llm.quality import held_out, score_quality
+
+    docs = _table(spark, sf_dir, "documents").select("doc_id", "text")
+    scored = score_quality(docs, _table(spark, sf_dir, "labels").select("doc_id", "quality"))
+    return scored.select("doc_id", held_out(F.col("doc_id")).alias("held_out"), F.col("quality_score").alias("score"), (F.col("quality_score") >= 0.3).cast("int").alias("predicted"))
+
+
 def op9_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
     from padgrad.llm.decontamination import find_leaks
 
@@ -76,7 +84,7 @@ def op10_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict:
-    return {"op1_packing": op1_packing, "op3_line_dedup": op3_line_dedup, "op5_token_files": op5_token_files, "op8_sharding": op8_sharding, "op9_decontamination": op9_decontamination, "op10_near_dedup": op10_near_dedup}
+    return {"op1_packing": op1_packing, "op2_quality": op2_quality, "op3_line_dedup": op3_line_dedup, "op5_token_files": op5_token_files, "op8_sharding": op8_sharding, "op9_decontamination": op9_decontamination, "op10_near_dedup": op10_near_dedup}
 
 
 def oracle_sql() -> dict:
