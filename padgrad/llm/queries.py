@@ -70,6 +70,12 @@ def op2_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     return scored.select("doc_id", held_out(F.col("doc_id")).alias("held_out"), F.col("quality_score").alias("score"), (F.col("quality_score") >= 0.3).cast("int").alias("predicted"))
 
 
+def op4_main_text(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from padgrad.llm.main_text import extract_main_text
+
+    return extract_main_text(_table(spark, sf_dir, "pages"))
+
+
 def op6_fingerprint(spark: SparkSession, sf_dir: str) -> DataFrame:
     from padgrad.llm.fingerprint import fingerprint_edits
 
@@ -90,7 +96,7 @@ def op10_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict:
-    return {"op1_packing": op1_packing, "op2_quality": op2_quality, "op3_line_dedup": op3_line_dedup, "op5_token_files": op5_token_files, "op6_fingerprint": op6_fingerprint, "op8_sharding": op8_sharding, "op9_decontamination": op9_decontamination, "op10_near_dedup": op10_near_dedup}
+    return {"op1_packing": op1_packing, "op2_quality": op2_quality, "op3_line_dedup": op3_line_dedup, "op4_main_text": op4_main_text, "op5_token_files": op5_token_files, "op6_fingerprint": op6_fingerprint, "op8_sharding": op8_sharding, "op9_decontamination": op9_decontamination, "op10_near_dedup": op10_near_dedup}
 
 
 def oracle_sql() -> dict:
