@@ -82,6 +82,14 @@ def op6_fingerprint(spark: SparkSession, sf_dir: str) -> DataFrame:
     return fingerprint_edits(_table(spark, sf_dir, "documents").select("doc_id", "text"))
 
 
+def op7_context_tree(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from padgrad.llm.context_tree import score_texts
+
+    out = F.coalesce(F.crc32(F.col("doc_id").cast("string").cast("binary")) % 7 == 2, F.lit(False))
+    scored = score_texts(_table(spark, sf_dir, "documents").select("doc_id", "text"), ~out)
+    return scored.select("doc_id", (~F.col("trained")).alias("held_out"), "n_tokens", "n_known", "train_tokens", "base_score", "score")
+
+
 def op9_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
     from padgrad.llm.decontamination import find_leaks
 
@@ -96,7 +104,7 @@ def op10_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict:
-    return {"op1_packing": op1_packing, "op2_quality": op2_quality, "op3_line_dedup": op3_line_dedup, "op4_main_text": op4_main_text, "op5_token_files": op5_token_files, "op6_fingerprint": op6_fingerprint, "op8_sharding": op8_sharding, "op9_decontamination": op9_decontamination, "op10_near_dedup": op10_near_dedup}
+    return {"op1_packing": op1_packing, "op2_quality": op2_quality, "op3_line_dedup": op3_line_dedup, "op4_main_text": op4_main_text, "op5_token_files": op5_token_files, "op6_fingerprint": op6_fingerprint, "op7_context_tree": op7_context_tree, "op8_sharding": op8_sharding, "op9_decontamination": op9_decontamination, "op10_near_dedup": op10_near_dedup}
 
 
 def oracle_sql() -> dict:
