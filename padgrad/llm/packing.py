@@ -38,6 +38,8 @@ class PackCost:
 
     def __init__(self, window: int = 2048, sentence_cut: int = 4, hard_cut: int = 24, per_window: int = 16, hard_step: int = 32):
         self.window, self.sentence_cut, self.hard_cut, self.per_window, self.hard_step = window, sentence_cut, hard_cut, per_window, hard_step
+        #: Lengths that need no padding; shorter powers of two save less than a window costs.
+        self.unpadded = [2**k for k in range(7, window.bit_length()) if 2**k <= window]
 
 
 def cut_points(total: int, doc_ends: np.ndarray, sentence_ends: np.ndarray, cost: PackCost) -> tuple[np.ndarray, np.ndarray]:
@@ -49,7 +51,7 @@ def cut_points(total: int, doc_ends: np.ndarray, sentence_ends: np.ndarray, cost
     gaps = np.diff(soft)
     wide = np.flatnonzero(gaps > 2 * cost.hard_step)
     hard = [np.arange(soft[k] + cost.hard_step, soft[k + 1], cost.hard_step) for k in wide]
-    ends = total - 2 ** np.arange(0, max(1, cost.window.bit_length()))
+    ends = total - np.array(cost.unpadded, np.int64)
     hard.append(ends[ends > 0])
     points = np.unique(np.concatenate([soft, *hard]))
     fee = np.full(len(points), cost.hard_cut, np.int64)
@@ -63,12 +65,12 @@ def best_cuts(points: np.ndarray, fee: np.ndarray, cost: PackCost) -> list[int]:
     """Indexes into ``points`` of the window borders, from 0 to the last, at least total cost."""
     n, w = len(points), cost.window
     # borders of unpadded windows: pairs (j, i) with p[j] - p[i] a power of two
-    free: dict[int, list[int]] = {}
-    for k in range(w.bit_length()):
-        at = np.searchsorted(points, points - 2**k)
-        hit = np.flatnonzero((points >= 2**k) & (points[np.minimum(at, n - 1)] == points - 2**k))
+    free: list[tuple | None] = [None] * n
+    for size in cost.unpadded:
+        at = np.searchsorted(points, points - size)
+        hit = np.flatnonzero((points >= size) & (points[at] == points - size))
         for j, i in zip(hit.tolist(), at[hit].tolist(), strict=True):
-            free.setdefault(j, []).append(i)
+            free[j] = (*free[j], i) if free[j] else (i,)
     p, c = points.tolist(), (fee + cost.per_window).tolist()
     f, back = [0] * n, [0] * n
     keys, queue = [0] * n, deque([0])
@@ -78,7 +80,7 @@ def best_cuts(points: np.ndarray, fee: np.ndarray, cost: PackCost) -> list[int]:
             queue.popleft()
         i = queue[0]
         best = keys[i] + w - pj
-        if j in free:
+        if free[j]:
             for a in free[j]:
                 if f[a] < best:
                     best, i = f[a], a

@@ -33,7 +33,7 @@ def byte_chars() -> list[str]:
 class PieceTokenizer:
     """``space_joins``: a space belongs to the word after it (byte-level) or is dropped (word-end)."""
 
-    def __init__(self, path: str, space_joins: bool, max_pieces: int = 250_000):
+    def __init__(self, path: str, space_joins: bool, max_pieces: int = 600_000):
         from tokenizers import Tokenizer
 
         self.tok = Tokenizer.from_file(path)
@@ -53,10 +53,10 @@ class PieceTokenizer:
                 self[piece] = k = owner._add(piece)
                 return k
 
-        self.old = (self.index, self.flat, self.first, self.count, self.lead, self.tail) if self.index else None
+        self.old = (self.index, self.flat, self.ends, {*self.lead}, {*self.tail}) if self.index else None
         self.index, self.parts = Index(), {}
-        self.flat, self.first, self.count = array("I"), array("q"), array("q")
-        self.lead, self.tail = bytearray(), bytearray()
+        self.flat, self.ends = array("I"), array("q", [0])  # the ids of piece k: flat[ends[k] : ends[k + 1]]
+        self.lead, self.tail = [], []  # pieces that begin or end with white space
 
     def _model(self, s: str) -> list[int]:
         if not self.space_joins:
@@ -72,20 +72,25 @@ class PieceTokenizer:
 
     def _known(self, word: str):
         k = self.index[word]
-        return self.flat[self.first[k] : self.first[k] + self.count[k]]
+        return self.flat[self.ends[k] : self.ends[k + 1]]
 
-    def _push(self, ids, lead: bool, tail: bool) -> int:
-        self.first.append(len(self.flat))
-        self.count.append(len(ids))
+    def _push(self, ids) -> int:
         self.flat.extend(ids)
-        self.lead.append(lead)
-        self.tail.append(tail)
-        return len(self.first) - 1
+        self.ends.append(len(self.flat))
+        return len(self.ends) - 2
+
+    def _edge(self, ids, lead: bool, tail: bool) -> int:
+        k = self._push(ids)
+        if lead:
+            self.lead.append(k)
+        if tail:
+            self.tail.append(k)
+        return k
 
     def _add(self, piece: str) -> int:
         if self.old and (k := self.old[0].get(piece)) is not None:
-            _, flat, first, count, lead, tail = self.old
-            return self._push(flat[first[k] : first[k] + count[k]], lead[k], tail[k])
+            _, flat, ends, lead, tail = self.old
+            return self._edge(flat[ends[k] : ends[k + 1]], k in lead, k in tail)
         gap = piece[0] if piece and piece[0] in _GAPS else ""
         body = piece[1:] if gap else piece
         if m := _PLAIN.match(body):
@@ -96,15 +101,15 @@ class PieceTokenizer:
                 ids = self._part(word)
             else:
                 ids = self._known(word) if marks or gap else self._model(" " + word if self.space_joins else word)
-            return self._push([*ids, *self._part(marks)] if marks else ids, False, False)
+            return self._push([*ids, *self._part(marks)] if marks else ids)
         if not body and (gap == _FIRST or not self.space_joins):
-            return self._push([], not gap, not gap)
+            return self._edge([], not gap, not gap)
         literal = body if gap == _FIRST else piece if gap else " " + piece
         lead = gap != _FIRST and (not body or body[0].isspace())
-        return self._push(self.tok.encode(literal, add_special_tokens=False).ids, lead, not body or body[-1].isspace())
+        return self._edge(self.tok.encode(literal, add_special_tokens=False).ids, lead, not body or body[-1].isspace())
 
     def _whole(self, text: str) -> np.ndarray:
-        return np.array([self._push(self.tok.encode(text, add_special_tokens=False).ids, False, False)], np.int64)
+        return np.array([self._push(self.tok.encode(text, add_special_tokens=False).ids)], np.int64)
 
     def encode(self, texts: list[str | None]) -> tuple[np.ndarray, np.ndarray]:
         """All ids end to end (uint32), and the number of ids of each text. Null counts as empty."""
@@ -122,7 +127,8 @@ class PieceTokenizer:
                 pieces[0] = _FIRST + pieces[0]
                 rows.append(np.fromiter(map(get, pieces), np.int64, len(pieces)))
         if self.space_joins and texts:
-            lead, tail = np.frombuffer(bytes(self.lead), np.uint8), np.frombuffer(bytes(self.tail), np.uint8)
+            lead, tail = np.zeros(len(self.ends), bool), np.zeros(len(self.ends), bool)
+            lead[self.lead], tail[self.tail] = True, True
             row = np.concatenate(rows)
             unsure = np.flatnonzero(tail[row[:-1]] & lead[row[1:]]) + 1  # a text's first piece is never a lead
             for k in np.unique(np.searchsorted(np.cumsum([len(r) for r in rows]), unsure, "right")):
@@ -130,11 +136,12 @@ class PieceTokenizer:
         if not texts or not sum(map(len, rows)):
             return np.zeros(0, np.uint32), np.zeros(len(texts), np.int64)
         row = np.concatenate(rows)
-        flat, first, count = (np.frombuffer(a, t) for a, t in ((self.flat, np.uint32), (self.first, np.int64), (self.count, np.int64)))
-        n, start = count[row], first[row]
+        flat, edges = np.frombuffer(self.flat, np.uint32), np.frombuffer(self.ends, np.int64)
+        start = edges[row]
+        n = edges[row + 1] - start
         ends = np.cumsum(n)
         ids = flat[np.repeat(start - (ends - n), n) + np.arange(ends[-1])]
-        del flat, first, count  # else the arrays cannot grow
+        del flat, edges  # else the arrays cannot grow
         at = np.concatenate([[0], ends])
         stops = np.cumsum([len(r) for r in rows])
         return ids, np.diff(at[stops], prepend=0)
