@@ -57,8 +57,12 @@ def train_drop_slowest(g, h, counts, times, keep, lam=9e-6, mu=None, evaluate=No
 
 
 def train_fedavg(g, h, counts, times, keep, local_steps=5, lam=9e-6, mu=None, evaluate=None, every=1) -> TrainResult:
-    """Devices take ``local_steps`` of their own; models of the ``keep`` fastest are averaged by rows."""
+    """Devices take ``local_steps`` of their own; models of the ``keep`` fastest are averaged by rows.
+
+    A device's step is at most what its own curvature bears, else local steps diverge.
+    """
     mu, counts = mu or schedule(), np.asarray(counts, float)
+    most = [1.9 * n / max(np.linalg.norm(gi, 2), 1e-12) for gi, n in zip(g, counts, strict=True)]
     theta, elapsed, trace = np.zeros(h.shape[1:]), 0.0, []
     for e in range(1, len(times) + 1):
         rows = [i for i in np.argsort(times[e - 1], kind="stable")[:keep] if counts[i] > 0]
@@ -66,7 +70,7 @@ def train_fedavg(g, h, counts, times, keep, local_steps=5, lam=9e-6, mu=None, ev
         for i in rows:
             t = theta
             for _ in range(local_steps):
-                t = step(t, (g[i] @ t - h[i]) / counts[i] + lam * t, mu(e))
+                t = step(t, (g[i] @ t - h[i]) / counts[i] + lam * t, min(mu(e), most[i]))
             models.append(t)
         theta = np.average(models, axis=0, weights=counts[rows]) if models else theta
         elapsed += float(np.sort(times[e - 1])[keep - 1])

@@ -11,8 +11,8 @@ from pyspark.sql import types as T
 from padgrad.functions.keys import uniform
 
 
-def text_histograms(docs: DataFrame, bins: int = 64) -> DataFrame:
-    """``docs`` with ``x``: code points modulo ``bins`` over the whole text, unit length; empty texts give zeros."""
+def text_histograms(docs: DataFrame, bins: int = 64, unit: bool = True) -> DataFrame:
+    """``docs`` with ``x``: code points modulo ``bins`` over the whole text, of unit length or as counts; empty texts give zeros."""
     kept = docs.drop("x")
     schema = T.StructType([*kept.schema.fields, T.StructField("x", T.ArrayType(T.DoubleType()))])
 
@@ -22,8 +22,9 @@ def text_histograms(docs: DataFrame, bins: int = 64) -> DataFrame:
             for k, t in enumerate(b.column("text").to_pylist()):
                 codes = np.frombuffer((t or "").encode("utf-32-le", "surrogatepass"), "<u4")
                 rows[k] = np.bincount(codes % bins, minlength=bins)
-            size = np.linalg.norm(rows, axis=1, keepdims=True)
-            rows = rows / np.where(size > 0, size, 1)
+            if unit:
+                size = np.linalg.norm(rows, axis=1, keepdims=True)
+                rows = rows / np.where(size > 0, size, 1)
             x = pa.ListArray.from_arrays(pa.array(np.arange(0, rows.size + 1, bins), pa.int32()), pa.array(rows.ravel()))
             yield pa.RecordBatch.from_arrays([*b.columns, x], names=[*b.schema.names, "x"])
 
