@@ -10,10 +10,10 @@
    ``m = min(n1 - u1, n2 - u2)`` in common, so their similarity is at most
    ``m / (n1 + n2 - m)``. Classes that can reach the threshold with nothing go.
 4. In each bucket the class with the least share of such shingles (the most central)
-   is checked against all others on the full sets. Components are formed, and then
-   every pair of a bucket that is in different components, was not checked and passes
-   the bound is checked too. So no link between candidates is lost, and a large group
-   of copies costs a check or two for each member, not all pairs.
+   is checked against all others on the full sets. Components are formed, and then all
+   pairs of different components that may still reach the threshold (by their rarest
+   shingles and places, see ``_crossing``) are checked too. So no link between candidates
+   is lost, and a large group of copies costs a check or two for each member, not all pairs.
 
 Two sets of similarity s share a band with probability 1 - (1 - s^4)^20: above
 0.9999996 at 0.85 and above 0.99997 at 0.8. Sets are compared as 64-bit hashes.
@@ -29,7 +29,7 @@ import hashlib
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from padgrad.llm.components import components
@@ -100,6 +100,28 @@ def _verified(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
     return both.where(100 * inter >= percent * (F.size("sa") + F.size("sb") - inter)).select("a", "b")
 
 
+def _crossing(alive: DataFrame, sets: DataFrame, names: DataFrame, percent: int) -> DataFrame:
+    """All pairs of different components that may still reach the threshold, as ``(a, b)``.
+
+    With shingles in one order, rarest first, two sets that reach it have a shingle in
+    common among the first ``n - ceil(threshold n) + 1`` of each, and after the first
+    such one at places i and j at most ``min(n1 - i, n2 - j)`` are shared. Only pairs
+    that pass both are made; one side is never of the shingle's most frequent component.
+    """
+    named = alive.select("node", "n").distinct().join(names, "node", "left").select("node", "n", F.coalesce("root", "node").alias("root"))
+    rows = sets.join(named, "node").select("node", "n", "root", F.explode("shingles").alias("s"))
+    held = rows.groupBy("s", "root").agg(F.count("*").alias("c"))
+    held = held.groupBy("s").agg(F.sum("c").alias("df"), F.max(F.struct("c", "root"))["root"].alias("usual"), F.count("*").alias("roots"))
+    place = F.row_number().over(Window.partitionBy("node").orderBy("df", "s")) - 1
+    first = rows.join(held, "s").withColumn("i", place).where(F.col("i") <= F.col("n") - F.ceil(F.col("n") * percent / 100))
+    first = written(first.where("roots > 1").select("s", "node", "n", "root", "usual", "i"), "near-prefix")
+    a, b = first.where("root <> usual").alias("a"), first.alias("b")
+    on = (F.col("a.s") == F.col("b.s")) & (F.col("a.root") != F.col("b.root")) & ((F.col("b.root") == F.col("b.usual")) | (F.col("a.node") < F.col("b.node")))
+    most = F.least(F.col("a.n") - F.col("a.i"), F.col("b.n") - F.col("b.i"))
+    on = on & (100 * most >= percent * (F.col("a.n") + F.col("b.n") - most))
+    return a.join(b, on).select(F.least("a.node", "b.node").alias("a"), F.greatest("a.node", "b.node").alias("b")).distinct()
+
+
 def linked_classes(docs: DataFrame, classes: DataFrame, percent: int, size: int) -> DataFrame:
     """``(node, root)`` of all classes that are linked with another; ``classes``: ``node, n_shingles, first_id, bands``."""
     rows = classes.select("node", F.col("n_shingles").alias("n"), F.explode("bands").alias("key"))
@@ -124,16 +146,7 @@ def linked_classes(docs: DataFrame, classes: DataFrame, percent: int, size: int)
     links = written(_verified(tested, sets, percent), "near-links")
     names = components(links)
 
-    named = alive.join(names, "node", "left").select("key", "node", "n", "u", F.coalesce("root", "node").alias("root"))
-    split = named.groupBy("key").agg(F.min("root").alias("r1"), F.max("root").alias("r2"), F.min("n").alias("least")).where("r1 <> r2")
-    # a class needs a partner of at most this many shingles; few classes outside the main component have one
-    named = named.withColumn("most", F.floor((F.col("n") - F.col("u")) * (100 + percent) / percent) - F.col("n"))
-    named = named.join(split.select("key", "least"), "key").where("most >= least")
-    a, b = named.alias("a"), named.alias("b")
-    on = (F.col("a.key") == F.col("b.key")) & (F.col("a.node") < F.col("b.node")) & (F.col("a.root") != F.col("b.root"))
-    on = on & _can_link(F.col("a.n"), F.col("a.u"), F.col("b.n"), F.col("b.u"), percent)
-    rest = a.join(b, on).select(F.col("a.node").alias("a"), F.col("b.node").alias("b")).distinct()
-    rest = written(rest.join(tested, ["a", "b"], "left_anti"), "near-rest")
+    rest = written(_crossing(alive, sets, names, percent).join(tested, ["a", "b"], "left_anti"), "near-rest")
     if rest.isEmpty():
         return names
     more = written(_verified(rest, sets, percent), "near-links")
