@@ -718,7 +718,7 @@ def w9_split_contrast(spark, sf_dir):
     """Dropping the slowest on a label-sorted and on an iid split."""
     rows = []
     for split in ("sorted", "hash"):
-        ex, d, c = workloads.planted_examples(spark, sf_dir, split)
+        ex, d, c = workloads.language_examples(spark, sf_dir, q=128, split=split)
         w = workloads.Workload(ex, d, c)
         rows += [{**r, "scheme": f"{r['scheme']}_{split}"} for r in w.curves(epochs=100, alphas=(23,), deltas=()) if r["scheme"] in ("coded", "drop_slowest", "fedavg")]
     return workloads.trace_table(spark, rows)
