@@ -151,6 +151,24 @@ def unrank(index: int, n: int, size: int) -> list[int]:
     return out
 
 
+def pattern_rows(spark: SparkSession, d: int, alpha: int, runs: int = 8) -> DataFrame:
+    """``(pattern_id, device)``: every set of answers that decodes, enumerated by a table function in parallel runs."""
+    from pyspark.sql.functions import udtf
+
+    @udtf(returnType="pattern_id long, device int")
+    class Patterns:
+        def eval(self, first: int, last: int, n: int, size: int):
+            for index in range(first, last):
+                for device in unrank(index, n, size):
+                    yield index, device
+
+    total = straggler_patterns(d, alpha)
+    spark.udtf.register("straggler_patterns", Patterns)
+    step = max(1, -(-total // runs))
+    spark.range(0, total, step).createOrReplaceTempView("pattern_runs")
+    return spark.sql(f"SELECT p.* FROM pattern_runs r, LATERAL straggler_patterns(r.id, least(r.id + {step}, {total}), {d}, {d - alpha + 1}) p")
+
+
 def encoder_table(spark: SparkSession, b: np.ndarray) -> DataFrame:
     """``(device, peer, coef)`` of the non-zero entries."""
     rows = [(int(i), int(j), float(b[i, j])) for i, j in zip(*np.nonzero(b), strict=True)]

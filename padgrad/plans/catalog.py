@@ -689,6 +689,58 @@ def stream_late_devices(spark, sf_dir):
     return out.select(F.date_format("epoch", "yyyy-MM-dd HH:mm:ss").alias("epoch"), "device")
 
 
+@query("""WITH s AS (SELECT range AS k FROM range(31)), w AS (SELECT min(date_trunc('day', ts)) AS d0 FROM events),
+st AS (SELECT d0 + to_days((k - 1)::INT) AS start FROM s, w, (SELECT 1))
+SELECT start::VARCHAR AS start, count(*) AS n FROM st JOIN events ON ts >= start AND ts < start + INTERVAL 2 DAY GROUP BY 1""")
+def sliding_counts(spark, sf_dir):
+    out = arrivals.sliding_counts(read_table(spark, sf_dir, "events", "ts", "user_id"))
+    return out.select(F.date_format("start", "yyyy-MM-dd HH:mm:ss").alias("start"), "n")
+
+
+@query("""WITH a AS (SELECT (user_id % 25)::INT AS device, ts, event_id, CASE WHEN ts - lag(ts) OVER (PARTITION BY user_id % 25 ORDER BY ts, event_id) < INTERVAL 1 HOUR THEN 0 ELSE 1 END AS opens FROM events),
+r AS (SELECT device, ts, sum(opens) OVER (PARTITION BY device ORDER BY ts, event_id) AS run FROM a)
+SELECT device, count(*) AS sessions, sum(n)::BIGINT AS answers, max(n) AS longest FROM (SELECT device, run, count(*) AS n FROM r GROUP BY ALL) GROUP BY 1""")
+def device_sessions(spark, sf_dir):
+    s = arrivals.sessions(read_table(spark, sf_dir, "events", "ts", "user_id"))
+    return s.groupBy("device").agg(F.count("*").alias("sessions"), F.sum("n").alias("answers"), F.max("n").alias("longest"))
+
+
+@query("SELECT event_type, count(DISTINCT event_id) AS n FROM events GROUP BY 1")
+def stream_once(spark, sf_dir):
+    """A stream in which every answer is counted once."""
+    out = arrivals.run_available(arrivals.once(arrivals.event_stream(spark, sf_dir)).select("event_type"))
+    return out.groupBy("event_type").agg(F.count("*").alias("n"))
+
+
+@query("""WITH c AS (SELECT a.range AS a, b.range AS b, c.range AS c FROM range(5) a, range(5) b, range(5) c WHERE a.range < b.range AND b.range < c.range),
+p AS (SELECT row_number() OVER (ORDER BY a, b, c) - 1 AS pattern_id, [a, b, c] AS s FROM c) SELECT pattern_id, unnest(s)::INT AS device FROM p""")
+def patterns(spark, sf_dir):
+    return gradcode.pattern_rows(spark, read_table(spark, sf_dir, "region", "r_regionkey").count(), ALPHA5)
+
+
+@query("SELECT r.range::INT AS epoch, 25::BIGINT AS devices FROM range(1, 101) r")
+def simulated_fleet(spark, sf_dir):
+    """The simulated fleet read through its data source."""
+    from padgrad.sources.fleet_source import register
+
+    register(spark)
+    return spark.read.format("simulated_fleet").load().groupBy("epoch").agg(F.count_distinct("device").alias("devices"))
+
+
+@query()
+def w7_unlearnable_labels(spark, sf_dir):
+    """Noise control: on labels that cannot be learned all exact schemes still agree (largest difference of their models)."""
+    rows = read_table(spark, sf_dir, "embeddings", "vec_id", "embedding", "label")
+    x = F.transform("embedding", lambda v: v.cast("double"))
+    ex = rows.select(F.col("vec_id").alias("row_id"), x.alias("x"), F.col("label").cast("int").alias("cls"), F.lit(False).alias("is_test"))
+    ex = ex.withColumn("y", F.transform(F.sequence(F.lit(0), F.lit(9)), lambda k: (k == F.col("cls")).cast("double")))
+    w = workloads.Workload(workloads._split(ex, "sorted"), 64, 10)
+    times = latency.np_epoch_times(w.rates, 60, 1e6, 1e4, 2)
+    base = baselines.train_central(w.g, w.h, w.m, 60, workloads.LAMBDA, w.mu).theta
+    out = [(a, float(np.abs(train_coded(w.g, w.h, w.m, a, times, workloads.LAMBDA, w.mu).theta - base).max())) for a in (1, *ALPHAS)]
+    return spark.createDataFrame(out, "alpha int, largest_difference double")
+
+
 # --- workloads -------------------------------------------------------------------------------------------------
 
 

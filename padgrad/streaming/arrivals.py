@@ -88,3 +88,25 @@ def run_available(stream: DataFrame, mode: str = "append") -> DataFrame:
 def event_stream(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The events table as a file stream."""
     return spark.readStream.schema(EVENTS).option("pathGlobFilter", "events*.parquet").parquet(sf_dir)
+
+
+def sliding_counts(events: DataFrame, window: str = "2 days", slide: str = "1 day", lateness: str = "1 hour") -> DataFrame:
+    """``(start, n, devices)`` of overlapping windows."""
+    rows = events.select(F.col("ts").cast("timestamp").alias("ts"), F.pmod("user_id", F.lit(25)).cast("int").alias("device"))
+    rows = rows.withWatermark("ts", lateness) if rows.isStreaming else rows
+    out = rows.groupBy(F.window("ts", window, slide)).agg(F.count("*").alias("n"), F.approx_count_distinct("device").alias("devices"))
+    return out.select(F.col("window.start").alias("start"), "n", "devices")
+
+
+def sessions(events: DataFrame, gap: str = "1 hour", devices: int = 25, lateness: str = "1 hour") -> DataFrame:
+    """``(device, first_ts, n)``: runs of answers of a device without a pause of ``gap``."""
+    rows = events.select(F.col("ts").cast("timestamp").alias("ts"), F.pmod("user_id", F.lit(devices)).cast("int").alias("device"))
+    rows = rows.withWatermark("ts", lateness) if rows.isStreaming else rows
+    out = rows.groupBy(F.session_window("ts", gap), "device").agg(F.count("*").alias("n"))
+    return out.select("device", F.col("session_window.start").alias("first_ts"), "n")
+
+
+def once(events: DataFrame, lateness: str = "1 hour") -> DataFrame:
+    """A stream of answers without those sent again within the watermark."""
+    rows = events.withColumn("ts", F.col("ts").cast("timestamp")).withWatermark("ts", lateness)
+    return rows.dropDuplicatesWithinWatermark(["event_id"])
