@@ -164,7 +164,7 @@ def tree_steps(counts: DataFrame) -> DataFrame:
 
     def expand(batches):
         for b in batches:
-            for at in range(0, b.num_rows, 50_000):
+            for at in range(0, b.num_rows, 50_000):  # memory: 8 nodes a gram
                 part = b.slice(at, 50_000)
                 gram, n = part.column("key").to_numpy().view(np.uint64), part.column("n").to_numpy()
                 slots = [node_slots(gram, t) for t in range(8)]
@@ -178,7 +178,13 @@ def tree_steps(counts: DataFrame) -> DataFrame:
                         names=["depth", "node", "child", "n0", "n1"],
                     )
 
-    rows = counts.where(F.col("kind") == GRAM).select("key", "n").mapInArrow(expand, "depth int, node int, child int, n0 long, n1 long")
+    # grams with like contexts side by side, latest byte first, so that a run of them shares its nodes
+    byte = [F.shiftrightunsigned("key", 8 * j).bitwiseAND(F.lit(255)) for j in range(DEPTH + 1)]
+    like = byte[0]
+    for j in range(1, DEPTH + 1):
+        like = like + F.shiftleft(byte[j], 8 * (DEPTH + 1 - j))
+    rows = counts.where(F.col("kind") == GRAM).select("key", "n", like.alias("like")).repartitionByRange("like").sortWithinPartitions("like")
+    rows = rows.select("key", "n").mapInArrow(expand, "depth int, node int, child int, n0 long, n1 long")
     return rows.groupBy("depth", "node", "child").agg(F.sum("n0").alias("n0"), F.sum("n1").alias("n1"))
 
 
@@ -275,7 +281,7 @@ def score_texts(docs: DataFrame, train: Column) -> DataFrame:
             is_hot, c = known(flat)
             size = len(texts)
             yield pa.RecordBatch.from_arrays(
-                [part.column("row"), part.column("did"), part.column("trained"), pa.array(np.bincount(row, minlength=size)), pa.array(np.bincount(row[is_hot], minlength=size)), pa.array(np.bincount(row[is_hot], np.log10(c[is_hot] + 1.0), size)), pa.array(text_log10(tree.value, texts))],
+                [part.column("row"), part.column("did"), part.column("trained"), pa.array(np.bincount(row, minlength=size)), pa.array(np.bincount(row[is_hot], minlength=size)), pa.array(np.bincount(row[is_hot], np.log10(c[is_hot] + 1.0), size).astype(np.float64)), pa.array(text_log10(tree.value, texts))],
                 names=["row", "did", "trained", "n_tokens", "hot_known", "hot_sum", "score"],
             )
 

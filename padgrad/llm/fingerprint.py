@@ -6,8 +6,9 @@ into ``TABLES`` tables of ``WIDTH`` cells; a cell holds the count, the xor of th
 and the xor of their checks. The difference of two sketches holds only what one of
 the texts has and the other has not; cells with one digest are peeled until none is
 left, which gives the differing digests. If some are left, the sketch was too small:
-both texts are sketched again with four times as many sub-sketches (chosen by other
-bits of the digest), and so on; after ``LEVELS`` sizes the digests are compared directly.
+its digests are dealt to four sketches of the same size (so four times as large in
+all) by other bits of the digest, each of which is peeled or dealt again. After
+``RETRIES`` the digests are compared directly.
 
 Likeness of two fingerprints is shared over united digests, from the two set sizes and
 the peeled difference. All of it is higher-order functions on arrays in one row: no
@@ -25,7 +26,9 @@ from pyspark.sql import functions as F
 from padgrad.llm.textcols import NO_ID, id_key
 from padgrad.shared import written
 
-TABLES, WIDTH, BITS, ROUNDS, LEVELS = 3, 16, 4, 8, 7
+TABLES, WIDTH, BITS, ROUNDS = 3, 8, 3, 8
+#: Each retry deals a failed sketch to SPLIT larger ones, by other bits of the digests.
+SPLIT_BITS, RETRIES = 2, 5
 SHORT, LONG = 48, 200
 _PARAGRAPH = rf"(?s)(?:.{{{SHORT},{LONG}}}?(?:(?<=[.!?])\s+|\n+|\z)|.{{1,{LONG}}})"
 
@@ -48,72 +51,89 @@ def _cell(n: Column, k: Column, c: Column) -> Column:
     return F.struct(n.cast("int").alias("n"), k.alias("k"), c.alias("c"))
 
 
-def _places() -> Column:
-    return F.sequence(F.lit(0), F.lit(TABLES * WIDTH - 1))
+def items(digests: Column) -> Column:
+    """Digests with all that the sketches ask of them: check and the place of their cell in each table."""
 
+    def one(d):
+        places = [(_shift(d, F.lit(t * BITS)).bitwiseAND(F.lit(WIDTH - 1)).cast("int") + t * WIDTH).alias(f"p{t}") for t in range(TABLES)]
+        return F.struct(d.alias("k"), _check(d).alias("c"), *places)
 
-def _falls(digest: Column, place: Column) -> Column:
-    """Does the digest belong to the cell? Each table uses ``BITS`` bits of its own."""
-    return _shift(digest, F.floor(place / WIDTH).cast("int") * BITS).bitwiseAND(F.lit(WIDTH - 1)).cast("int") == F.pmod(place, F.lit(WIDTH))
+    return F.transform(digests, one)
 
 
-def sketch(digests: Column) -> Column:
-    """The cells of a set of digests: ``array<struct<n, k, c>>``."""
+def sketch(elements: Column) -> Column:
+    """The cells of a set of ``items``: ``array<struct<n, k, c>>``."""
     zero = _cell(F.lit(0), F.lit(0).cast("long"), F.lit(0).cast("long"))
 
-    def cell(place):
-        return F.aggregate(
-            digests, zero, lambda a, d: F.when(_falls(d, place), _cell(a["n"] + 1, a["k"].bitwiseXOR(d), a["c"].bitwiseXOR(_check(d)))).otherwise(a)
-        )
+    def table(t):
+        def cell(place):
+            own = F.filter(elements, lambda x: x[f"p{t}"] == place)
+            return F.aggregate(own, zero, lambda a, x: _cell(a["n"] + 1, a["k"].bitwiseXOR(x["k"]), a["c"].bitwiseXOR(x["c"])))
 
-    return F.transform(_places(), cell)
+        return F.transform(F.sequence(F.lit(t * WIDTH), F.lit((t + 1) * WIDTH - 1)), cell)
+
+    return F.concat(*[table(t) for t in range(TABLES)])
 
 
 def subtract(a: Column, b: Column) -> Column:
     return F.zip_with(a, b, lambda x, y: _cell(x["n"] - y["n"], x["k"].bitwiseXOR(y["k"]), x["c"].bitwiseXOR(y["c"])))
 
 
+def _left(cells: Column) -> Column:
+    return F.exists(cells, lambda c: (c["n"] != 0) | (c["k"] != 0))
+
+
 def peel(cells: Column) -> Column:
-    """``struct(cells, only)``: what is left, and the peeled ``struct(k, n)``; ``n`` is 1 for the first text, -1 for the second."""
-    start = F.struct(cells.alias("cells"), F.array().cast("array<struct<k:bigint,n:int>>").alias("only"))
+    """``struct(cells, count)``: what is left, and how many digests were peeled, of either text."""
+    start = F.struct(cells.alias("cells"), F.lit(0).alias("count"))
 
     def turn(state, _):
         pure = F.filter(state["cells"], lambda c: (F.abs(c["n"]) == 1) & (_check(c["k"]) == c["c"]))
-        found = F.array_distinct(F.transform(pure, lambda c: F.struct(c["k"].alias("k"), c["n"].alias("n"))))
+        distinct = F.array_distinct(F.transform(pure, lambda c: F.struct(c["k"].alias("k"), c["n"].alias("n"))))
+        found = F.zip_with(distinct, items(F.transform(distinct, lambda x: x["k"])), lambda x, y: F.struct(x["n"].alias("n"), y["k"].alias("k"), y["c"].alias("c"), y["p0"].alias("p0"), y["p1"].alias("p1"), y["p2"].alias("p2")))
+
+        def without(pieces):
+            def cleared(c, place):
+                own = F.filter(pieces, lambda t: (t["p0"] == place) | (t["p1"] == place) | (t["p2"] == place))
+                return F.aggregate(own, c, lambda a, t: _cell(a["n"] - t["n"], a["k"].bitwiseXOR(t["k"]), a["c"].bitwiseXOR(t["c"])))
 
-        def cleared(c, place):
-            return F.aggregate(
-                found, c, lambda a, t: F.when(_falls(t["k"], place), _cell(a["n"] - t["n"], a["k"].bitwiseXOR(t["k"]), a["c"].bitwiseXOR(_check(t["k"])))).otherwise(a)
-            )
+            return F.struct(F.transform(state["cells"], cleared).alias("cells"), (state["count"] + F.size(pieces)).alias("count"))
 
-        after = F.struct(F.transform(state["cells"], cleared).alias("cells"), F.concat(state["only"], found).alias("only"))
-        return F.when(F.exists(state["cells"], lambda c: (c["n"] != 0) | (c["k"] != 0)), after).otherwise(state)
+        # the found pieces are made once for the turn: as the one element of an array
+        after = F.get(F.transform(F.array(found), without), F.lit(0))
+        stop = ~_left(state["cells"])  # nothing to peel any more
+        return F.when(stop, state).otherwise(after)
 
     return F.aggregate(F.sequence(F.lit(1), F.lit(ROUNDS)), start, turn)
 
 
 def _peeled_size(cells: Column) -> Column:
     """Number of differing digests, or null if the sketch was too small."""
-    done = F.transform(F.array(peel(cells)), lambda s: F.when(F.exists(s["cells"], lambda c: (c["n"] != 0) | (c["k"] != 0)), F.lit(None).cast("int")).otherwise(F.size(s["only"])))
-    return F.get(done, F.lit(0))
+    return F.get(F.transform(F.array(peel(cells)), lambda s: F.when(_left(s["cells"]), F.lit(None).cast("int")).otherwise(s["count"])), F.lit(0))
 
 
-def _bucketed(digests: Column, bucket: Column, buckets: Column) -> Column:
-    return F.filter(digests, lambda d: F.pmod(_shift(d, F.lit(TABLES * BITS)), buckets) == bucket)
+def _dealt(elements: Column, bucket: Column, retry: int) -> Column:
+    at = TABLES * BITS + SPLIT_BITS * retry
+    return F.filter(elements, lambda x: _shift(x["k"], F.lit(at)).bitwiseAND(F.lit(2**SPLIT_BITS - 1)) == bucket)
 
 
-def difference_size(a: Column, b: Column, first: Column) -> Column:
-    """Size of the symmetric difference of two digest sets; ``first`` is the difference of their smallest sketches."""
+def _differing(pair: Column, cells: Column | None, retry: int) -> Column:
+    """Digests that only one text of ``pair`` (``a``, ``b``) has: peeled, or dealt to sketches of their own and counted there."""
+    if retry > RETRIES:
+        return F.size(F.array_except(pair["a"], pair["b"])) + F.size(F.array_except(pair["b"], pair["a"]))
+    cells = subtract(sketch(pair["a"]), sketch(pair["b"])) if cells is None else cells
+
+    def part(bucket):
+        share = F.array(F.struct(_dealt(pair["a"], bucket, retry).alias("a"), _dealt(pair["b"], bucket, retry).alias("b")))
+        return F.get(F.transform(share, lambda p: _differing(p, None, retry + 1)), F.lit(0))
 
-    def attempt(level):
-        buckets = F.call_function("shiftleft", F.lit(1), level * 2)
-        each = F.transform(
-            F.sequence(F.lit(0), buckets - 1), lambda i: _peeled_size(subtract(sketch(_bucketed(a, i, buckets)), sketch(_bucketed(b, i, buckets))))
-        )
-        return F.aggregate(each, F.lit(0), lambda acc, x: acc + x)
+    parts = F.transform(F.sequence(F.lit(0), F.lit(2**SPLIT_BITS - 1)), part)
+    return F.coalesce(_peeled_size(cells), F.aggregate(parts, F.lit(0), lambda acc, x: acc + x))
 
-    larger = F.aggregate(F.sequence(F.lit(1), F.lit(LEVELS - 1)), F.lit(None).cast("int"), lambda acc, level: F.coalesce(acc, attempt(level)))
-    return F.coalesce(_peeled_size(first), larger, F.size(F.array_except(a, b)) + F.size(F.array_except(b, a)))
+
+def difference_size(a: Column, b: Column, first: Column) -> Column:
+    """Size of the symmetric difference of two sets of ``items``; ``first`` is the difference of their smallest sketches."""
+    return F.get(F.transform(F.array(F.struct(a.alias("a"), b.alias("b"), first.alias("first"))), lambda p: _differing(p, p["first"], 0)), F.lit(0))
 
 
 def likeness(a: Column, b: Column, difference: Column) -> Column:
@@ -173,6 +193,7 @@ def fingerprint_edits(docs: DataFrame) -> DataFrame:
     edited = F.concat(F.expr("substring(text, 1, int(char_length(text) - char_length(text) div 2))"), F.substring(F.col("head"), F.lit(1), half))
     made = both.select("did", n.cast("long").alias("n_chars"), edited.alias("edited"), "dig", "next_dig")
     made = made.select("did", "n_chars", F.sha2(F.col("edited").cast("binary"), 256).alias("edited_sha256"), "dig", "next_dig", paragraph_digests(F.col("edited")).alias("edit_dig"))
+    made = made.select("did", "n_chars", "edited_sha256", *[items(F.col(c)).alias(c) for c in ("dig", "edit_dig", "next_dig")])
     made = made.select("*", sketch(F.col("dig")).alias("own"), sketch(F.col("edit_dig")).alias("edit"), sketch(F.col("next_dig")).alias("next"))
     made = made.withColumn("d_edit", difference_size(F.col("dig"), F.col("edit_dig"), subtract(F.col("own"), F.col("edit"))))
     made = made.withColumn("d_next", difference_size(F.col("dig"), F.col("next_dig"), subtract(F.col("own"), F.col("next"))))

@@ -32,7 +32,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from padgrad.llm.components import components
+from padgrad.llm.components import components, merged
 from padgrad.shared import written
 
 SIGNED = "doc_id long, n_shingles long, node binary, bands array<long>"
@@ -150,7 +150,7 @@ def linked_classes(docs: DataFrame, classes: DataFrame, percent: int, size: int)
     if rest.isEmpty():
         return names
     more = written(_verified(rest, sets, percent), "near-links")
-    return names if more.isEmpty() else components(links.union(more))
+    return names if more.isEmpty() else merged(names, more)
 
 
 def near_duplicates(docs: DataFrame, percent: int = 80, coordinates: int = 80, rows: int = 4, size: int = 5) -> DataFrame:
