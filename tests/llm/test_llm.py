@@ -384,7 +384,7 @@ def test_pipeline(spark, tmp_path):
     import pyarrow as pa
     import pyarrow.parquet as pq
 
-    calm = "The plain words of this text are calm and they end well in number {}. " * 3
+    calm = "The plain words of this text are calm and they end well in number {0}. " * 3
     rows = [(k, calm.format(f"{k} {k * 7} {k * k}"), "en", "s", 0) for k in range(60)]
     rows += [(100, BASE, "en", "s", 0), (101, BASE, None, None, 0), (102, LEAK, "en", "s", 0), (103, "BUY!! NOW!! " * 20, "en", "s", 0), (104, None, "en", "s", 0), (None, calm, "en", "s", 0)]
     cols = ["doc_id", "text", "lang", "source", "n_chars"]
