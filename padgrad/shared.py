@@ -6,6 +6,7 @@ that is unset (tests, notebooks) a local default is used.
 
 from __future__ import annotations
 
+import contextlib
 import uuid
 
 from pyspark.sql import DataFrame, SparkSession
@@ -23,6 +24,28 @@ def fresh_path(spark: SparkSession, tag: str) -> str:
     return f"{shared_root(spark)}/padgrad/{tag}-{uuid.uuid4().hex}"
 
 
+#: Paths written within each open ``scratch`` block, innermost last.
+_open_blocks: list[list[str]] = []
+
+
+@contextlib.contextmanager
+def scratch(spark: SparkSession):
+    """Tables that ``written`` makes in the block are deleted at its end; what should stay goes to ``stored``."""
+    _open_blocks.append([])
+    try:
+        yield
+    finally:
+        for path in _open_blocks.pop():
+            drop_path(spark, path)
+
+
+def stored(df: DataFrame, tag: str) -> DataFrame:
+    """Like ``written``, but kept by an enclosing ``scratch`` block."""
+    path = fresh_path(df.sparkSession, tag)
+    df.write.parquet(path)
+    return df.sparkSession.read.schema(df.schema).parquet(path)
+
+
 def written(df: DataFrame, tag: str) -> DataFrame:
     """``df`` written as a Parquet table in the shared folder and read back.
 
@@ -30,6 +53,8 @@ def written(df: DataFrame, tag: str) -> DataFrame:
     executor costs nothing that was written.
     """
     path = fresh_path(df.sparkSession, tag)
+    if _open_blocks:
+        _open_blocks[-1].append(path)
     df.write.parquet(path)
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
