@@ -19,7 +19,7 @@ from padgrad.llm.line_dedup import dedup_lines
 from padgrad.llm.near_dedup import near_duplicates
 from padgrad.llm.packing import pack_documents
 from padgrad.llm.quality import score_quality
-from padgrad.shared import written
+from padgrad.shared import scratch, stored, written
 
 #: Documents that score less are rejected.
 LEAST_QUALITY = 0.3
@@ -46,7 +46,8 @@ def line_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 def near_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """One document of each group of near-duplicates, the one with the smallest id."""
-    gone = written(near_duplicates(docs, NEAR_PERCENT).where(~F.col("kept")).select("doc_id").distinct(), "near-gone")
+    with scratch(spark):
+        gone = stored(near_duplicates(docs, NEAR_PERCENT).where(~F.col("kept")).select("doc_id").distinct(), "near-gone")
     return docs.join(gone, docs["doc_id"].eqNullSafe(gone["doc_id"]), "left_anti")
 
 

@@ -28,7 +28,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from padgrad.llm.textcols import id_key, sized
-from padgrad.shared import written
+from padgrad.shared import scratch, stored, written
 
 BITS = 64
 
@@ -136,5 +136,6 @@ def find_leaks(docs: DataFrame, benchmark: DataFrame, threshold: float = 0.8, ra
 
 def decontaminate(docs: DataFrame, benchmark: DataFrame, threshold: float = 0.8) -> DataFrame:
     """``docs`` without the documents that hold a benchmark item."""
-    leaks = written(find_leaks(docs, benchmark, threshold).select(id_key(F.col("doc_id")).alias("__did")).distinct(), "leak-docs")
+    with scratch(docs.sparkSession):
+        leaks = stored(find_leaks(docs, benchmark, threshold).select(id_key(F.col("doc_id")).alias("__did")).distinct(), "leak-docs")
     return docs.withColumn("__did", id_key(F.col("doc_id"))).join(sized(leaks), "__did", "left_anti").drop("__did")
