@@ -9,12 +9,15 @@ from the root down, ``w * own + (1 - w) * child`` with ``w`` the weight the data
 to stopping at the node.
 
 Training is a corpus-wide count: one Arrow pass gives, for each task, its distinct
-(DEPTH + 1)-byte strings and words with counts; Spark adds them up. Nodes of depth 2
-and more live in hashed tables of fixed size, as is usual for this method, so the
-model has the same bounded size for any corpus (``SLOTS``; about 11 million nodes of six
-bytes) and is broadcast; where two contexts share a node their counts add up and the
-weights turn to shallower nodes by themselves. A node's share in its parent's product
-is in proportion to the counts that came through that parent.
+(DEPTH + 1)-byte strings and words with counts; Spark adds them up. Every context has its own
+nodes, so the model grows with the corpus and stays a partitioned table. Strings whose
+last ``CUT`` context bytes agree go to one task, where all their nodes of depth ``CUT`` and
+more are made and mixed (``deep_nodes``); their block probabilities are summed into the nodes
+above, of which there are at most 2^24 for any corpus (``fit_tree``). That gives every distinct
+string of the corpus, trained or only scored, one exact log-probability.
+
+A text's score is the sum over its strings. The most frequent ones (at most ``HOT_GRAMS``)
+are broadcast; all others are joined by a shuffle, like rare words.
 
 The unigram base needs every word's count. Words with a 50 000th or more of all tokens
 are at most 50 000 and are broadcast; all others are joined by a shuffle on the word's
@@ -37,12 +40,14 @@ from padgrad.llm.textcols import NO_ID, id_key
 from padgrad.shared import written
 
 DEPTH = 5
-#: Nodes for each depth: exact for 0 and 1, hashed below.
-SLOTS = [1 << 8, 1 << 16, 1 << 20, 1 << 21, 1 << 22, 1 << 22]
+#: Nodes above this depth are shared by tasks.
+CUT = 3
 HOT_WORDS = 50_000
+#: Strings (16 bytes each) whose log-probabilities are broadcast; no others are lost, they are joined.
+HOT_GRAMS = 2_000_000
 END = 10
-GRAM, WORD = 0, 1
-_A, _B = np.uint64(0x9E3779B97F4A7C15), np.uint64(0xFF51AFD7ED558CCD)
+#: Kinds of counts: strings of texts to learn from, words, strings of other texts.
+GRAM, WORD, OTHER = 0, 1, 2
 
 
 def streams(texts: list[str | None]) -> tuple[list[list[bytes]], np.ndarray, np.ndarray]:
@@ -67,17 +72,11 @@ def grams(data: np.ndarray, starts: np.ndarray) -> tuple[np.ndarray, np.ndarray]
 
 
 def node_slots(gram: np.ndarray, bit: int) -> list[np.ndarray]:
-    """The node of every depth that decides bit ``bit`` of each gram's last byte."""
+    """The node of every depth above ``CUT`` that decides bit ``bit`` of each gram's last byte: its context and the bits before."""
     byte = gram & np.uint64(255)
     prefix = np.uint64(1 << bit) | (byte >> np.uint64(8 - bit))
     context = gram >> np.uint64(8)
-    out = [prefix.astype(np.int64), (((context & np.uint64(255)) << np.uint64(8)) | prefix).astype(np.int64)]
-    for d in range(2, DEPTH + 1):
-        c = context & np.uint64((1 << (8 * d)) - 1)
-        h = (((c << np.uint64(8)) | prefix) + np.uint64(d)) * _A
-        h = (h ^ (h >> np.uint64(31))) * _B
-        out.append((h >> np.uint64(64 - SLOTS[d].bit_length() + 1)).astype(np.int64))
-    return out
+    return [(((context & np.uint64((1 << (8 * d)) - 1)) << np.uint64(8)) | prefix).astype(np.int64) for d in range(CUT)]
 
 
 class Tally:
@@ -120,130 +119,244 @@ def _slices(batches, most_bytes: int = 2_000_000):
 
 
 def corpus_counts(docs: DataFrame) -> DataFrame:
-    """``(kind, key, n)`` over all texts: coded byte strings, and words by hash (the end is word 0)."""
+    """``(kind, key, n)``: coded byte strings of all texts, and words of ``trained`` ones by hash (the end is word 0)."""
 
     def count(batches):
         from padgrad.llm.shingles import WordHashes
 
-        hashes, tallies = WordHashes(), {GRAM: Tally(), WORD: Tally()}
+        hashes, tallies = WordHashes(), {GRAM: Tally(), WORD: Tally(), OTHER: Tally()}
 
         def rows(kind, k, n):
             return pa.RecordBatch.from_arrays([pa.array(np.full(len(k), kind, np.int32)), pa.array(k.view(np.int64)), pa.array(n)], names=["kind", "key", "n"])
 
-        for _, texts in _slices(batches):
-            words, data, starts = streams(texts)
-            flat = [w for ws in words for w in ws]
-            h = np.fromiter(map(hashes.__getitem__, flat), np.uint64, len(flat))
-            for kind, keys in ((GRAM, grams(data, starts)[0]), (WORD, np.concatenate([h, np.zeros(len(texts), np.uint64)]))):
+        for part, texts in _slices(batches):
+            learn = part.column("trained").to_pylist()
+            new = []
+            if other := [t for t, x in zip(texts, learn, strict=True) if not x]:
+                _, data, starts = streams(other)
+                new.append((OTHER, grams(data, starts)[0]))
+            if own := [t for t, x in zip(texts, learn, strict=True) if x]:
+                words, data, starts = streams(own)
+                flat = [w for ws in words for w in ws]
+                h = np.fromiter(map(hashes.__getitem__, flat), np.uint64, len(flat))
+                new += [(GRAM, grams(data, starts)[0]), (WORD, np.concatenate([h, np.zeros(len(own), np.uint64)]))]
+            for kind, keys in new:
                 if (full := tallies[kind].add(keys)) is not None:
                     yield rows(kind, *full)
         for kind, t in tallies.items():
             yield rows(kind, *t.merged())
 
-    found = docs.select("text").mapInArrow(count, "kind int, key long, n long")
+    found = docs.select("text", "trained").mapInArrow(count, "kind int, key long, n long")
     return found.groupBy("kind", "key").agg(F.sum("n").alias("n"))
 
 
-def _ln_gamma(x: Column) -> Column:
+def _ln_gamma(x: np.ndarray) -> np.ndarray:
     """Stirling's series after six steps of the recurrence; x > 0."""
-    x = x.cast("double")
     y = x + 6
-    rise = F.lit(1.0)
+    rise = np.ones_like(x)
     for k in range(6):
         rise = rise * (x + k)
-    return (y - 0.5) * F.ln(y) - y + 0.5 * math.log(2 * math.pi) + 1 / (12 * y) - 1 / (360 * y * y * y) + 1 / (1260 * F.pow(y, 5)) - F.ln(rise)
+    return (y - 0.5) * np.log(y) - y + 0.5 * math.log(2 * math.pi) + 1 / (12 * y) - 1 / (360 * y**3) + 1 / (1260 * y**5) - np.log(rise)
 
 
-def block_estimate(zeros: Column, ones: Column) -> Column:
+def block_estimate(zeros: np.ndarray, ones: np.ndarray) -> np.ndarray:
     """Natural log of the Krichevsky-Trofimov probability of a block."""
-    return _ln_gamma(zeros + 0.5) + _ln_gamma(ones + 0.5) - _ln_gamma(zeros + ones + 1) - math.log(math.pi)
+    return _ln_gamma(zeros + 0.5) + _ln_gamma(ones + 0.5) - _ln_gamma(zeros + ones + 1.0) - math.log(math.pi)
+
+
+def _mixed(zeros: np.ndarray, ones: np.ndarray, split: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Log block probability of nodes whose children's sum to ``split``, and the weight of stopping there."""
+    stop = math.log(0.5) + block_estimate(zeros, ones)
+    block = np.logaddexp(stop, math.log(0.5) + split)
+    return block, np.exp(stop - block)
+
+
+def deep_tree(like: np.ndarray, n: np.ndarray) -> tuple[np.ndarray, list[tuple]]:
+    """Nodes of depth ``CUT`` and more over whole groups of strings.
+
+    ``like`` has the strings in order of context, latest byte first, and last byte. Gives
+    for every string and bit the chance of that bit from depth ``CUT`` down, and for every
+    bit the nodes of depth ``CUT - 1`` above with summed counts and log block probabilities.
+    """
+    # keys[d]: distinct (context of d bytes, last byte); to[d]: from those of depth d + 1
+    keys, counts, to = {DEPTH: like}, {DEPTH: n}, {}
+    for d in range(DEPTH - 1, CUT - 2, -1):
+        k = keys[d + 1]
+        short = ((k >> 16) << 8) | (k & 255)
+        keys[d], to[d] = np.unique(short, return_inverse=True)
+        counts[d] = np.bincount(to[d], counts[d + 1], len(keys[d])).astype(np.int64)
+    chance, above = np.empty((len(like), 8), np.float32), []
+    for t in range(8):
+        levels, split = {}, None
+        for d in range(DEPTH, CUT - 1, -1):
+            node = ((keys[d] >> 8) << 8) | (1 << t) | ((keys[d] & 255) >> (8 - t))
+            first = np.ones(len(node), bool)
+            first[1:] = node[1:] != node[:-1]
+            at, run = np.flatnonzero(first), np.cumsum(first) - 1
+            bit = (keys[d] >> (7 - t)) & 1
+            zeros, ones = np.add.reduceat(counts[d] * (1 - bit), at), np.add.reduceat(counts[d] * bit, at)
+            if d == DEPTH:
+                block, w = block_estimate(zeros, ones), np.ones(len(at))
+            else:
+                parent = np.empty(len(levels[d + 1][0]), np.int64)
+                parent[levels[d + 1][1]] = run[to[d]]
+                block, w = _mixed(zeros, ones, np.bincount(parent, levels[d + 1][4], len(at)))
+            levels[d] = (zeros, run, ones, w, block, node[at])
+        own = np.arange(len(like))
+        for d in range(DEPTH, CUT - 1, -1):
+            own = own if d == DEPTH else to[d][own]
+            zeros, run, ones, w = levels[d][:4]
+            r = run[own]
+            hit = np.where((like >> (7 - t)) & 1 == 1, ones[r], zeros[r])
+            mine = (hit + 0.5) / (zeros[r] + ones[r] + 1.0)
+            p = mine if d == DEPTH else w[r] * mine + (1 - w[r]) * p
+        chance[:, t] = p
+        zeros, _, ones, _, block, node = levels[CUT]
+        up = ((node >> 16) << 8) | (node & 255)
+        shared, inverse = np.unique(up, return_inverse=True)
+        above.append((shared, *(np.bincount(inverse, v, len(shared)) for v in (zeros, ones, block))))
+    return chance, above
+
+
+_DEEP = pa.schema([("key", pa.int64()), ("held", pa.int64()), ("chance", pa.list_(pa.float32())), ("node", pa.int64()), ("n0", pa.int64()), ("n1", pa.int64()), ("block", pa.float64())])
+
+
+def _gram_of(like: np.ndarray) -> np.ndarray:
+    """The strings of keys in order of context."""
+    out = like & 255
+    for j in range(1, DEPTH + 1):
+        out = out | (((like >> (8 * (DEPTH + 1 - j))) & 255) << (8 * j))
+    return out
+
+
+def _upper_of(node: np.ndarray) -> np.ndarray:
+    """The number that ``node_slots`` gives to nodes of depth ``CUT - 1`` whose context is written latest byte first."""
+    out = node & 255
+    for j in range(1, CUT):
+        out = out | (((node >> (8 * (CUT - j))) & 255) << (8 * j))
+    return out
 
 
-def tree_steps(counts: DataFrame) -> DataFrame:
-    """``(depth, node, child, n0, n1)``: counts through each step from a node to a child."""
+def deep_nodes(counts: DataFrame) -> DataFrame:
+    """Rows of two kinds: ``key, held, chance`` of each string (``held``: times it occurs at all), and ``node, n0, n1, block`` of parts of the nodes of depth ``CUT - 1``."""
 
     def expand(batches):
+        def nodes(like, n, held):
+            k, inverse = np.unique(like, return_inverse=True)
+            n, held = (np.bincount(inverse, v, len(k)).astype(np.int64) for v in (n, held))
+            chance, above = deep_tree(k, n)
+            size = len(k)
+            flat = pa.ListArray.from_arrays(pa.array(np.arange(0, 8 * size + 1, 8, dtype=np.int32)), pa.array(chance.ravel()))
+            yield pa.RecordBatch.from_arrays([pa.array(_gram_of(k)), pa.array(held), flat, *(pa.nulls(size, f.type) for f in list(_DEEP)[3:])], schema=_DEEP)
+            for node, n0, n1, block in above:
+                size = len(node)
+                yield pa.RecordBatch.from_arrays([*(pa.nulls(size, f.type) for f in list(_DEEP)[:3]), pa.array(_upper_of(node)), pa.array(n0.astype(np.int64)), pa.array(n1.astype(np.int64)), pa.array(block)], schema=_DEEP)
+
+        parts, size = [], 0
         for b in batches:
-            for at in range(0, b.num_rows, 50_000):  # memory: 8 nodes a gram
-                part = b.slice(at, 50_000)
-                gram, n = part.column("key").to_numpy().view(np.uint64), part.column("n").to_numpy()
-                slots = [node_slots(gram, t) for t in range(8)]
-                for d in range(DEPTH):
-                    keys = np.concatenate([(s[d].astype(np.uint64) << np.uint64(23)) | (s[d + 1].astype(np.uint64) << np.uint64(1)) | ((gram >> np.uint64(7 - t)) & np.uint64(1)) for t, s in enumerate(slots)])
-                    k, inverse = np.unique(keys, return_inverse=True)
-                    c = np.bincount(inverse, np.tile(n, 8), len(k)).astype(np.int64)
-                    bit = (k & np.uint64(1)).astype(bool)
-                    yield pa.RecordBatch.from_arrays(
-                        [pa.array(np.full(len(k), d, np.int32)), pa.array((k >> np.uint64(23)).astype(np.int32)), pa.array(((k >> np.uint64(1)) & np.uint64((1 << 22) - 1)).astype(np.int32)), pa.array(np.where(bit, 0, c)), pa.array(np.where(bit, c, 0))],
-                        names=["depth", "node", "child", "n0", "n1"],
-                    )
-
-    # grams with like contexts side by side, latest byte first, so that a run of them shares its nodes
+            parts.append([b.column(c).to_numpy() for c in ("like", "n", "held")])
+            size += b.num_rows
+            if size < 100_000:
+                continue
+            like, n, held = (np.concatenate(x) for x in zip(*parts, strict=True))
+            group = like >> (8 * (DEPTH + 1 - CUT))
+            cut = int(np.searchsorted(group, group[-1]))  # the last group may go on
+            if cut:
+                yield from nodes(like[:cut], n[:cut], held[:cut])
+            parts, size = [[like[cut:], n[cut:], held[cut:]]], size - cut
+        if size:
+            yield from nodes(*(np.concatenate(x) for x in zip(*parts, strict=True)))
+
     byte = [F.shiftrightunsigned("key", 8 * j).bitwiseAND(F.lit(255)) for j in range(DEPTH + 1)]
     like = byte[0]
     for j in range(1, DEPTH + 1):
         like = like + F.shiftleft(byte[j], 8 * (DEPTH + 1 - j))
-    rows = counts.where(F.col("kind") == GRAM).select("key", "n", like.alias("like")).repartitionByRange("like").sortWithinPartitions("like")
-    rows = rows.select("key", "n").mapInArrow(expand, "depth int, node int, child int, n0 long, n1 long")
-    return rows.groupBy("depth", "node", "child").agg(F.sum("n0").alias("n0"), F.sum("n1").alias("n1"))
-
-
-def fit_tree(counts: DataFrame) -> list[tuple[np.ndarray, np.ndarray]]:
-    """For each depth the stopping weight (float16) and the chance of a 1 (float32) of every slot; at most ``SLOTS`` rows come to the driver."""
-    steps = written(tree_steps(counts), "tree-steps")
-    half = math.log(0.5)
-    own = steps.where(F.col("depth") == DEPTH - 1).groupBy(F.col("child").alias("node")).agg(F.sum("n0").alias("n0"), F.sum("n1").alias("n1"))
-    below = written(own.select("node", "n0", "n1", block_estimate(F.col("n0"), F.col("n1")).alias("lw"), F.lit(1.0).alias("w")), "tree-level")
-    out = [_slot_arrays(below, SLOTS[DEPTH])]
-    for d in range(DEPTH - 1, -1, -1):
-        level = steps.where(F.col("depth") == d).select("node", "child", "n0", "n1")
-        child = below.select(F.col("node").alias("child"), (F.col("lw") / (F.col("n0") + F.col("n1"))).alias("each"))
-        sums = level.join(child.hint("merge"), "child").groupBy("node").agg(F.sum("n0").alias("n0"), F.sum("n1").alias("n1"), F.sum(F.col("each") * (F.col("n0") + F.col("n1"))).alias("split"))
-        stop = half + block_estimate(F.col("n0"), F.col("n1"))
-        go = half + F.col("split")
-        lw = F.greatest(stop, go) + F.log1p(F.exp(-F.abs(stop - go)))
-        below = written(sums.select("node", "n0", "n1", lw.alias("lw"), F.exp(stop - lw).alias("w")), "tree-level")
-        out.append(_slot_arrays(below, SLOTS[d]))
+    own = F.when(F.col("kind") == GRAM, F.col("n")).otherwise(F.lit(0)).cast("long")
+    rows = counts.where(F.col("kind") != WORD).select(like.alias("like"), own.alias("n"), F.col("n").alias("held"))
+    rows = rows.repartition(F.shiftrightunsigned("like", 8 * (DEPTH + 1 - CUT))).sortWithinPartitions("like")
+    return rows.mapInArrow(expand, "key long, held long, chance array<float>, node long, n0 long, n1 long, block double")
+
+
+def upper_tree(deep: DataFrame) -> list[tuple[np.ndarray, ...]]:
+    """For each depth above ``CUT`` the stopping weights, counts of 0 and 1, and numbers of its nodes; at most 2^24 rows come to the driver."""
+    parts = deep.where("node is not null").groupBy("node").agg(F.sum("n0").alias("n0"), F.sum("n1").alias("n1"), F.sum("block").alias("block"))
+    rows = parts.toArrow()
+    node, n0, n1, split = (rows.column(c).to_numpy() for c in ("node", "n0", "n1", "block"))
+    order = np.argsort(node)
+    node, n0, n1, split = node[order], n0[order], n1[order], split[order]
+    out = []
+    for d in range(CUT - 1, -1, -1):
+        block, w = _mixed(n0, n1, split)
+        out.append((w, n0, n1, node))
+        if d:  # the earliest byte of the context goes
+            up = (((node >> 8) & ((1 << (8 * (d - 1))) - 1)) << 8) | (node & 255)
+            node, inverse = np.unique(up, return_inverse=True)
+            n0, n1 = (np.bincount(inverse, v, len(node)).astype(np.int64) for v in (n0, n1))
+            split = np.bincount(inverse, block, len(node))
+    w, n0, n1, node = out[-1]  # the root's nodes are told by place
+    full = [np.full(256, 0.5), np.zeros(256, np.int64), np.zeros(256, np.int64), np.arange(256)]
+    for whole, part in zip(full, (w, n0, n1), strict=False):
+        whole[node] = part
+    out[-1] = tuple(full)
     return out[::-1]
 
 
-def _slot_arrays(level: DataFrame, size: int) -> tuple[np.ndarray, np.ndarray]:
-    one = ((F.col("n1") + 0.5) / (F.col("n0") + F.col("n1") + 1)).cast("float")
-    rows = level.select("node", F.col("w").cast("float").alias("w"), one.alias("p")).toArrow()
-    w, p = np.full(size, 0.5, np.float16), np.full(size, 0.5, np.float32)
-    at = rows.column("node").to_numpy()
-    w[at], p[at] = rows.column("w").to_numpy(), rows.column("p").to_numpy()
-    return w, p
+def fit_tree(counts: DataFrame) -> list[tuple[np.ndarray, ...]]:
+    """``upper_tree`` of counts."""
+    return upper_tree(written(deep_nodes(counts), "tree-deep"))
 
 
-def gram_log10(tree: list[tuple[np.ndarray, np.ndarray]], gram: np.ndarray) -> np.ndarray:
-    """log10 probability of the last byte of each gram after the bytes before it."""
+def gram_log10(tree: list[tuple[np.ndarray, ...]], gram: np.ndarray, chance: np.ndarray) -> np.ndarray:
+    """log10 probability of the last byte of each gram; ``chance`` has each bit's from depth ``CUT`` down."""
     total = np.zeros(len(gram))
-    for bit in range(8):
-        slots = node_slots(gram, bit)
-        p = tree[DEPTH][1][slots[DEPTH]].astype(np.float64)
-        for d in range(DEPTH - 1, -1, -1):
-            w = tree[d][0][slots[d]].astype(np.float64)
-            p += w * (tree[d][1][slots[d]] - p)
-        one = ((gram >> np.uint64(7 - bit)) & np.uint64(1)).astype(bool)
-        total += np.log10(np.where(one, p, 1 - p))
+    for t in range(8):
+        slots = node_slots(gram, t)
+        one = ((gram >> np.uint64(7 - t)) & np.uint64(1)).astype(bool)
+        p = chance[:, t].astype(np.float64)
+        for d in range(CUT - 1, -1, -1):
+            w, n0, n1, node = tree[d]
+            at = np.searchsorted(node, slots[d])
+            p += w[at] * ((np.where(one, n1[at], n0[at]) + 0.5) / (n0[at] + n1[at] + 1.0) - p)
+        total += np.log10(p)
     return total
 
 
-def text_log10(tree, texts: list[str | None]) -> np.ndarray:
-    """log10 probability of each coded text."""
-    _, data, starts = streams(texts)
-    code, begins = grams(data, starts)
-    distinct, inverse = np.unique(code, return_inverse=True)
-    return np.add.reduceat(gram_log10(tree, distinct)[inverse], begins)
+def gram_scores(counts: DataFrame) -> DataFrame:
+    """``(key, held, score)``: log10 probability of the last byte of each string after the bytes before it."""
+    deep = written(deep_nodes(counts), "tree-deep")
+    tree = counts.sparkSession.sparkContext.broadcast(upper_tree(deep))
+
+    def score(batches):
+        for b in batches:
+            gram = b.column("key").to_numpy().view(np.uint64)
+            chance = b.column("chance").flatten().to_numpy().reshape(-1, 8)
+            yield pa.RecordBatch.from_arrays([b.column("key"), b.column("held"), pa.array(gram_log10(tree.value, gram, chance))], names=["key", "held", "score"])
+
+    return deep.where("key is not null").select("key", "held", "chance").mapInArrow(score, "key long, held long, score double")
+
+
+def _hot_floor(scores: DataFrame) -> int:
+    """The least count from which on there are at most ``HOT_GRAMS`` strings."""
+    step = F.floor(F.log2(F.col("held").cast("double")) * 16).cast("int")
+    sizes = sorted((r["step"], r["low"], r["c"]) for r in scores.groupBy(step.alias("step")).agg(F.min("held").alias("low"), F.count("*").alias("c")).collect())  # at most 16 * 63 rows
+    floor, total = 1 << 62, 0
+    for _, low, c in reversed(sizes):
+        total += c
+        if total > HOT_GRAMS:
+            break
+        floor = low
+    return floor
 
 
 def score_texts(docs: DataFrame, train: Column) -> DataFrame:
     """``(doc_id, trained, n_tokens, n_known, train_tokens, base_score, score)`` of every row; learns from rows where ``train``."""
     spark = docs.sparkSession
     rows = docs.select(id_key(F.col("doc_id")).alias("did"), "text", F.coalesce(train, F.lit(False)).alias("trained"))
-    counts = written(corpus_counts(rows.where("trained")), "corpus-counts")
-    tree = spark.sparkContext.broadcast(fit_tree(counts))
+    counts = written(corpus_counts(rows), "corpus-counts")
+    scores = written(gram_scores(counts), "gram-scores")
+    least = _hot_floor(scores)
+    top = scores.where(F.col("held") >= least).orderBy("key").select("key", "score").toArrow()  # at most HOT_GRAMS rows
+    likely = spark.sparkContext.broadcast((top.column("key").to_numpy().view(np.uint64), top.column("score").to_numpy()))
     words = counts.where(F.col("kind") == WORD)
     n, v = words.agg(F.coalesce(F.sum("n"), F.lit(0)), F.count("*")).first()
     floor = max(2, n // HOT_WORDS)
@@ -272,6 +385,28 @@ def score_texts(docs: DataFrame, train: Column) -> DataFrame:
         at = np.minimum(np.searchsorted(keys, flat), len(keys) - 1)
         return keys[at] == flat, counts_[at]
 
+    def hot_score(texts):
+        """Sum over the broadcast strings of each text; distinct others, the row of each and how often it is there."""
+        keys, values = likely.value
+        _, data, starts = streams(texts)
+        code, begins = grams(data, starts)
+        distinct, inverse = np.unique(code, return_inverse=True)
+        at = np.minimum(np.searchsorted(keys, distinct), max(len(keys) - 1, 0))
+        hot = keys[at] == distinct if len(keys) else np.zeros(len(distinct), bool)
+        value = np.zeros(len(distinct))
+        value[hot] = values[at[hot]]
+        far = np.flatnonzero(~hot[inverse])
+        return np.add.reduceat(value[inverse], begins), code[far], np.searchsorted(begins, far, "right") - 1
+
+    def counted(key, row):
+        """Distinct ``(row, key)`` and how often each is there."""
+        order_ = np.lexsort((key, row))
+        key, row = key[order_], row[order_]
+        new = np.ones(len(key), bool)
+        new[1:] = (key[1:] != key[:-1]) | (row[1:] != row[:-1])
+        at = np.flatnonzero(new)
+        return key[at], row[at], np.diff(np.append(at, len(key))).astype(np.int32)
+
     def scored(batches):
         from padgrad.llm.shingles import WordHashes
 
@@ -281,7 +416,7 @@ def score_texts(docs: DataFrame, train: Column) -> DataFrame:
             is_hot, c = known(flat)
             size = len(texts)
             yield pa.RecordBatch.from_arrays(
-                [part.column("row"), part.column("did"), part.column("trained"), pa.array(np.bincount(row, minlength=size)), pa.array(np.bincount(row[is_hot], minlength=size)), pa.array(np.bincount(row[is_hot], np.log10(c[is_hot] + 1.0), size).astype(np.float64)), pa.array(text_log10(tree.value, texts))],
+                [part.column("row"), part.column("did"), part.column("trained"), pa.array(np.bincount(row, minlength=size)), pa.array(np.bincount(row[is_hot], minlength=size)), pa.array(np.bincount(row[is_hot], np.log10(c[is_hot] + 1.0), size).astype(np.float64)), pa.array(hot_score(texts)[0])],
                 names=["row", "did", "trained", "n_tokens", "hot_known", "hot_sum", "score"],
             )
 
@@ -292,24 +427,24 @@ def score_texts(docs: DataFrame, train: Column) -> DataFrame:
         for part, texts in _slices(batches):
             flat, row = hashed(texts, hashes)
             cold = ~known(flat)[0]
-            order_ = np.lexsort((flat[cold], row[cold]))
-            key, r = flat[cold][order_], row[cold][order_]
-            new = np.ones(len(key), bool)
-            new[1:] = (key[1:] != key[:-1]) | (r[1:] != r[:-1])
-            at = np.flatnonzero(new)
-            times = np.diff(np.append(at, len(key))).astype(np.int32)
-            yield pa.RecordBatch.from_arrays([part.column("row").take(pa.array(r[at])), pa.array(key[at].view(np.int64)), pa.array(times)], names=["row", "key", "times"])
+            for kind, key, r in ((WORD, flat[cold], row[cold]), (GRAM, *hot_score(texts)[1:])):
+                key, r, times = counted(key, r)
+                yield pa.RecordBatch.from_arrays([part.column("row").take(pa.array(r)), pa.array(np.full(len(key), kind, np.int32)), pa.array(key.view(np.int64)), pa.array(times)], names=["row", "kind", "key", "times"])
 
     base = keyed.mapInArrow(scored, "row long, did long, trained boolean, n_tokens long, hot_known long, hot_sum double, score double")
-    cold = keyed.select("row", "text").mapInArrow(rare, "row long, key long, times int")
-    found = cold.join(words.where(F.col("n") < floor).select("key", "n").hint("merge"), "key")
-    cold_sums = found.groupBy("row").agg(F.sum("times").alias("known"), F.sum(F.col("times") * F.log10(F.col("n") + 1.0)).alias("cold_sum"))
+    cold = keyed.select("row", "text").mapInArrow(rare, "row long, kind int, key long, times int")
+    values = words.where(F.col("n") < floor).select("kind", "key", F.log10(F.col("n") + 1.0).alias("value"))
+    values = values.unionByName(scores.where(F.col("held") < least).select(F.lit(GRAM).alias("kind"), "key", F.col("score").alias("value")))
+    found = cold.join(values.hint("merge"), ["kind", "key"])
+    is_word, part = F.col("kind") == WORD, F.col("times") * F.col("value")
+    cold_sums = found.groupBy("row").agg(F.sum(F.when(is_word, F.col("times"))).alias("known"), F.sum(F.when(is_word, part)).alias("cold_sum"), F.sum(F.when(~is_word, part)).alias("far_sum"))
     if repeated:
         same = keyed.groupBy("row").agg(F.count("*").alias("copies"))
-        cold_sums = cold_sums.join(same, "row").select("row", F.expr("known div copies").alias("known"), (F.col("cold_sum") / F.col("copies")).alias("cold_sum"))
+        cold_sums = cold_sums.join(same, "row").select("row", F.expr("known div copies").alias("known"), (F.col("cold_sum") / F.col("copies")).alias("cold_sum"), (F.col("far_sum") / F.col("copies")).alias("far_sum"))
     out = base.join(cold_sums, "row", "left")
     return out.select(
         F.when(F.col("did") != NO_ID, F.col("did")).alias("doc_id"), "trained", "n_tokens",
         (F.col("hot_known") + F.coalesce("known", F.lit(0))).cast("long").alias("n_known"), F.lit(n).cast("long").alias("train_tokens"),
-        (F.col("hot_sum") + F.coalesce("cold_sum", F.lit(0.0)) - F.col("n_tokens") * math.log10(n + v + 1)).alias("base_score"), "score",
+        (F.col("hot_sum") + F.coalesce("cold_sum", F.lit(0.0)) - F.col("n_tokens") * math.log10(n + v + 1)).alias("base_score"),
+        (F.col("score") + F.coalesce("far_sum", F.lit(0.0))).alias("score"),
     )
