@@ -6,7 +6,7 @@ all that the stage before kept; all but the last return the columns of ``documen
 and reads it again, so a lost executor never costs a finished stage.
 
 Nulls, empty and very long texts, ties, repeated rows and extra columns are handled as
-the stages' operators say; an empty table gives no pieces.
+the stages' operators say; rows that share an id are judged each by its own text; an empty table gives no pieces.
 """
 
 from __future__ import annotations
@@ -16,10 +16,10 @@ from pyspark.sql import functions as F
 
 from padgrad.llm.decontamination import decontaminate
 from padgrad.llm.line_dedup import dedup_lines
-from padgrad.llm.near_dedup import near_duplicates
+from padgrad.llm.near_dedup import drop_near_duplicates
 from padgrad.llm.packing import pack_documents
 from padgrad.llm.quality import score_quality
-from padgrad.shared import scratch, stored, written
+from padgrad.shared import written
 
 #: Documents that score less are rejected.
 LEAST_QUALITY = 0.3
@@ -45,14 +45,12 @@ def line_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def near_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each group of near-duplicates, the one with the smallest id."""
-    with scratch(spark):
-        gone = stored(near_duplicates(docs, NEAR_PERCENT).where(~F.col("kept")).select("doc_id").distinct(), "near-gone")
-    return docs.join(gone, docs["doc_id"].eqNullSafe(gone["doc_id"]), "left_anti")
+    """One row of each group of near-duplicates, the one with the smallest id (a null id last)."""
+    return drop_near_duplicates(docs, NEAR_PERCENT)
 
 
 def decontamination(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents that hold no benchmark item."""
+    """Rows whose own text holds no benchmark item."""
     return decontaminate(docs, _table(spark, sf_dir, "benchmark"), LEAK_SIMILARITY).select(*docs.columns)
 
 

@@ -95,11 +95,11 @@ def anchors(items: DataFrame, threshold: float, sizes: list[int]) -> DataFrame:
     return rows.where(F.col("before") <= (1 - threshold) * F.col("total")).select("k", "hash", "n", "place").distinct()
 
 
-def find_leaks(docs: DataFrame, benchmark: DataFrame, threshold: float = 0.8, radius: int = 19, size: int = 5) -> DataFrame:
-    """``(doc_id, item_id, similarity, start, words)``: the best window of each document for each item it holds."""
+def matching_windows(docs: DataFrame, benchmark: DataFrame, threshold: float, radius: int, size: int) -> DataFrame:
+    """``(doc_id, did, th, item_id, similarity, start, n)``: all windows that reach the threshold; ``did`` and ``th`` stand for id and text."""
     items = written(item_table(benchmark, size), "leak-items")
     sizes = sorted(r["k"] for r in items.select("k").distinct().collect())  # at most ``size`` values
-    schema = "doc_id long, item_id long, similarity double, start int, words int"
+    schema = "doc_id long, did long, th long, item_id long, similarity double, start int, n int"
     if not sizes:
         return docs.sparkSession.createDataFrame([], schema)
     keys = written(anchors(items, threshold, sizes), "leak-anchors")
@@ -129,13 +129,21 @@ def find_leaks(docs: DataFrame, benchmark: DataFrame, threshold: float = 0.8, ra
     def weight(s):
         return F.aggregate(s, F.lit(0), lambda acc, x: acc + F.length(x))
 
-    sim = near.select("doc_id", "did", "item_id", "start", "n", a.alias("a"), b.alias("b")).withColumn("similarity", weight(F.array_intersect("a", "b")) / weight(F.array_union("a", "b")))
-    best = sim.where(F.col("similarity") >= threshold).groupBy("did", "item_id").agg(F.max(F.struct("similarity", (-F.col("start")).alias("neg"), "n", "doc_id")).alias("x"))
+    sim = near.select("doc_id", "did", "th", "item_id", "start", "n", a.alias("a"), b.alias("b")).withColumn("similarity", weight(F.array_intersect("a", "b")) / weight(F.array_union("a", "b")))
+    return sim.where(F.col("similarity") >= threshold)
+
+
+def find_leaks(docs: DataFrame, benchmark: DataFrame, threshold: float = 0.8, radius: int = 19, size: int = 5) -> DataFrame:
+    """``(doc_id, item_id, similarity, start, words)``: the best window of each document for each item it holds."""
+    found = matching_windows(docs, benchmark, threshold, radius, size)
+    best = found.groupBy("did", "item_id").agg(F.max(F.struct("similarity", (-F.col("start")).alias("neg"), "n", "doc_id")).alias("x"))
     return best.select("x.doc_id", "item_id", "x.similarity", (-F.col("x.neg")).alias("start"), F.col("x.n").alias("words"))
 
 
 def decontaminate(docs: DataFrame, benchmark: DataFrame, threshold: float = 0.8) -> DataFrame:
-    """``docs`` without the documents that hold a benchmark item."""
+    """``docs`` without the rows whose own text holds a benchmark item; other rows with the same id, or none, stay."""
     with scratch(docs.sparkSession):
-        leaks = stored(find_leaks(docs, benchmark, threshold).select(id_key(F.col("doc_id")).alias("__did")).distinct(), "leak-docs")
-    return docs.withColumn("__did", id_key(F.col("doc_id"))).join(sized(leaks), "__did", "left_anti").drop("__did")
+        found = matching_windows(docs, benchmark, threshold, 19, 5)
+        leaks = stored(found.select(F.col("did").alias("__did"), F.col("th").alias("__th")).distinct(), "leak-docs")
+    rows = docs.withColumn("__did", id_key(F.col("doc_id"))).withColumn("__th", F.xxhash64("text"))
+    return rows.join(sized(leaks), ["__did", "__th"], "left_anti").drop("__did", "__th")

@@ -33,10 +33,11 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from padgrad.llm.components import components, merged
-from padgrad.shared import written
+from padgrad.llm.textcols import id_key, sized
+from padgrad.shared import scratch, stored, written
 
-SIGNED = "doc_id long, n_shingles long, node binary, bands array<long>"
-_SIGNED = pa.schema([("doc_id", pa.int64()), ("n_shingles", pa.int64()), ("node", pa.binary()), ("bands", pa.list_(pa.int64()))])
+SIGNED = "doc_id long, th long, n_shingles long, node binary, bands array<long>"
+_SIGNED = pa.schema([("doc_id", pa.int64()), ("th", pa.int64()), ("n_shingles", pa.int64()), ("node", pa.binary()), ("bands", pa.list_(pa.int64()))])
 _SETS = pa.schema([("node", pa.binary()), ("shingles", pa.list_(pa.int64()))])
 #: Up to so many candidate classes (16 bytes each) are broadcast to the second pass; beyond, it is a shuffled join.
 BROADCAST_NODES = 2_000_000
@@ -55,22 +56,22 @@ def _slices(batches, columns):
 
 
 def signed(docs: DataFrame, coordinates: int, rows: int, size: int) -> DataFrame:
-    """``SIGNED`` for every document; ``node`` and ``bands`` are null without shingles."""
+    """``SIGNED`` for every document (``th``: hash of its text); ``node`` and ``bands`` are null without shingles."""
 
     def sign(batches):
         from padgrad.llm.shingles import WordHashes, band_keys, shingle_sets, signature
 
         words = WordHashes()
-        for ids, texts in _slices(batches, ("doc_id", "text")):
+        for ids, texts, hashes in _slices(batches, ("doc_id", "text", "th")):
             sets = shingle_sets(texts.to_pylist(), words, size)
             full = [k for k, s in enumerate(sets) if len(s)]
             keys = band_keys(signature([sets[k] for k in full], coordinates), rows) if full else None
             bands, nodes = [None] * len(sets), [None] * len(sets)
             for at, k in enumerate(full):
                 bands[k], nodes[k] = keys[at].tolist(), _node(sets[k])
-            yield pa.RecordBatch.from_arrays([ids.cast(pa.int64()), pa.array([len(s) for s in sets], pa.int64()), pa.array(nodes, pa.binary()), pa.array(bands, _SIGNED.field("bands").type)], schema=_SIGNED)
+            yield pa.RecordBatch.from_arrays([ids.cast(pa.int64()), hashes, pa.array([len(s) for s in sets], pa.int64()), pa.array(nodes, pa.binary()), pa.array(bands, _SIGNED.field("bands").type)], schema=_SIGNED)
 
-    return docs.select("doc_id", "text").mapInArrow(sign, SIGNED)
+    return docs.select("doc_id", "text", F.xxhash64("text").alias("th")).mapInArrow(sign, SIGNED)
 
 
 def shingled(docs: DataFrame, size: int) -> DataFrame:
@@ -153,18 +154,45 @@ def linked_classes(docs: DataFrame, classes: DataFrame, percent: int, size: int)
     return names if more.isEmpty() else merged(names, more)
 
 
-def near_duplicates(docs: DataFrame, percent: int = 80, coordinates: int = 80, rows: int = 4, size: int = 5) -> DataFrame:
-    """``(doc_id, n_shingles, component_id, kept)`` for every document: ``component_id`` is the smallest id reachable."""
+def _components(docs: DataFrame, percent: int, coordinates: int, rows: int, size: int) -> tuple[DataFrame, DataFrame]:
+    """``SIGNED`` of every row, and ``(node, component, first)`` of every class; ``first`` tells the row to keep of its component."""
     base = written(signed(docs, coordinates, rows, size), "near-signed")
+    order = F.struct(F.col("doc_id").isNull().alias("no_id"), id_key(F.col("doc_id")).alias("did"), "th")
     classes = written(
-        base.where("node is not null").groupBy("node").agg(F.max("n_shingles").alias("n_shingles"), F.min("doc_id").alias("first_id"), F.first("bands").alias("bands")),
+        base.where("node is not null").groupBy("node").agg(F.max("n_shingles").alias("n_shingles"), F.min("doc_id").alias("first_id"), F.min(order).alias("first"), F.first("bands").alias("bands")),
         "near-classes",
     )
     names = linked_classes(docs, classes, percent, size)
-    rooted = classes.join(names, "node", "left").select("node", "first_id", F.coalesce("root", "node").alias("root"))
-    least = rooted.groupBy("root").agg(F.min("first_id").alias("component"))
-    of = rooted.join(least, "root").select("node", "component")
-    out = base.join(of, "node", "left").select(
+    rooted = classes.join(names, "node", "left").select("node", "first_id", "first", F.coalesce("root", "node").alias("root"))
+    least = rooted.groupBy("root").agg(F.min("first_id").alias("component"), F.min("first").alias("first"))
+    return base, rooted.select("node", "root").join(least, "root").select("node", "component", "first")
+
+
+def near_duplicates(docs: DataFrame, percent: int = 80, coordinates: int = 80, rows: int = 4, size: int = 5) -> DataFrame:
+    """``(doc_id, n_shingles, component_id, kept)`` for every document: ``component_id`` is the smallest id reachable, ``kept`` whether it is the row's own."""
+    base, of = _components(docs, percent, coordinates, rows, size)
+    out = base.join(of.select("node", "component"), "node", "left").select(
         "doc_id", "n_shingles", F.when(F.col("node").isNull(), F.col("doc_id")).otherwise(F.col("component")).alias("component_id")
     )
     return out.withColumn("kept", F.col("doc_id").eqNullSafe(F.col("component_id")))
+
+
+def drop_near_duplicates(docs: DataFrame, percent: int = 80, coordinates: int = 80, rows: int = 4, size: int = 5) -> DataFrame:
+    """``docs`` with exactly one row of each component: smallest id (a null one last), then smallest hash of the text.
+
+    Rows are told apart by id and text, so a row that only shares its id with a dropped one
+    stays. Of rows that repeat both, one stays. Texts without shingles all stay.
+    """
+    with scratch(docs.sparkSession):
+        base, of = _components(docs, percent, coordinates, rows, size)
+        found = base.join(of.select("node", "first"), "node").select(id_key(F.col("doc_id")).alias("__did"), F.col("th").alias("__th"), F.col("first"))
+        best = (F.col("__did") == F.col("first.did")) & (F.col("__th") == F.col("first.th"))
+        keys = found.select("__did", "__th", best.alias("best")).groupBy("__did", "__th", "best").agg(F.count("*").alias("copies"))
+        marks = stored(keys.where(~F.col("best") | (F.col("copies") > 1)).select("__did", "__th", "best"), "near-marks")
+    on = ["__did", "__th"]
+    gone, repeated = marks.where(~F.col("best")).select(on), marks.where("best").select(on)
+    left = docs.withColumn("__did", id_key(F.col("doc_id"))).withColumn("__th", F.xxhash64("text")).join(sized(gone), on, "left_anti")
+    if not repeated.isEmpty():
+        repeated = sized(repeated)
+        left = left.join(repeated, on, "left_anti").unionByName(left.join(repeated, on, "left_semi").dropDuplicates(on))
+    return left.select(*docs.columns)

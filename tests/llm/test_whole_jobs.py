@@ -58,3 +58,21 @@ def test_context_tree_is_exact(spark, monkeypatch, hot):
     flat = lambda c: sorted(c.elements(), key=lambda x: (x[0] is None, x[0] or 0, x[1:]))
     assert [x[:2] for x in flat(got)] == [x[:2] for x in flat(want)]
     assert [x[2] for x in flat(got)] == pytest.approx([x[2] for x in flat(want)], abs=2e-3)
+
+
+def test_rows_that_share_an_id_are_judged_each(spark):
+    from padgrad.llm.decontamination import decontaminate
+    from padgrad.llm.near_dedup import drop_near_duplicates
+
+    a, b, c, d = (" ".join(f"{p}{k}" for k in range(40)) for p in "abcd")
+    rows = [(1, a), (None, a), (7, a), (7, "clean under seven"), (None, "clean without an id"), (8, b), (8, b), (None, c), (None, c), (None, c + " more"), (9, ""), (9, ""), (None, None)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string").repartition(3)
+    got = collections.Counter(tuple(r) for r in drop_near_duplicates(docs, 80).collect())
+    kept_c = [x for x in got if x[1] in (c, c + " more")]
+    assert len(kept_c) == 1 and got[kept_c[0]] == 1
+    del got[kept_c[0]]
+    assert got == collections.Counter([(1, a), (7, "clean under seven"), (None, "clean without an id"), (8, b), (9, ""), (9, ""), (None, None)])
+    bench = spark.createDataFrame([(1, d)], "item_id long, text string")
+    rows = [(None, f"x {d} y"), (None, "clean without an id"), (7, d), (7, "clean under seven"), (7, "clean under seven"), (None, None)]
+    left = decontaminate(spark.createDataFrame(rows, "doc_id long, text string").repartition(3), bench)
+    assert collections.Counter(tuple(r) for r in left.collect()) == collections.Counter([rows[1], rows[3], rows[4], rows[5]])
