@@ -1,19 +1,20 @@
-"""Benchmark decontamination: item-sized windows, SimHash, multi-index Hamming blocks, exact check.
+"""Benchmark decontamination: item-sized windows around rare shingles, exact check.
 
 1. Words are runs of letters and digits, lower-cased. Every position of every
    document gives the hash of its k-word shingle (k = 5, or an item's length where
-   that is less). A window as similar to an item as asked for shares more than
-   ``threshold`` of the item's shingle weight, so it has one of the item's rarest
-   shingles that together weigh more than the rest: only those are looked up. This
+   that is less). A window as similar to an item as asked for shares at least
+   ``threshold`` of the weight of the item's distinct shingles, so it has one of the item's
+   rarest ones that together weigh more than the rest: only those are looked up. This
    loses no match and keeps shingles that many items share out of the search.
-2. A hit at position p of a shingle at place q of an item of L words gives the window
-   ``[p - q, p - q + L)``. Windows are fingerprinted with 64-bit SimHash over their
-   words, weighted by word length.
-3. Fingerprints within ``radius`` agree in one of ``radius + 1`` blocks at least, so an
-   equi-join on (length, block, value) finds every such pair of window and item.
-4. Pairs are checked exactly: shared over united distinct shingles, weighted by their
+2. A hit at position p of a shingle of an item of L words is held by the windows of L
+   words that start at ``p - L + k`` to ``p``, cut off at the text's end. All of them are
+   made for that item, so words put in or left out before the hit do not matter.
+3. Windows are checked exactly: shared over united distinct shingles, weighted by their
    characters.
 
+No fingerprint stands between a window and its check: a SimHash within any radius below 64 bits
+would lose some similar windows.
+
 All of it is DataFrame expressions. Shingle rows are made and filtered within the scan
 when the items' shingles are few enough to broadcast (their number is checked);
 otherwise they are shuffled. Documents with hits are read again by id, likewise.
@@ -30,8 +31,6 @@ from pyspark.sql import functions as F
 from padgrad.llm.textcols import id_key, sized
 from padgrad.shared import scratch, stored, written
 
-BITS = 64
-
 
 def plain_words(text: Column) -> Column:
     """Lower-cased runs of letters and digits."""
@@ -50,92 +49,65 @@ def shingle_texts(words: Column, k: Column) -> Column:
     return F.transform(at, lambda i: F.array_join(F.slice(words, i + 1, k), " "))
 
 
-def simhash(words: Column) -> Column:
-    """64-bit SimHash of an array of words, each weighted by its length."""
-    hashed = F.transform(words, lambda w: F.struct(F.xxhash64(w).alias("h"), F.length(w).alias("n")))
-
-    def lean(bit):
-        return F.aggregate(hashed, F.lit(0), lambda acc, x: acc + x["n"] * (F.call_function("shiftrightunsigned", x["h"], bit).bitwiseAND(F.lit(1)).cast("int") * 2 - 1))
-
-    bits = F.sequence(F.lit(0), F.lit(BITS - 1))
-    return F.aggregate(bits, F.lit(0).cast("long"), lambda acc, b: acc.bitwiseOR(F.when(lean(b) >= 0, F.call_function("shiftleft", F.lit(1).cast("long"), b)).otherwise(F.lit(0).cast("long"))))
-
-
-def blocks(fingerprint: Column, radius: int) -> Column:
-    """``radius + 1`` blocks of near equal width as ``struct(block, value)``."""
-    n = radius + 1
-    edges = [BITS * i // n for i in range(n + 1)]
-    parts = []
-    for i, (a, b) in enumerate(zip(edges[:-1], edges[1:], strict=True)):
-        parts.append(F.struct(F.lit(i).alias("block"), F.shiftrightunsigned(fingerprint, a).bitwiseAND(F.lit((1 << (b - a)) - 1)).alias("value")))
-    return F.array(*parts)
-
-
 def item_table(benchmark: DataFrame, size: int) -> DataFrame:
-    """``(item_id, words, n, k)`` of items that have words."""
+    """``(item_id, words, n, k, item)`` of items that have words; ``item`` stands for id and words."""
     out = benchmark.select("item_id", plain_words(F.col("text")).alias("words")).withColumn("n", F.size("words"))
-    return out.where("n > 0").withColumn("k", F.least(F.col("n"), F.lit(size)))
+    out = out.where("n > 0").withColumn("k", F.least(F.col("n"), F.lit(size))).withColumn("item", F.xxhash64("item_id", "words"))
+    return out.dropDuplicates(["item"])
 
 
 def anchors(items: DataFrame, threshold: float, sizes: list[int]) -> DataFrame:
-    """``(k, hash, n, place)``: the rarest shingles of each item that a match must have one of."""
+    """``(k, hash, n, item)``: the rarest distinct shingles of each item that a match must have one of."""
     parts = []
     for k in sizes:
         own = items.where(F.col("k") == k)
-        parts.append(own.select("item_id", "n", "k", F.posexplode(F.zip_with(shingle_hashes(F.col("words"), k), shingle_texts(F.col("words"), F.col("k")), lambda h, t: F.struct(h.alias("hash"), F.length(t).alias("weight")))).alias("place", "s")))
+        parts.append(own.select("item", "n", "k", F.explode(F.zip_with(shingle_hashes(F.col("words"), k), shingle_texts(F.col("words"), F.col("k")), lambda h, t: F.struct(h.alias("hash"), F.length(t).alias("weight")))).alias("s")))
     rows = parts[0]
     for p in parts[1:]:
         rows = rows.unionByName(p)
-    rows = rows.select("item_id", "n", "k", "place", "s.hash", "s.weight")
-    common = rows.groupBy("k", "hash").agg(F.count_distinct("item_id").alias("in_items"))
+    rows = rows.select("item", "n", "k", "s.hash", "s.weight").dropDuplicates(["item", "hash"])
+    common = rows.groupBy("k", "hash").agg(F.count("*").alias("in_items"))
     rows = rows.join(common, ["k", "hash"])
-    by = Window.partitionBy("item_id")
-    order = by.orderBy("in_items", "hash", "place").rowsBetween(Window.unboundedPreceding, -1)
+    by = Window.partitionBy("item")
+    order = by.orderBy("in_items", "hash").rowsBetween(Window.unboundedPreceding, -1)
     rows = rows.withColumn("total", F.sum("weight").over(by)).withColumn("before", F.coalesce(F.sum("weight").over(order), F.lit(0)))
-    return rows.where(F.col("before") <= (1 - threshold) * F.col("total")).select("k", "hash", "n", "place").distinct()
+    # a hair more than asked for, so that rounding of the threshold loses nothing
+    return rows.where(F.col("before") <= (1 - threshold + 1e-9) * F.col("total")).select("k", "hash", "n", "item")
 
 
-def matching_windows(docs: DataFrame, benchmark: DataFrame, threshold: float, radius: int, size: int) -> DataFrame:
+def matching_windows(docs: DataFrame, benchmark: DataFrame, threshold: float, size: int) -> DataFrame:
     """``(doc_id, did, th, item_id, similarity, start, n)``: all windows that reach the threshold; ``did`` and ``th`` stand for id and text."""
     items = written(item_table(benchmark, size), "leak-items")
     sizes = sorted(r["k"] for r in items.select("k").distinct().collect())  # at most ``size`` values
-    schema = "doc_id long, did long, th long, item_id long, similarity double, start int, n int"
     if not sizes:
-        return docs.sparkSession.createDataFrame([], schema)
+        return docs.sparkSession.createDataFrame([], "doc_id long, did long, th long, item_id long, similarity double, start int, n int")
     keys = written(anchors(items, threshold, sizes), "leak-anchors")
     base = docs.select("doc_id", id_key(F.col("doc_id")).alias("did"), F.xxhash64("text").alias("th"), plain_words(F.col("text")).alias("w"))
     hits = None
     for k in sizes:
         rows = base.select("did", "th", F.posexplode(shingle_hashes(F.col("w"), k)).alias("pos", "hash"))
         own = keys.where(F.col("k") == k)
-        found = rows.join(sized(own.select("hash").distinct()), "hash", "left_semi").join(sized(own.select("hash", "n", "place")), "hash")
-        found = found.select("did", "th", F.greatest(F.lit(0), F.col("pos") - F.col("place")).alias("start"), "n")
+        found = rows.join(sized(own.select("hash").distinct()), "hash", "left_semi").join(sized(own.select("hash", "n", "item")), "hash")
+        first = F.greatest(F.lit(0), F.col("pos") - F.col("n") + k)
+        found = found.select("did", "th", "item", "n", F.explode(F.sequence(first, F.col("pos"))).alias("start"))
         hits = found if hits is None else hits.unionByName(found)
     hits = written(hits.distinct(), "leak-windows")
     own = sized(hits.select("did", "th").distinct())
     texts = base.join(own, ["did", "th"], "left_semi").dropDuplicates(["did", "th"])
-    windows = hits.join(texts, ["did", "th"]).select("doc_id", "did", "th", "start", "n", F.slice("w", F.col("start") + 1, F.col("n")).alias("part"))
-    windows = windows.withColumn("fp", simhash(F.col("part")))
-    cut = F.explode(blocks(F.col("fp"), radius)).alias("b")
-    left = windows.select("*", cut).select("doc_id", "did", "th", "start", "n", "part", "fp", "b.block", "b.value")
-    right = items.withColumn("ifp", simhash(F.col("words"))).select("item_id", "k", "words", "n", "ifp", F.explode(blocks(F.col("ifp"), radius)).alias("b"))
-    right = right.select("item_id", "k", "words", "n", "ifp", "b.block", "b.value")
-    near = left.join(right, ["n", "block", "value"]).where(F.bit_count(F.col("fp").bitwiseXOR(F.col("ifp"))) <= radius)
-    # a pair that agrees in several blocks is checked in the first of them
-    agree = F.array_min(F.filter(F.zip_with(blocks(F.col("fp"), radius), blocks(F.col("ifp"), radius), lambda x, y: F.when(x["value"] == y["value"], x["block"])), lambda z: z.isNotNull()))
-    near = near.where(F.col("block") == agree)
+    windows = hits.join(texts, ["did", "th"]).select("doc_id", "did", "th", "item", "start", "n", F.slice("w", F.col("start") + 1, F.col("n")).alias("part"))
+    pairs = windows.join(items.select("item", "item_id", "words", "k"), "item")
     a, b = shingle_texts(F.col("part"), F.col("k")), shingle_texts(F.col("words"), F.col("k"))
 
     def weight(s):
         return F.aggregate(s, F.lit(0), lambda acc, x: acc + F.length(x))
 
-    sim = near.select("doc_id", "did", "th", "item_id", "start", "n", a.alias("a"), b.alias("b")).withColumn("similarity", weight(F.array_intersect("a", "b")) / weight(F.array_union("a", "b")))
-    return sim.where(F.col("similarity") >= threshold)
+    sim = pairs.select("doc_id", "did", "th", "item_id", "start", "n", a.alias("a"), b.alias("b")).withColumn("similarity", weight(F.array_intersect("a", "b")) / weight(F.array_union("a", "b")))
+    return sim.where(F.col("similarity") >= threshold).drop("a", "b")
 
 
-def find_leaks(docs: DataFrame, benchmark: DataFrame, threshold: float = 0.8, radius: int = 19, size: int = 5) -> DataFrame:
+def find_leaks(docs: DataFrame, benchmark: DataFrame, threshold: float = 0.8, size: int = 5) -> DataFrame:
     """``(doc_id, item_id, similarity, start, words)``: the best window of each document for each item it holds."""
-    found = matching_windows(docs, benchmark, threshold, radius, size)
+    found = matching_windows(docs, benchmark, threshold, size)
     best = found.groupBy("did", "item_id").agg(F.max(F.struct("similarity", (-F.col("start")).alias("neg"), "n", "doc_id")).alias("x"))
     return best.select("x.doc_id", "item_id", "x.similarity", (-F.col("x.neg")).alias("start"), F.col("x.n").alias("words"))
 
@@ -143,7 +115,7 @@ def find_leaks(docs: DataFrame, benchmark: DataFrame, threshold: float = 0.8, ra
 def decontaminate(docs: DataFrame, benchmark: DataFrame, threshold: float = 0.8) -> DataFrame:
     """``docs`` without the rows whose own text holds a benchmark item; other rows with the same id, or none, stay."""
     with scratch(docs.sparkSession):
-        found = matching_windows(docs, benchmark, threshold, 19, 5)
+        found = matching_windows(docs, benchmark, threshold, 5)
         leaks = stored(found.select(F.col("did").alias("__did"), F.col("th").alias("__th")).distinct(), "leak-docs")
     rows = docs.withColumn("__did", id_key(F.col("doc_id"))).withColumn("__th", F.xxhash64("text"))
     return rows.join(sized(leaks), ["__did", "__th"], "left_anti").drop("__did", "__th")

@@ -76,3 +76,42 @@ def test_rows_that_share_an_id_are_judged_each(spark):
     rows = [(None, f"x {d} y"), (None, "clean without an id"), (7, d), (7, "clean under seven"), (7, "clean under seven"), (None, None)]
     left = decontaminate(spark.createDataFrame(rows, "doc_id long, text string").repartition(3), bench)
     assert collections.Counter(tuple(r) for r in left.collect()) == collections.Counter([rows[1], rows[3], rows[4], rows[5]])
+
+
+def test_no_window_of_an_edited_passage_is_lost(spark):
+    """Against all windows of the item's length, after words were put in, left out or changed."""
+    from padgrad.llm.decontamination import find_leaks
+
+    rng = np.random.default_rng(11)
+    vocabulary = ["".join(chr(c) for c in rng.integers(97, 123, int(n))) for n in rng.integers(2, 10, 4000)]
+    pick = lambda n: [vocabulary[k] for k in rng.integers(0, 4000, n)]
+    items = {k: pick(int(rng.integers(30, 60))) for k in range(30)}
+    items[30] = [f"r{k % 6}" for k in range(20)] + [f"t{k}" for k in range(12)]  # repeats its own shingles
+    items[31] = ["just", "three", "words"]
+    rows = []
+    for i, words in items.items():
+        for _ in range(8):
+            w = list(words)
+            for _ in range(int(rng.integers(1, 4))):
+                p, kind = int(rng.integers(0, 4)), rng.integers(3)
+                p = p if rng.random() < 0.5 else max(0, len(w) - 1 - p)
+                w[p : p + (kind > 0)] = [] if kind == 1 and len(w) > 1 else pick(1)
+            rows.append((len(rows), i, pick(5) + w + pick(int(rng.integers(0, 5)))))
+
+    def weighted(w, k):
+        return {x: len(x) for x in (" ".join(w[j : j + k]) for j in range(len(w) - k + 1))}
+
+    want = {}
+    for doc, i, w in rows:
+        n = len(items[i])
+        b = weighted(items[i], min(5, n))
+        for start in range(len(w)):
+            a = weighted(w[start : start + n], min(5, n))
+            s = sum(b[x] for x in a if x in b) / sum({**a, **b}.values())
+            if s >= 0.8 and (s, -start) > want.get((doc, i), (0, 0)):
+                want[doc, i] = (s, -start)
+    docs = spark.createDataFrame([(d, " ".join(w)) for d, _, w in rows], "doc_id long, text string")
+    bench = spark.createDataFrame([(i, " ".join(w)) for i, w in items.items()], "item_id long, text string")
+    got = {(r.doc_id, r.item_id): (r.similarity, -r.start) for r in find_leaks(docs, bench).collect()}
+    assert len(want) > 60 and got.keys() == want.keys()
+    assert all(got[x] == pytest.approx(want[x]) for x in want)
