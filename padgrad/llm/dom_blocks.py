@@ -40,7 +40,7 @@ def names(attributes: str) -> tuple:
         found = []
         for m in _NAMES.finditer(attributes):
             found += [p.lower() for p in _PART.findall(m[2] or m[3] or m[4] or "")]
-        _names_of[attributes] = tuple(dict.fromkeys(found))[:12]
+        _names_of[attributes] = tuple(dict.fromkeys(found))
     return _names_of[attributes]
 
 

@@ -115,3 +115,11 @@ def test_no_window_of_an_edited_passage_is_lost(spark):
     got = {(r.doc_id, r.item_id): (r.similarity, -r.start) for r in find_leaks(docs, bench).collect()}
     assert len(want) > 60 and got.keys() == want.keys()
     assert all(got[x] == pytest.approx(want[x]) for x in want)
+
+
+def test_every_name_of_an_element_counts():
+    from padgrad.llm.dom_blocks import leaf_blocks
+
+    many = " ".join(f"u{chr(97 + k)}x" for k in range(20))
+    (block,) = leaf_blocks(f"<div class='{many} comment'><p>text</p></div>")
+    assert "comment" in dict(block.path)["div"]
