@@ -16,12 +16,10 @@ more are made and mixed (``deep_nodes``); their block probabilities are summed i
 above, of which there are at most 2^24 for any corpus (``fit_tree``). That gives every distinct
 string of the corpus, trained or only scored, one exact log-probability.
 
-A text's score is the sum over its strings. The most frequent ones (at most ``HOT_GRAMS``)
-are broadcast; all others are joined by a shuffle, like rare words.
-
-The unigram base needs every word's count. Words with a 50 000th or more of all tokens
-are at most 50 000 and are broadcast; all others are joined by a shuffle on the word's
-64-bit hash.
+A text's score is the sum over its strings, and its unigram base the sum over its words. The most
+frequent strings and words (at most ``HOT_GRAMS`` and ``HOT_WORDS``) are broadcast; all others are
+joined by a shuffle, words on their 64-bit hash. One pass over the texts gives both the
+sums over broadcast keys and the rows to be joined.
 
 Defined cases: null or empty text is the end alone; repeated rows are scored each; with
 nothing to learn from, every bit has probability one half and the base is 0.
@@ -30,6 +28,7 @@ nothing to learn from, every bit has probability one half and the base is 0.
 from __future__ import annotations
 
 import math
+import uuid
 
 import numpy as np
 import pyarrow as pa
@@ -42,12 +41,13 @@ from padgrad.shared import written
 DEPTH = 5
 #: Nodes above this depth are shared by tasks.
 CUT = 3
-HOT_WORDS = 50_000
-#: Strings (16 bytes each) whose log-probabilities are broadcast; no others are lost, they are joined.
-HOT_GRAMS = 2_000_000
+#: Words and strings (16 bytes each) whose values are broadcast; no others are lost, they are joined.
+HOT_WORDS, HOT_GRAMS = 1_000_000, 2_000_000
 END = 10
 #: Kinds of counts: strings of texts to learn from, words, strings of other texts.
 GRAM, WORD, OTHER = 0, 1, 2
+#: Rows of the scoring pass that hold a text's sums over broadcast keys.
+SUMS = 3
 
 
 def streams(texts: list[str | None]) -> tuple[list[list[bytes]], np.ndarray, np.ndarray]:
@@ -85,9 +85,9 @@ class Tally:
     def __init__(self, most: int = 1_500_000):
         self.most, self.parts, self.held = most, [], 0
 
-    def add(self, keys: np.ndarray, counts: np.ndarray | None = None):
-        k, inverse = np.unique(keys, return_inverse=True)
-        self.parts.append((k, np.bincount(inverse, counts, len(k)).astype(np.int64)))
+    def add(self, keys: np.ndarray):
+        k, n = np.unique(keys, return_counts=True)
+        self.parts.append((k, n.astype(np.int64)))
         self.held += len(k)
         if self.held < self.most:
             return None
@@ -101,9 +101,51 @@ class Tally:
     def merged(self) -> tuple[np.ndarray, np.ndarray]:
         if not self.parts:
             return np.zeros(0, np.uint64), np.zeros(0, np.int64)
-        keys = np.concatenate([p[0] for p in self.parts])
-        k, inverse = np.unique(keys, return_inverse=True)
-        return k, np.bincount(inverse, np.concatenate([p[1] for p in self.parts]), len(k)).astype(np.int64)
+        if len(self.parts) == 1:
+            return self.parts[0]
+        keys, counts = (np.concatenate(x) for x in zip(*self.parts, strict=True))
+        order = np.argsort(keys, kind="stable")  # parts are runs in order already
+        keys = keys[order]
+        at = np.flatnonzero(np.append(True, keys[1:] != keys[:-1]))
+        return keys[at], np.add.reduceat(counts[order], at)
+
+
+class Lookup:
+    """Values of 64-bit keys, found for whole arrays at once by open addressing."""
+
+    NONE = np.uint64(2**64 - 1)
+
+    def __init__(self, keys: np.ndarray, values: np.ndarray):
+        bits = max(4, int(len(keys)).bit_length() + 1)
+        self.shift, self.mask = np.uint64(64 - bits), (1 << bits) - 1
+        self.keys, self.values = np.full(1 << bits, self.NONE), np.zeros(1 << bits)
+        left, at = np.arange(len(keys)), self._first(keys)
+        while len(left):
+            free = self.keys[at] == self.NONE
+            self.keys[at[free]] = keys[left[free]]
+            placed = self.keys[at] == keys[left]
+            self.values[at[placed]] = values[left[placed]]
+            left, at = left[~placed], (at[~placed] + 1) & self.mask
+
+    def _first(self, keys: np.ndarray) -> np.ndarray:
+        return ((keys * np.uint64(0x9E3779B97F4A7C15)) >> self.shift).astype(np.int64)
+
+    def find(self, keys: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Whether each key is there, and its value or 0."""
+        at = self._first(keys)
+        there = self.keys[at]
+        found, value = there == keys, self.values[at]
+        value[~found] = 0.0
+        left = np.flatnonzero(~found & (there != self.NONE))
+        at = at[left]
+        while len(left):
+            at = (at + 1) & self.mask
+            there = self.keys[at]
+            hit = there == keys[left]
+            found[left[hit]], value[left[hit]] = True, self.values[at[hit]]
+            go = ~hit & (there != self.NONE)
+            left, at = left[go], at[go]
+        return found, value
 
 
 def _slices(batches, most_bytes: int = 2_000_000):
@@ -335,116 +377,103 @@ def gram_scores(counts: DataFrame) -> DataFrame:
     return deep.where("key is not null").select("key", "held", "chance").mapInArrow(score, "key long, held long, score double")
 
 
-def _hot_floor(scores: DataFrame) -> int:
-    """The least count from which on there are at most ``HOT_GRAMS`` strings."""
-    step = F.floor(F.log2(F.col("held").cast("double")) * 16).cast("int")
-    sizes = sorted((r["step"], r["low"], r["c"]) for r in scores.groupBy(step.alias("step")).agg(F.min("held").alias("low"), F.count("*").alias("c")).collect())  # at most 16 * 63 rows
+def _hot_floor(rows: DataFrame, column: str, most: int) -> int:
+    """The least value of ``column`` from which on there are at most ``most`` rows."""
+    step = F.floor(F.log2(F.col(column).cast("double")) * 16).cast("int")
+    sizes = sorted((r["step"], r["low"], r["c"]) for r in rows.groupBy(step.alias("step")).agg(F.min(column).alias("low"), F.count("*").alias("c")).collect())  # at most 16 * 63 rows
     floor, total = 1 << 62, 0
     for _, low, c in reversed(sizes):
         total += c
-        if total > HOT_GRAMS:
+        if total > most:
             break
         floor = low
     return floor
 
 
+_SCORED = pa.schema([("row", pa.int64()), ("kind", pa.int32()), ("key", pa.int64()), ("times", pa.int32()), ("did", pa.int64()), ("trained", pa.bool_()), ("n_tokens", pa.int64()), ("known", pa.int64()), ("base", pa.float64()), ("score", pa.float64())])
+_tables: dict[str, tuple[Lookup, Lookup]] = {}
+
+
+def _counted(key: np.ndarray, row: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Distinct ``(row, key)`` and how often each is there."""
+    order = np.lexsort((key, row))
+    key, row = key[order], row[order]
+    at = np.flatnonzero(np.append(True, (key[1:] != key[:-1]) | (row[1:] != row[:-1]))) if len(key) else np.zeros(0, np.int64)
+    return key[at], row[at], np.diff(np.append(at, len(key))).astype(np.int32)
+
+
+def _scorer(common, likely):
+    """Arrow pass giving, as ``_SCORED``, each text's sums over broadcast words and strings, and its other words and strings."""
+
+    model = uuid.uuid4().hex
+
+    def score(batches):
+        from padgrad.llm.shingles import WordHashes
+
+        if model not in _tables:  # one pair for each worker process
+            _tables.clear()
+            _tables[model] = Lookup(*common.value), Lookup(*likely.value)
+        of_word, of_string = _tables[model]
+        hashes = WordHashes()
+        for part, texts in _slices(batches):
+            size = len(texts)
+            words, data, starts = streams(texts)
+            sizes = np.array([len(w) + 1 for w in words])
+            flat, ends = np.zeros(sizes.sum(), np.uint64), np.cumsum(sizes) - 1  # the end is word 0
+            is_word = np.ones(len(flat), bool)
+            is_word[ends] = False
+            flat[is_word] = np.fromiter((hashes[x] for w in words for x in w), np.uint64, len(flat) - size)
+            row = np.repeat(np.arange(size), sizes)
+            known, value = of_word.find(flat)
+            code, begins = grams(data, starts)
+            likely_, score_ = of_string.find(code)
+            sums = [part.column("row"), pa.array(np.full(size, SUMS, np.int32)), pa.nulls(size, pa.int64()), pa.nulls(size, pa.int32()), part.column("did"), part.column("trained"), pa.array(sizes), pa.array(np.bincount(row[known], minlength=size)), pa.array(np.bincount(row, value, size)), pa.array(np.add.reduceat(score_, begins))]
+            yield pa.RecordBatch.from_arrays(sums, schema=_SCORED)
+            far = np.flatnonzero(~likely_)
+            for kind, key, r in ((WORD, flat[~known], row[~known]), (GRAM, code[far], np.searchsorted(begins, far, "right") - 1)):
+                key, r, times = _counted(key, r)
+                n = len(key)
+                rest = [pa.nulls(n, f.type) for f in list(_SCORED)[4:]]
+                yield pa.RecordBatch.from_arrays([part.column("row").take(pa.array(r)), pa.array(np.full(n, kind, np.int32)), pa.array(key.view(np.int64)), pa.array(times), *rest], schema=_SCORED)
+
+    return score
+
+
 def score_texts(docs: DataFrame, train: Column) -> DataFrame:
     """``(doc_id, trained, n_tokens, n_known, train_tokens, base_score, score)`` of every row; learns from rows where ``train``."""
     spark = docs.sparkSession
     rows = docs.select(id_key(F.col("doc_id")).alias("did"), "text", F.coalesce(train, F.lit(False)).alias("trained"))
     counts = written(corpus_counts(rows), "corpus-counts")
     scores = written(gram_scores(counts), "gram-scores")
-    least = _hot_floor(scores)
-    top = scores.where(F.col("held") >= least).orderBy("key").select("key", "score").toArrow()  # at most HOT_GRAMS rows
-    likely = spark.sparkContext.broadcast((top.column("key").to_numpy().view(np.uint64), top.column("score").to_numpy()))
     words = counts.where(F.col("kind") == WORD)
     n, v = words.agg(F.coalesce(F.sum("n"), F.lit(0)), F.count("*")).first()
-    floor = max(2, n // HOT_WORDS)
-    hot = words.where((F.col("n") >= floor) | (F.col("key") == 0)).orderBy("key").select("key", "n").toArrow()  # at most HOT_WORDS + 1 rows
-    hot_keys, hot_n = hot.column("key").to_numpy().view(np.uint64), hot.column("n").to_numpy()
-    order = np.argsort(hot_keys)
-    common = spark.sparkContext.broadcast((hot_keys[order], hot_n[order]))
-    repeated = not rows.groupBy("did").count().where("count > 1").isEmpty()
-    keyed = rows.withColumn("row", F.xxhash64("did", F.coalesce("text", F.lit(""))) if repeated else F.col("did")).select("row", "did", "text", "trained")
-
-    def hashed(texts, hashes):
-        """Word hashes of all texts with an end (0) after each, and the row of each."""
-        split = [(t or "").encode("utf-8", "surrogatepass").lower().split() for t in texts]
-        sizes = [len(w) + 1 for w in split]
-        flat = np.zeros(sum(sizes), np.uint64)
-        at = 0
-        for w in split:
-            flat[at : at + len(w)] = np.fromiter(map(hashes.__getitem__, w), np.uint64, len(w))
-            at += len(w) + 1
-        return flat, np.repeat(np.arange(len(texts)), sizes)
-
-    def known(flat):
-        keys, counts_ = common.value
-        if not len(keys):
-            return np.zeros(len(flat), bool), np.zeros(len(flat), np.int64)
-        at = np.minimum(np.searchsorted(keys, flat), len(keys) - 1)
-        return keys[at] == flat, counts_[at]
-
-    def hot_score(texts):
-        """Sum over the broadcast strings of each text; distinct others, the row of each and how often it is there."""
-        keys, values = likely.value
-        _, data, starts = streams(texts)
-        code, begins = grams(data, starts)
-        distinct, inverse = np.unique(code, return_inverse=True)
-        at = np.minimum(np.searchsorted(keys, distinct), max(len(keys) - 1, 0))
-        hot = keys[at] == distinct if len(keys) else np.zeros(len(distinct), bool)
-        value = np.zeros(len(distinct))
-        value[hot] = values[at[hot]]
-        far = np.flatnonzero(~hot[inverse])
-        return np.add.reduceat(value[inverse], begins), code[far], np.searchsorted(begins, far, "right") - 1
-
-    def counted(key, row):
-        """Distinct ``(row, key)`` and how often each is there."""
-        order_ = np.lexsort((key, row))
-        key, row = key[order_], row[order_]
-        new = np.ones(len(key), bool)
-        new[1:] = (key[1:] != key[:-1]) | (row[1:] != row[:-1])
-        at = np.flatnonzero(new)
-        return key[at], row[at], np.diff(np.append(at, len(key))).astype(np.int32)
-
-    def scored(batches):
-        from padgrad.llm.shingles import WordHashes
-
-        hashes = WordHashes()
-        for part, texts in _slices(batches):
-            flat, row = hashed(texts, hashes)
-            is_hot, c = known(flat)
-            size = len(texts)
-            yield pa.RecordBatch.from_arrays(
-                [part.column("row"), part.column("did"), part.column("trained"), pa.array(np.bincount(row, minlength=size)), pa.array(np.bincount(row[is_hot], minlength=size)), pa.array(np.bincount(row[is_hot], np.log10(c[is_hot] + 1.0), size).astype(np.float64)), pa.array(hot_score(texts)[0])],
-                names=["row", "did", "trained", "n_tokens", "hot_known", "hot_sum", "score"],
-            )
+    least, floor = _hot_floor(scores, "held", HOT_GRAMS), _hot_floor(words, "n", HOT_WORDS)
 
-    def rare(batches):
-        from padgrad.llm.shingles import WordHashes
+    def shared(table):  # at most HOT_GRAMS or HOT_WORDS rows
+        top = table.toArrow()
+        return spark.sparkContext.broadcast((top.column("key").to_numpy().view(np.uint64), top.column("value").to_numpy()))
 
-        hashes = WordHashes()
-        for part, texts in _slices(batches):
-            flat, row = hashed(texts, hashes)
-            cold = ~known(flat)[0]
-            for kind, key, r in ((WORD, flat[cold], row[cold]), (GRAM, *hot_score(texts)[1:])):
-                key, r, times = counted(key, r)
-                yield pa.RecordBatch.from_arrays([part.column("row").take(pa.array(r)), pa.array(np.full(len(key), kind, np.int32)), pa.array(key.view(np.int64)), pa.array(times)], names=["row", "kind", "key", "times"])
-
-    base = keyed.mapInArrow(scored, "row long, did long, trained boolean, n_tokens long, hot_known long, hot_sum double, score double")
-    cold = keyed.select("row", "text").mapInArrow(rare, "row long, kind int, key long, times int")
-    values = words.where(F.col("n") < floor).select("kind", "key", F.log10(F.col("n") + 1.0).alias("value"))
+    words = words.select("kind", "key", "n", F.log10(F.col("n") + 1.0).alias("value"))
+    likely = shared(scores.where(F.col("held") >= least).select("key", F.col("score").alias("value")))
+    common = shared(words.where((F.col("n") >= floor) | (F.col("key") == 0)).select("key", "value"))
+    repeated = not rows.groupBy("did").count().where("count > 1").isEmpty()
+    keyed = rows.withColumn("row", F.xxhash64("did", F.coalesce("text", F.lit(""))) if repeated else F.col("did")).select("row", "did", "text", "trained")
+    ddl = "row long, kind int, key long, times int, did long, trained boolean, n_tokens long, known long, base double, score double"
+    parts = written(keyed.mapInArrow(_scorer(common, likely), ddl), "text-scores")
+    base = parts.where(F.col("kind") == SUMS).select("row", "did", "trained", "n_tokens", "known", "base", "score")
+    cold = parts.where(F.col("kind") != SUMS).select("row", "kind", "key", "times")
+    values = words.where((F.col("n") < floor) & (F.col("key") != 0)).select("kind", "key", "value")
     values = values.unionByName(scores.where(F.col("held") < least).select(F.lit(GRAM).alias("kind"), "key", F.col("score").alias("value")))
     found = cold.join(values.hint("merge"), ["kind", "key"])
     is_word, part = F.col("kind") == WORD, F.col("times") * F.col("value")
-    cold_sums = found.groupBy("row").agg(F.sum(F.when(is_word, F.col("times"))).alias("known"), F.sum(F.when(is_word, part)).alias("cold_sum"), F.sum(F.when(~is_word, part)).alias("far_sum"))
+    cold_sums = found.groupBy("row").agg(F.sum(F.when(is_word, F.col("times"))).alias("far_known"), F.sum(F.when(is_word, part)).alias("far_base"), F.sum(F.when(~is_word, part)).alias("far_score"))
     if repeated:
         same = keyed.groupBy("row").agg(F.count("*").alias("copies"))
-        cold_sums = cold_sums.join(same, "row").select("row", F.expr("known div copies").alias("known"), (F.col("cold_sum") / F.col("copies")).alias("cold_sum"), (F.col("far_sum") / F.col("copies")).alias("far_sum"))
+        cold_sums = cold_sums.join(same, "row").select("row", F.expr("far_known div copies").alias("far_known"), (F.col("far_base") / F.col("copies")).alias("far_base"), (F.col("far_score") / F.col("copies")).alias("far_score"))
     out = base.join(cold_sums, "row", "left")
     return out.select(
         F.when(F.col("did") != NO_ID, F.col("did")).alias("doc_id"), "trained", "n_tokens",
-        (F.col("hot_known") + F.coalesce("known", F.lit(0))).cast("long").alias("n_known"), F.lit(n).cast("long").alias("train_tokens"),
-        (F.col("hot_sum") + F.coalesce("cold_sum", F.lit(0.0)) - F.col("n_tokens") * math.log10(n + v + 1)).alias("base_score"),
-        (F.col("score") + F.coalesce("far_sum", F.lit(0.0))).alias("score"),
+        (F.col("known") + F.coalesce("far_known", F.lit(0))).cast("long").alias("n_known"), F.lit(n).cast("long").alias("train_tokens"),
+        (F.col("base") + F.coalesce("far_base", F.lit(0.0)) - F.col("n_tokens") * math.log10(n + v + 1)).alias("base_score"),
+        (F.col("score") + F.coalesce("far_score", F.lit(0.0))).alias("score"),
     )

@@ -18,7 +18,7 @@ def mix(x: np.ndarray) -> np.ndarray:
 class WordHashes(dict):
     """Word to 64-bit hash, cached; cleared when it holds ``most`` words."""
 
-    def __init__(self, most: int = 120_000):
+    def __init__(self, most: int = 300_000):
         import xxhash
 
         super().__init__()

@@ -14,11 +14,23 @@ def test_context_tree_is_exact(spark, monkeypatch, hot):
     from padgrad.llm import context_tree as ct
 
     monkeypatch.setattr(ct, "HOT_GRAMS", hot)
+    monkeypatch.setattr(ct, "HOT_WORDS", hot // 20)
     rng = np.random.default_rng(5)
     rows = [(k, " ".join("".join(chr(c) for c in rng.integers(97, 102, int(n))) for n in rng.integers(1, 7, 12))) for k in range(12)] + [(None, None), (12, "new ßtext"), (3, "twice"), (3, "twice")]
     docs = spark.createDataFrame(rows, "doc_id long, text string").repartition(3)
     train = F.coalesce(F.col("doc_id") < 9, F.lit(False))
-    got = collections.Counter((r.doc_id, r.n_tokens, round(r.score, 4)) for r in ct.score_texts(docs, train).collect())
+    scored = ct.score_texts(docs, train).collect()
+    got = collections.Counter((r.doc_id, r.n_tokens, round(r.score, 4)) for r in scored)
+    words = collections.Counter()
+    for i, text in rows:
+        if i is not None and i < 9:
+            words.update([*(text or "").encode().lower().split(), b""])
+    whole = words.total() + len(words) + 1
+    base = collections.defaultdict(set)
+    for i, text in rows:
+        w = [*(text or "").encode().lower().split(), b""]
+        base[i].add((sum(words[x] > 0 for x in w), round(sum(math.log10((words[x] + 1) / whole) for x in w), 6)))
+    assert all((r.n_known, round(r.base_score, 6)) in base[r.doc_id] for r in scored)
 
     def coded(text):
         data = bytes([10] * ct.DEPTH) + b" ".join((text or "").encode().lower().split()) + b"\n"
