@@ -35,6 +35,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from padgrad.llm.shingles import mix
 from padgrad.llm.textcols import NO_ID, id_key
 from padgrad.shared import written
 
@@ -50,13 +51,34 @@ GRAM, WORD, OTHER = 0, 1, 2
 SUMS = 3
 
 
-def streams(texts: list[str | None]) -> tuple[list[list[bytes]], np.ndarray, np.ndarray]:
-    """Words of each text, all coded bytes with ``DEPTH`` ends before each text, and where each text's own bytes start."""
-    words = [(t or "").encode("utf-8", "surrogatepass").lower().split() for t in texts]
+def streams(texts: list[str | None]) -> tuple[np.ndarray, np.ndarray]:
+    """All coded bytes with ``DEPTH`` ends before each text, and where each text's own bytes start."""
     lead = bytes([END]) * DEPTH
-    parts = [lead + b" ".join(w) + bytes([END]) for w in words]
+    parts = [lead + b" ".join((t or "").encode("utf-8", "surrogatepass").lower().split()) + bytes([END]) for t in texts]
     sizes = np.array([len(p) for p in parts])
-    return words, np.frombuffer(b"".join(parts), np.uint8), np.cumsum(sizes) - sizes + DEPTH
+    return np.frombuffer(b"".join(parts), np.uint8), np.cumsum(sizes) - sizes + DEPTH
+
+
+_SEEDED = np.random.Generator(np.random.Philox(29))
+_OF_BYTE, _OF_PLACE = _SEEDED.integers(0, 2**64, 256, np.uint64), _SEEDED.integers(0, 2**64, 64, np.uint64) | np.uint64(1)
+
+
+def tokens(data: np.ndarray, starts: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """64-bit hashes of all words and the ends (0) of coded texts, in no order, and the text of each."""
+    inside = (data != 32) & (data != END)
+    edge = np.diff(inside.astype(np.int8), prepend=0)  # the last byte is an end
+    at = np.flatnonzero(edge == 1)
+    sizes = np.flatnonzero(edge == -1) - at
+    ends = np.arange(len(starts))
+    if not len(at):
+        return np.zeros(len(starts), np.uint64), ends
+    first = np.cumsum(sizes) - sizes
+    place = np.arange(int(sizes.sum())) - np.repeat(first, sizes)
+    part = _OF_BYTE[data[inside]] * _OF_PLACE[place & 63]
+    if (far := np.flatnonzero(place > 63)).size:
+        part[far] *= np.power(_OF_PLACE[0], (place[far] >> 6).astype(np.uint64))
+    h = mix(np.add.reduceat(part, first) + sizes.astype(np.uint64))
+    return np.concatenate([h, np.zeros(len(starts), np.uint64)]), np.concatenate([np.searchsorted(starts, at, "right") - 1, ends])
 
 
 def grams(data: np.ndarray, starts: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -116,9 +138,9 @@ class Lookup:
     NONE = np.uint64(2**64 - 1)
 
     def __init__(self, keys: np.ndarray, values: np.ndarray):
-        bits = max(4, int(len(keys)).bit_length() + 1)
+        bits = max(4, (len(keys) + len(keys) // 2).bit_length())
         self.shift, self.mask = np.uint64(64 - bits), (1 << bits) - 1
-        self.keys, self.values = np.full(1 << bits, self.NONE), np.zeros(1 << bits)
+        self.keys, self.values = np.full(1 << bits, self.NONE), np.zeros(1 << bits, values.dtype)
         left, at = np.arange(len(keys)), self._first(keys)
         while len(left):
             free = self.keys[at] == self.NONE
@@ -148,7 +170,7 @@ class Lookup:
         return found, value
 
 
-def _slices(batches, most_bytes: int = 2_000_000):
+def _slices(batches, most_bytes: int = 500_000):
     """Runs of rows of about ``most_bytes`` of text."""
     for b in batches:
         texts = b.column("text").to_pylist()
@@ -164,9 +186,7 @@ def corpus_counts(docs: DataFrame) -> DataFrame:
     """``(kind, key, n)``: coded byte strings of all texts, and words of ``trained`` ones by hash (the end is word 0)."""
 
     def count(batches):
-        from padgrad.llm.shingles import WordHashes
-
-        hashes, tallies = WordHashes(), {GRAM: Tally(), WORD: Tally(), OTHER: Tally()}
+        tallies = {GRAM: Tally(), WORD: Tally(), OTHER: Tally()}
 
         def rows(kind, k, n):
             return pa.RecordBatch.from_arrays([pa.array(np.full(len(k), kind, np.int32)), pa.array(k.view(np.int64)), pa.array(n)], names=["kind", "key", "n"])
@@ -175,13 +195,10 @@ def corpus_counts(docs: DataFrame) -> DataFrame:
             learn = part.column("trained").to_pylist()
             new = []
             if other := [t for t, x in zip(texts, learn, strict=True) if not x]:
-                _, data, starts = streams(other)
-                new.append((OTHER, grams(data, starts)[0]))
+                new.append((OTHER, grams(*streams(other))[0]))
             if own := [t for t, x in zip(texts, learn, strict=True) if x]:
-                words, data, starts = streams(own)
-                flat = [w for ws in words for w in ws]
-                h = np.fromiter(map(hashes.__getitem__, flat), np.uint64, len(flat))
-                new += [(GRAM, grams(data, starts)[0]), (WORD, np.concatenate([h, np.zeros(len(own), np.uint64)]))]
+                data, starts = streams(own)
+                new += [(GRAM, grams(data, starts)[0]), (WORD, tokens(data, starts)[0])]
             for kind, keys in new:
                 if (full := tallies[kind].add(keys)) is not None:
                     yield rows(kind, *full)
@@ -408,26 +425,18 @@ def _scorer(common, likely):
     model = uuid.uuid4().hex
 
     def score(batches):
-        from padgrad.llm.shingles import WordHashes
-
         if model not in _tables:  # one pair for each worker process
             _tables.clear()
             _tables[model] = Lookup(*common.value), Lookup(*likely.value)
         of_word, of_string = _tables[model]
-        hashes = WordHashes()
         for part, texts in _slices(batches):
             size = len(texts)
-            words, data, starts = streams(texts)
-            sizes = np.array([len(w) + 1 for w in words])
-            flat, ends = np.zeros(sizes.sum(), np.uint64), np.cumsum(sizes) - 1  # the end is word 0
-            is_word = np.ones(len(flat), bool)
-            is_word[ends] = False
-            flat[is_word] = np.fromiter((hashes[x] for w in words for x in w), np.uint64, len(flat) - size)
-            row = np.repeat(np.arange(size), sizes)
+            data, starts = streams(texts)
+            flat, row = tokens(data, starts)
             known, value = of_word.find(flat)
             code, begins = grams(data, starts)
             likely_, score_ = of_string.find(code)
-            sums = [part.column("row"), pa.array(np.full(size, SUMS, np.int32)), pa.nulls(size, pa.int64()), pa.nulls(size, pa.int32()), part.column("did"), part.column("trained"), pa.array(sizes), pa.array(np.bincount(row[known], minlength=size)), pa.array(np.bincount(row, value, size)), pa.array(np.add.reduceat(score_, begins))]
+            sums = [part.column("row"), pa.array(np.full(size, SUMS, np.int32)), pa.nulls(size, pa.int64()), pa.nulls(size, pa.int32()), part.column("did"), part.column("trained"), pa.array(np.bincount(row, minlength=size)), pa.array(np.bincount(row[known], minlength=size)), pa.array(np.bincount(row, value, size)), pa.array(np.add.reduceat(score_, begins, dtype=np.float64))]
             yield pa.RecordBatch.from_arrays(sums, schema=_SCORED)
             far = np.flatnonzero(~likely_)
             for kind, key, r in ((WORD, flat[~known], row[~known]), (GRAM, code[far], np.searchsorted(begins, far, "right") - 1)):
@@ -449,13 +458,13 @@ def score_texts(docs: DataFrame, train: Column) -> DataFrame:
     n, v = words.agg(F.coalesce(F.sum("n"), F.lit(0)), F.count("*")).first()
     least, floor = _hot_floor(scores, "held", HOT_GRAMS), _hot_floor(words, "n", HOT_WORDS)
 
-    def shared(table):  # at most HOT_GRAMS or HOT_WORDS rows
+    def shared(table, dtype):  # at most HOT_GRAMS or HOT_WORDS rows
         top = table.toArrow()
-        return spark.sparkContext.broadcast((top.column("key").to_numpy().view(np.uint64), top.column("value").to_numpy()))
+        return spark.sparkContext.broadcast((top.column("key").to_numpy().view(np.uint64), top.column("value").to_numpy().astype(dtype)))
 
     words = words.select("kind", "key", "n", F.log10(F.col("n") + 1.0).alias("value"))
-    likely = shared(scores.where(F.col("held") >= least).select("key", F.col("score").alias("value")))
-    common = shared(words.where((F.col("n") >= floor) | (F.col("key") == 0)).select("key", "value"))
+    likely = shared(scores.where(F.col("held") >= least).select("key", F.col("score").alias("value")), np.float32)
+    common = shared(words.where((F.col("n") >= floor) | (F.col("key") == 0)).select("key", "value"), np.float64)
     repeated = not rows.groupBy("did").count().where("count > 1").isEmpty()
     keyed = rows.withColumn("row", F.xxhash64("did", F.coalesce("text", F.lit(""))) if repeated else F.col("did")).select("row", "did", "text", "trained")
     ddl = "row long, kind int, key long, times int, did long, trained boolean, n_tokens long, known long, base double, score double"

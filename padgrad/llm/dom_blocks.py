@@ -11,6 +11,8 @@ VOID = frozenset("area base br col embed hr img input link meta source track wbr
 UNSEEN = frozenset("script style title template noscript svg iframe object head".split())
 RAW = frozenset("script style title textarea iframe noscript".split())
 INLINE = frozenset("a abbr acronym b bdi bdo big cite code data del dfn em font i ins kbd label mark q s samp small span strike strong sub sup time tt u var".split())
+#: What a page head may hold; any other element, or text, ends a head that was left open.
+HEAD = frozenset("base link meta title style script noscript template bgsound basefont noframes head".split())
 #: An open element of the first kind is closed by the start of any of the second.
 CLOSED_BY = {
     "p": frozenset("p div ul ol li table h1 h2 h3 h4 h5 h6 section article aside header footer nav form blockquote pre main figure hr dl address fieldset".split()),
@@ -61,6 +63,12 @@ def leaf_blocks(page: str | None) -> list[Block]:
             parts.clear()
         linked = 0
 
+    def end_head():
+        for k in range(len(stack) - 1, -1, -1):
+            if stack[k][0] == "head":
+                leave(k)
+                break
+
     def leave(depth):
         nonlocal unseen, links
         for tag, _ in stack[depth:]:
@@ -72,6 +80,8 @@ def leaf_blocks(page: str | None) -> list[Block]:
     while at < size:
         m = _MARKUP.search(page, at)
         upto = m.start() if m else size
+        if unseen and stack[-1][0] == "head" and page[at:upto].strip():
+            leave(len(stack) - 1)
         if upto > at and not unseen:
             parts.append(page[at:upto])
             if links:
@@ -85,7 +95,10 @@ def leaf_blocks(page: str | None) -> list[Block]:
         tag = name.lower()
         if tag not in INLINE:
             border()
-        if m[1] or m[4]:
+        closing = m[1] or m[4]
+        if unseen and (tag == "body" if closing else tag not in HEAD):
+            end_head()
+        if closing:
             for k in range(len(stack) - 1, -1, -1):
                 if stack[k][0] == tag:
                     leave(k)

@@ -9,7 +9,9 @@ Spark: one Arrow pass, no shuffle; the fitted weights (some hundred numbers) are
 broadcast. Pages are independent, so a lost task is run again.
 
 Defined cases: null or empty html gives an empty text; a page without text likewise;
-broken markup is read as browsers mostly do; extra columns are ignored.
+broken markup is read as browsers mostly do (a head left open ends at the first element or text
+that no head can hold); repeated pages give a row each; a very long page is read whole, in time linear in its
+length; an empty table gives no rows; extra columns are ignored, whatever their names.
 """
 
 from __future__ import annotations

@@ -3,8 +3,9 @@
 The ``tokenizers`` library runs its merge loop for each word. Texts repeat words, so
 this class cuts a text only where the library's own pre-tokenizer always cuts, looks
 the pieces up in a bounded cache and calls the library for pieces not seen yet. A
-text in which a cut would not be certain (runs of white space) goes to the library
-whole. Ids are the library's in every case.
+text in which a cut would not be certain (runs of white space, a special token's string) goes
+to the library whole. Ids are the library's in every case: as it comes, the string of a special
+token in a text gives that token's id; with ``specials_as_text`` it is ordinary text.
 """
 
 from __future__ import annotations
@@ -33,11 +34,14 @@ def byte_chars() -> list[str]:
 class PieceTokenizer:
     """``space_joins``: a space belongs to the word after it (byte-level) or is dropped (word-end)."""
 
-    def __init__(self, path: str, space_joins: bool, max_pieces: int = 600_000):
+    def __init__(self, path: str, space_joins: bool, max_pieces: int = 600_000, specials_as_text: bool = False):
         from tokenizers import Tokenizer
 
         self.tok = Tokenizer.from_file(path)
-        self.tok.encode_special_tokens = True
+        self.tok.encode_special_tokens = specials_as_text
+        added = [] if specials_as_text else [t.content for t in self.tok.get_added_tokens_decoder().values()]
+        #: A text that holds none of these strings holds no special token: case does not matter to them.
+        self.hints = {max(re.split("[A-Za-z]+", c), key=len) or c for c in added}
         self.space_joins, self.max_pieces = space_joins, max_pieces
         self.chars = dict(enumerate(byte_chars()))
         self.model = self.tok.model
@@ -120,7 +124,7 @@ class PieceTokenizer:
         for text in texts:
             if not text:
                 rows.append(_NONE)
-            elif _FIRST in text:
+            elif _FIRST in text or any(h in text for h in self.hints):
                 rows.append(self._whole(text))
             else:
                 pieces = text.replace("\n", " \n").split(" ")

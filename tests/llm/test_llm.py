@@ -11,10 +11,11 @@ from pyspark.sql import functions as F
 
 LONG = "long words make a very long text " * 3000
 BASE = " ".join(f"w{i}" for i in range(60))
+SPECIAL = "a <|endoftext|> b<|startoftext|>"
 LEAK = "alpha beta gamma delta epsilon zeta eta theta iota kappa lambda mu nu xi omicron pi rho sigma tau upsilon"
 TEXTS = [
     (1, "Shared Line\nown one\nShared line "), (2, "shared line\t\nown two"), (3, None), (4, ""), (5, LONG), (6, BASE), (7, BASE), (8, BASE.upper() + " extra"),
-    (9, "one two three"), (10, f"before it {LEAK} after it"), (11, "x\n\n\ny  \n z"), (12, " "), (None, "shared line\nno id"), (13, "Grüße aus É\nshared line"), (14, "tab\tand \x0b feed"),
+    (9, "one two three"), (10, f"before it {LEAK} after it"), (11, "x\n\n\ny  \n z"), (12, " "), (None, "shared line\nno id"), (13, "Grüße aus É\nshared line"), (14, "tab\tand \x0b feed"), (15, SPECIAL),
 ]
 
 
@@ -58,9 +59,9 @@ def test_sharding(docs, none):
 
     rows = shard_rows(docs, 4).collect()
     sizes = collections.Counter(r.shard for r in rows)
-    assert len(rows) == 16 and set(sizes.values()) == {4}
+    assert len(rows) == 17 and set(sizes.values()) == {4, 5}
     for s in range(4):
-        assert sorted(r.slot for r in rows if r.shard == s) == list(range(4))
+        assert sorted(r.slot for r in rows if r.shard == s) == list(range(sizes[s]))
     by = collections.Counter((r.source, r.shard) for r in rows)
     for s in {r.source for r in rows}:
         per = [by[s, k] for k in range(4)]
@@ -139,7 +140,7 @@ def test_fingerprints(docs, none):
     from padgrad.llm.fingerprint import fingerprint_edits
 
     got = fingerprint_edits(docs).collect()
-    assert len(got) == 16 and fingerprint_edits(none).count() == 0
+    assert len(got) == 17 and fingerprint_edits(none).count() == 0
     by = {}
     for i, t in TEXTS:
         by.setdefault(-(2**63) if i is None else i, t or "")
@@ -179,7 +180,6 @@ def test_packing(spark, docs, none):
 
     path = public_tokenizers.path("byte_bpe_50k.json")
     tok = Tokenizer.from_file(path)
-    tok.encode_special_tokens = True
     rows = pack_documents(docs, path, 1, PackCost(window=256), block_tokens=3000).collect()
     want = collections.Counter()
     ids = {}
@@ -226,18 +226,23 @@ def test_packing_is_optimal():
 
 def test_tokenizer_is_the_library():
     import public_tokenizers
+    from tokenizers import Tokenizer
 
     from padgrad.llm.tokenizing import PieceTokenizer
 
-    hard = ["", None, " a", "a  b", "a   b", "a \n b\n\n\nc", "\n\nx y\n", "tab\there \t z", "it's don't 'll x's", "é̂ mark", "İstanbul ΣΑΣ", "a\0b c", "<|endoftext|> hi", "ﬁ ½ Ⅷ", "日本語 テスト", "a\r\nb", "x y", "ǅ ß ẞ", "word!!'s"]
+    hard = ["", None, " a", "a  b", "a   b", "a \n b\n\n\nc", "\n\nx y\n", "tab\there \t z", "it's don't 'll x's", "é̂ mark", "İstanbul ΣΑΣ", "a\0b c", "<|endoftext|> hi", "a <|endoftext|>", "x<|startoftext|><|ENDOFTEXT|> y", "a <| b |> c", "ﬁ ½ Ⅷ", "日本語 テスト", "a\r\nb", "x y", "ǅ ß ẞ", "word!!'s"]
     for name, joins in (("byte_bpe_50k.json", True), ("word_bpe_49k.json", False)):
-        t = PieceTokenizer(public_tokenizers.path(name), joins, max_pieces=5)
-        for _ in range(2):
-            ids, n = t.encode(hard)
-            at = 0
-            for text, k in zip(hard, n, strict=True):
-                assert ids[at : at + k].tolist() == t.tok.encode(text or "", add_special_tokens=False).ids
-                at += k
+        path = public_tokenizers.path(name)
+        for as_text in (False, True):
+            t, library = PieceTokenizer(path, joins, max_pieces=5, specials_as_text=as_text), Tokenizer.from_file(path)
+            if as_text:
+                library.encode_special_tokens = True
+            for _ in range(2):
+                ids, n = t.encode(hard)
+                at = 0
+                for text, k in zip(hard, n, strict=True):
+                    assert ids[at : at + k].tolist() == library.encode(text or "", add_special_tokens=False).ids
+                    at += k
 
 
 def test_token_files(spark, docs, none):
@@ -254,7 +259,6 @@ def test_token_files(spark, docs, none):
         assert np.array_equal(decode_blocks(memoryview(b"".join(blocks)), starts), ids.astype(np.uint32))
     path = public_tokenizers.path("word_bpe_49k.json")
     tok = Tokenizer.from_file(path)
-    tok.encode_special_tokens = True
     folder = fresh_path(spark, "test-ids")
     rows = read_token_files(spark, folder, write_token_files(docs, folder, path, 2, False)).orderBy("start").collect()
     texts = dict(TEXTS)
@@ -278,7 +282,7 @@ def test_quality(spark, docs, none):
     scored = score_quality(train, labels).withColumn("out", held_out(F.col("doc_id"))).collect()
     assert any(r.out for r in scored) and all((r.quality_score >= 0.3) == (r.doc_id < 200) for r in scored)
     rows = score_quality(docs, labels).collect()
-    assert len(rows) == 16 and all(0 <= r.quality_score <= 1 for r in rows)
+    assert len(rows) == 17 and all(0 <= r.quality_score <= 1 for r in rows)
     assert {r.quality_score for r in score_quality(docs, labels.limit(0)).collect()} == {0.5}
     assert score_quality(none, labels).count() == 0
     assert all(r.out == (zlib.crc32(str(r.doc_id).encode()) % 5 == 0) for r in scored)
@@ -335,7 +339,7 @@ def test_context_tree(spark, docs, none):
     for i, t in rows:
         w = [*(t or "").encode().lower().split(), b""]
         want[i] = (len(w), sum(count[x] > 0 for x in w), sum(math.log10((count[x] + 1) / (n + v + 1)) for x in w))
-    assert len(got) == 16
+    assert len(got) == 17
     for r in got:
         a = want[r.doc_id]
         assert (r.n_tokens, r.n_known, r.train_tokens, r.trained) == (a[0], a[1], n, r.doc_id is not None and r.doc_id != 9)
@@ -352,7 +356,7 @@ def test_context_tree_weights_are_exact_without_collisions(spark):
     from padgrad.llm import context_tree as ct
 
     texts = ["ab" * 20]
-    _, data, starts = ct.streams(texts)
+    data, starts = ct.streams(texts)
     code, _ = ct.grams(data, starts)
     keys, n = np.unique(code, return_counts=True)
     rows = spark.createDataFrame([(ct.GRAM, int(k), int(c)) for k, c in zip(keys, n, strict=True)], "kind int, key long, n long")
