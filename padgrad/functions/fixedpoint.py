@@ -109,10 +109,10 @@ def np_mul(a: np.ndarray, b: np.ndarray, k: int = K, f: int = FRACTION) -> np.nd
 
 
 def np_matmul(a: np.ndarray, b: np.ndarray, k: int = K, f: int = FRACTION) -> np.ndarray:
-    """Wrapped matrix product of mantissas."""
+    """Wrapped matrix product of mantissas: every product is floored by itself, sums of them stay below 2^63."""
     out = np.zeros((a.shape[0], b.shape[1]), np.int64)
-    for j in range(a.shape[1]):
-        out = np_wrap(out + np_mul(a[:, j, None], b[None, j, :], k, f), k)
+    for j in range(0, a.shape[1], 64):
+        out = np_wrap(out + np_mul(a[:, j : j + 64, None], b[None, j : j + 64], k, f).sum(axis=1), k)
     return out
 
 
@@ -122,19 +122,47 @@ def np_lanes(x: np.ndarray, primes=PRIMES) -> np.ndarray:
 
 
 def np_lane_matmul(a: np.ndarray, b: np.ndarray, primes=PRIMES) -> np.ndarray:
-    """Matrix products lane by lane. 31-bit factors are split so that float64 sums stay exact."""
-    out = []
-    for lane, p in enumerate(primes):
-        x, y = a[lane], b[lane]
-        high, low = x >> 16, x & 0xFFFF
-        total = np.zeros((x.shape[0], y.shape[1]), np.int64)
-        for at in range(0, x.shape[1], 32):  # 32 products of 16 and 31 bits stay below 2^53
-            part = y[at : at + 32].astype(float)
-            for piece, shift in ((high, 16), (low, 0)):
-                s = (piece[:, at : at + 32].astype(float) @ part).astype(np.int64) % p
-                total = (total + (s << shift) % p) % p
-        out.append(total)
-    return np.stack(out)
+    """Matrix products lane by lane; ``a`` (lanes first) may be float64 already."""
+    return np.stack([np_mod_matmul(a[lane], b[lane], p) for lane, p in enumerate(primes)])
+
+
+def np_mod_matmul(x: np.ndarray, y: np.ndarray, p: int) -> np.ndarray:
+    """``x @ y mod p`` of residues: ``y`` is split into 16-bit halves, so float64 sums of 32 products stay exact."""
+    x, c = np.asarray(x, float), y.shape[1]
+    halves = np.hstack([y >> 16, y & 0xFFFF]).astype(float)
+    total = np.zeros((x.shape[0], 2 * c), np.int64)
+    for at in range(0, x.shape[1], 32):  # 32 products of 31 and 16 bits stay below 2^53
+        total += (x[:, at : at + 32] @ halves[at : at + 32]).astype(np.int64) % p
+    total %= p
+    return ((total[:, :c] << 16) % p + total[:, c:]) % p
+
+
+def np_lanes_to_float(r: np.ndarray, primes=PRIMES) -> np.ndarray:
+    """Signed integers from residues, as doubles (relative error of one rounding a lane).
+
+    Mixed-radix digits are below 2^31, so all steps stay in int64; a negative number is read from its
+    opposite, whose upper digits are zero.
+    """
+
+    def digits(r):
+        out: list[np.ndarray] = []
+        for lane, p in enumerate(primes):
+            x = np.zeros_like(r[0])
+            radix = 1
+            for d, q in zip(out, primes, strict=False):
+                x = (x + d * radix) % p
+                radix = radix * q % p
+            out.append((r[lane] - x) % p * pow(radix, -1, p) % p)
+        return out
+
+    plus = digits(r)
+    minus = digits(np.stack([(p - r[lane]) % p for lane, p in enumerate(primes)]))
+    negative = plus[-1] > primes[-1] // 2
+    value, radix = np.zeros(r.shape[1:]), 1.0
+    for a, b, p in zip(plus, minus, primes, strict=True):
+        value = value + np.where(negative, b, a) * radix
+        radix *= p
+    return np.where(negative, -value, value)
 
 
 def np_from_lanes(r: np.ndarray, primes=PRIMES) -> np.ndarray:

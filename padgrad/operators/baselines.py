@@ -9,14 +9,16 @@ from __future__ import annotations
 import math
 
 import numpy as np
-import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
+from pyspark.sql import functions as F
 
+from padgrad.functions.keys import uniform
+from padgrad.operators.moments import HELD, _blocks, _part, added_parts, collect_moments, max_eigen, mirrored
 from padgrad.operators.training import TrainResult, schedule, step, train_coded
 
 
-def _run(theta, epochs, gradient, seconds, lam, mu, evaluate, every) -> TrainResult:
-    elapsed, trace = 0.0, []
+def _run(theta, epochs, gradient, seconds, lam, mu, evaluate, every, offset=0.0) -> TrainResult:
+    elapsed, trace = offset, []
     for e in range(1, epochs + 1):
         theta = step(theta, gradient(e, theta) + lam * theta, mu(e))
         elapsed += seconds(e)
@@ -62,7 +64,7 @@ def train_fedavg(g, h, counts, times, keep, local_steps=5, lam=9e-6, mu=None, ev
     A device's step is at most what its own curvature bears, else local steps diverge.
     """
     mu, counts = mu or schedule(), np.asarray(counts, float)
-    most = [1.9 * n / max(np.linalg.norm(gi, 2), 1e-12) for gi, n in zip(g, counts, strict=True)]
+    most = [1.9 / max(max_eigen(gi[None], max(n, 1.0)), 1e-12) for gi, n in zip(g, counts, strict=True)]
     theta, elapsed, trace = np.zeros(h.shape[1:]), 0.0, []
     for e in range(1, len(times) + 1):
         rows = [i for i in np.argsort(times[e - 1], kind="stable")[:keep] if counts[i] > 0]
@@ -79,33 +81,57 @@ def train_fedavg(g, h, counts, times, keep, local_steps=5, lam=9e-6, mu=None, ev
     return TrainResult(theta, trace, {"elapsed_s": elapsed})
 
 
-def parity_moments(examples: DataFrame, d: int, c: int, rows: int, miss: np.ndarray, seed: int = 3) -> tuple[np.ndarray, np.ndarray]:
-    """``Xp'Xp / rows`` and ``Xp'Yp / rows`` of ``rows`` random combinations of all weighted examples.
+#: Examples that are combined with each other.
+PARITY_BLOCK = 1024
 
-    Example of device i weighs ``sqrt(miss[i])``. Each partition sums its share of the
-    parity rows (weights are keyed by the example's id, so a retry draws the same).
+
+def parity_moments(examples: DataFrame, d: int, c: int, delta: float, miss: np.ndarray, seed: int = 3) -> tuple[np.ndarray, np.ndarray]:
+    """``Xp'Xp`` and ``Xp'Yp`` of random normal combinations of weighted examples, scaled to their expectation ``sum miss x'[x, y]``.
+
+    Example of device i weighs ``sqrt(miss[i])``. Each run of ``PARITY_BLOCK`` rows of a partition gives
+    ``delta`` times as many parity rows, so there are ``delta m`` in all (the leakage) while draws grow as m. Draws are keyed by the
+    run's first id. Only products of parity rows, d x (d + c) numbers a task, leave a task and they are
+    added block by block, so neither parity rows nor their sum over the data ever come together.
     """
     spread = np.sqrt(np.asarray(miss, float))
+    size = max(8, min(PARITY_BLOCK, HELD // (d + c)))
 
     def combine(batches):
-        total = np.zeros((rows, d + c))
-        for b in batches:
-            ids, dev = b.column("row_id").to_numpy(), b.column("device").to_numpy()
-            xy = np.hstack([np.asarray(b.column("x").flatten(), float).reshape(-1, d), np.asarray(b.column("y").flatten(), float).reshape(-1, c)])
-            for at in range(0, len(ids), 256):
-                own = slice(at, at + 256)
-                w = np.stack([np.random.Generator(np.random.Philox(key=[seed, int(r)])).standard_normal(rows) for r in ids[own]], axis=1)
-                total += w @ (xy[own] * spread[dev[own]][:, None])
-        yield pa.RecordBatch.from_arrays([pa.array(range(rows), pa.int32()), pa.array(list(total), pa.list_(pa.float64()))], names=["row", "t"])
+        total, held, left = np.zeros((d, d + c)), [], 0
 
-    def add(table: pa.Table) -> pa.Table:
-        t = np.asarray(table.column("t").combine_chunks().flatten()).reshape(-1, d + c).sum(axis=0)
-        return pa.table({"row": table.column("row")[:1], "t": pa.array([t], pa.list_(pa.float64()))})
+        def fold(ids, xy):
+            rows = max(1, round(delta * len(ids)))
+            w = np.random.Generator(np.random.Philox(key=[seed, int(ids[0]) % 2**63])).standard_normal((rows, len(ids)))
+            p = w @ xy
+            return p[:, :d].T @ p / rows
 
-    parts = examples.select("row_id", "device", "x", "y").mapInArrow(combine, "row int, t array<double>")
-    table = parts.groupBy("row").applyInArrow(add, "row int, t array<double>").toArrow()
-    xy = np.asarray(table.column("t").combine_chunks().flatten()).reshape(-1, d + c)
-    return xy[:, :d].T @ xy[:, :d] / rows, xy[:, :d].T @ xy[:, d:] / rows
+        for b in batches:
+            for at in range(0, b.num_rows, size):
+                part = b.slice(at, size)
+                ids = part.column("row_id").fill_null(0).to_numpy()
+                dev = part.column("device").to_numpy()
+                xy = np.hstack([np.asarray(part.column("x").flatten(), float).reshape(-1, d), np.asarray(part.column("y").flatten(), float).reshape(-1, c)])
+                held.append((ids, xy * spread[dev][:, None]))
+                left += len(ids)
+                if left >= size:
+                    ids, xy = (np.concatenate(v) for v in zip(*held, strict=True))
+                    total += fold(ids[:size], xy[:size])
+                    held, left = [(ids[size:], xy[size:])], left - size
+        if left:
+            total += fold(*(np.concatenate(v) for v in zip(*held, strict=True)))
+        yield from (_part(0, k, t) for k, t in _blocks(total, True))
+
+    parts = examples.select("row_id", "device", "x", "y").mapInArrow(combine, "device int, block int, t array<double>")
+    g, h = collect_moments(mirrored(added_parts(parts), d, c), 1, d, c)
+    return g[0], h[0]
+
+
+def parity_cells(examples: DataFrame, rows: int, miss: Column, seed: str = "parity") -> DataFrame:
+    """``(row, j, v)``: ``rows`` parity rows over all examples with keyed draws, for small tables and SQL engines (draws: rows times m)."""
+    u1, u2 = (uniform(F.lit(seed), F.lit(t), F.col("row_id"), F.col("row")) for t in "ab")
+    drawn = examples.select("row_id", "x", F.sqrt(miss).alias("s"), F.explode(F.sequence(F.lit(0), F.lit(rows - 1))).alias("row"))
+    drawn = drawn.withColumn("w", F.col("s") * F.sqrt(-2 * F.ln(u1)) * F.cos(2 * np.pi * u2)).select("row", "w", F.posexplode("x").alias("j", "a"))
+    return drawn.groupBy("row", "j").agg(F.sum(F.col("w") * F.col("a")).alias("v"))
 
 
 def deadline(times: np.ndarray, delta: float) -> tuple[float, np.ndarray]:
@@ -114,20 +140,23 @@ def deadline(times: np.ndarray, delta: float) -> tuple[float, np.ndarray]:
     return t, (times > t).mean(axis=0)
 
 
-def train_parity(g, h, m, times, parity, limit, lam=9e-6, mu=None, evaluate=None, every=1) -> TrainResult:
-    """Parity at the server: devices that meet the deadline count themselves, parity stands for the expected rest."""
+def train_parity(g, h, m, times, parity, limit, lam=9e-6, mu=None, evaluate=None, every=1, offset=0.0, server_s=0.0) -> TrainResult:
+    """Parity at the server: devices that meet the deadline count themselves, parity stands for the expected rest.
+
+    ``offset`` is the upload of parity rows before the first epoch, ``server_s`` the server's work on them in each; it
+    runs beside the devices', so an epoch lasts as long as the longer of both.
+    """
     pg, ph = parity
 
     def gradient(e, theta):
         rows = times[e - 1] <= limit
         return ((g[rows] @ theta - h[rows]).sum(axis=0) + pg @ theta - ph) / m
 
-    return _run(np.zeros(h.shape[1:]), len(times), gradient, lambda e: float(limit), lam, mu or schedule(), evaluate, every)
+    return _run(np.zeros(h.shape[1:]), len(times), gradient, lambda e: max(float(limit), server_s), lam, mu or schedule(), evaluate, every, offset)
 
 
-def parity_leakage(delta: float, m: int, devices: int) -> float:
-    """Parity rows of a device over all raw rows."""
-    del devices
+def parity_leakage(delta: float, m: int) -> float:
+    """Parity rows over all raw rows."""
     return math.ceil(delta * m) / m
 
 

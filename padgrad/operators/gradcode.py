@@ -181,6 +181,15 @@ def verify_code(code_a: DataFrame, code_b: DataFrame) -> DataFrame:
     return joined.groupBy("pattern_id", "peer").agg(F.sum(F.col("coef") * F.col("b")).alias("value"))
 
 
+def table_conditioning(spark: SparkSession, b: np.ndarray, alpha: int) -> DataFrame:
+    """``(patterns, residual, largest, weight_sum)``: the worst over all straggler patterns, solved and checked in parallel."""
+    code_a = build_decoder(spark, b, alpha)
+    off = verify_code(code_a, encoder_table(spark, b)).agg(F.max(F.abs(F.col("value") - 1)).alias("residual"))
+    sizes = code_a.groupBy("pattern_id").agg(F.max(F.abs("coef")).alias("largest"), F.sum(F.abs("coef")).alias("total"))
+    sizes = sizes.agg(F.count("*").alias("patterns"), F.max("largest").alias("largest"), F.max("total").alias("weight_sum"))
+    return sizes.crossJoin(off)  # one row each
+
+
 def quantise_code(b: np.ndarray, k: int = 48, f: int = FRACTION) -> tuple[np.ndarray, np.ndarray]:
     """Mantissas of B and the numbers they stand for; decoders are solved against the latter."""
     m = np_quantise(b, k, f)

@@ -97,6 +97,18 @@ def sharing_phase(fleet: DataFrame, alphas: list[int], d: int, c: int, k: int, s
     return base.select("alpha", "device", F.greatest(up, down).alias("share_s"), encode.alias("encode_s"))
 
 
+def parity_upload(rates: np.ndarray, rows: int, d: int, c: int, k: int, seed: int) -> float:
+    """When the slowest device has sent its parity rows: every device sends all ``rows`` of d + c numbers, and has combined its examples for them."""
+    g = np.random.Generator(np.random.Philox(seed))
+    n = len(rates)
+    return float((rows * (d + c) * k * (1 + HEADER) / UP_RATE * g.geometric(1 - FAILURE, n)).max())
+
+
+def parity_server_time(rows: int, d: int, c: int) -> float:
+    """The server's gradient on parity rows in an epoch."""
+    return 2 * rows * d * c / SERVER_RATE
+
+
 def server_time(devices: int, alpha: int, d: int, c: int) -> float:
     """Unpadding and decoding at the server's rate."""
     answers = devices - alpha + 1

@@ -21,14 +21,15 @@ from __future__ import annotations
 from dataclasses import dataclass, field
 
 import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from padgrad.functions.fixedpoint import FRACTION, K, PRIMES, np_from_lanes, np_lane_matmul, np_lanes, np_matmul, np_mul, np_quantise, np_wrap
+from padgrad.functions.fixedpoint import FRACTION, K, PRIMES, np_lane_matmul, np_lanes, np_lanes_to_float, np_matmul, np_mod_matmul, np_mul, np_quantise, np_wrap
 from padgrad.functions.keys import DELTA, XI, np_fast_pad
-from padgrad.functions.vectors import dot
+from padgrad.operators import sharing
 from padgrad.operators.gradcode import Undecodable, build_encoder, decode_vector, field_decode_vector, field_encoder, quantise_code
-from padgrad.shared import fresh_path
+from padgrad.shared import drop_path, fresh_path
 
 MODES = ("clear", "literal", "lifted", "field")
 
@@ -109,9 +110,9 @@ class CodedDevices:
             def sums(t, code=code, p=p):
                 return np_lane_matmul(code, (t % p).reshape(1, self.D, -1), (p,))[0].reshape(t.shape)
 
-            self.bar.append(sums(x[lane] + xi))
+            self.bar.append(sums(x[lane] + xi).astype(float))  # residues below 2^31, ready to be multiplied
             self.own.append(sums(y[lane] + delta))
-            self.key_bar.append(sums(xi))
+            self.key_bar.append(sums(xi).astype(float))
             self.key_own.append(sums(delta))
 
     def _share_lifted(self, g, first, seed):
@@ -120,14 +121,12 @@ class CodedDevices:
     def _share_field(self, g, first, seed):
         self._share_lanes(g, first, seed, self.codes)
 
-    def _lane_part(self, i: int, eps: np.ndarray) -> np.ndarray:
-        """Device i's answer without its pads, as lanes."""
-        e = np_lanes(eps)
-        out = []
+    def _lane_parts(self, rows: list[int], eps: np.ndarray) -> np.ndarray:
+        """Answers of ``rows`` without their pads: (lanes, rows, d, c). Answers and pads are multiplied apart, as devices and server do."""
+        e, out = np_lanes(eps), []
         for lane, p in enumerate(PRIMES):
-            answer = (self.own[lane][i] + np_lane_matmul(self.bar[lane][i][None], e[lane][None], (p,))[0]) % p
-            key = (self.key_own[lane][i] + np_lane_matmul(self.key_bar[lane][i][None], e[lane][None], (p,))[0]) % p
-            out.append((answer - key) % p)
+            flat = [np_mod_matmul(m[lane][rows].reshape(-1, self.d), e[lane], p).reshape(-1, self.d, self.c) for m in (self.bar, self.key_bar)]
+            out.append((self.own[lane][rows] + flat[0] - self.key_own[lane][rows] - flat[1]) % p)
         return np.stack(out)
 
     def gradient_sum(self, change: np.ndarray, arrived) -> np.ndarray:
@@ -149,15 +148,11 @@ class CodedDevices:
                 pad = np_wrap(self.key_own[i] + np_matmul(self.key_bar[i], eps, self.k, self.f), self.k)
                 total += a[i] * np_wrap(answer - pad, self.k) / 2.0**self.f
             return total
+        parts = self._lane_parts(rows, eps)
         if self.mode == "lifted":
-            scale = 2.0 ** (3 * self.f)
-            return sum(a[i] * (np_from_lanes(self._lane_part(i, eps)) / scale).astype(float) for i in rows)
-        total = [np.zeros((self.d, self.c), np.int64) for _ in PRIMES]
-        for i in rows:
-            part = self._lane_part(i, eps)
-            for lane, p in enumerate(PRIMES):
-                total[lane] = (total[lane] + int(a[lane][i]) * part[lane] % p) % p
-        return (np_from_lanes(np.stack(total)) / 2.0 ** (2 * self.f)).astype(float)
+            return np.tensordot(a[rows], np_lanes_to_float(parts) / 2.0 ** (3 * self.f), 1)
+        total = np.stack([(a[lane][rows][:, None, None] * parts[lane] % p).sum(axis=0) % p for lane, p in enumerate(PRIMES)])
+        return np_lanes_to_float(total) / 2.0 ** (2 * self.f)
 
 
 def quantised_model(change: np.ndarray, f: int = FRACTION) -> np.ndarray:
@@ -165,8 +160,8 @@ def quantised_model(change: np.ndarray, f: int = FRACTION) -> np.ndarray:
     return np_quantise(change, 62, f) / 2.0**f
 
 
-def train_coded(g, h, m, alpha, times, lam=9e-6, mu=None, epochs=None, mode="clear", seed=1, evaluate=None, every=1, offset=0.0, tol=0.0, local_steps=1, theta0=None, kind="nullspace") -> TrainResult:
-    """Coded descent on device moments ``g``, ``h`` of ``m`` examples; ``times`` is ``(epochs, D)``."""
+def train_coded(g, h, m, alpha, times, lam=9e-6, mu=None, epochs=None, mode="lifted", seed=1, evaluate=None, every=1, offset=0.0, server_s=0.0, tol=0.0, local_steps=1, theta0=None, kind="nullspace") -> TrainResult:
+    """Coded descent on device moments ``g``, ``h`` of ``m`` examples; ``times`` is ``(epochs, D)``, ``server_s`` what the server adds to an epoch."""
     if local_steps != 1:
         raise ValueError("coded descent allows one local epoch between two updates")
     mu = mu or schedule()
@@ -177,7 +172,7 @@ def train_coded(g, h, m, alpha, times, lam=9e-6, mu=None, epochs=None, mode="cle
     elapsed, trace = offset, []
     for e in range(1, (epochs or len(times)) + 1):
         order = np.argsort(times[e - 1], kind="stable")[:keep]
-        elapsed += float(times[e - 1][order[-1]])
+        elapsed += float(times[e - 1][order[-1]]) + server_s
         change = theta - start
         if mode != "clear":
             change = quantised_model(change)
@@ -192,33 +187,69 @@ def train_coded(g, h, m, alpha, times, lam=9e-6, mu=None, epochs=None, mode="cle
     return TrainResult(theta, trace, {"wraps": devices.wraps, "elapsed_s": elapsed})
 
 
-def train_coded_spark(coded: DataFrame, key_coded: DataFrame, b: np.ndarray, alpha: int, m: int, shape: tuple[int, int], orders: list[list[int]], lam: float, mu) -> TrainResult:
-    """Epochs over tables ``(device, i, bar, own)`` in clear doubles with pads kept apart.
+class CodedTables:
+    """Sharing phase and answers on tables in lanes, for models too large for the driver.
 
-    Both tables are written by device; an epoch reads only the folders of the devices
-    that answered, and only (D - alpha + 1) d rows of c cells reach the driver.
+    ``moments`` are the devices' (``MOMENTS``). Padded shares are encoded once; coded pairs and the server's coded
+    pads are written by device. An answer reads only the folders of the devices that answered; d c decoded
+    cells reach the driver. The lanes must hold the widest number, which is checked.
     """
-    spark = coded.sparkSession
-    path, keys = fresh_path(spark, "coded"), fresh_path(spark, "coded-keys")
-    coded.write.partitionBy("device").parquet(path)
-    key_coded.write.partitionBy("device").parquet(keys)
-    theta = np.zeros(shape)
-    start = theta.copy()
-    for e, order in enumerate(orders, 1):
-        rows = [int(i) for i in order[: len(b) - alpha + 1]]
-        a = decode_vector(b, rows)
-        change = theta - start
-        cols = [F.array(*[F.lit(float(v)) for v in change[:, j]]) for j in range(shape[1])]
-
-        def answered(at, cols=cols, rows=rows):
-            t = spark.read.parquet(at).where(F.col("device").isin(rows))
-            return t.select("device", "i", F.array(*[dot(F.col("bar"), c) + F.get(F.col("own"), F.lit(j)) for j, c in enumerate(cols)]).alias("v"))
 
-        weights = F.element_at(F.array(*[F.lit(float(v)) for v in a]), F.col("device") + 1)
-        clear = answered(path).join(answered(keys).withColumnRenamed("v", "key"), ["device", "i"])
-        cells = clear.select("i", F.posexplode(F.zip_with("v", "key", lambda x, y: x - y)).alias("j", "v"), weights.alias("a"))
-        total = np.zeros(shape)
-        for r in cells.groupBy("i", "j").agg(F.sum(F.col("a") * F.col("v")).alias("v")).collect():
+    def __init__(self, moments: DataFrame, devices: int, alpha: int, shape: tuple[int, int], seed: str = "pad", code_seed: int = 1):
+        from padgrad.plans.planner import lanes_suffice
+
+        self.spark, self.devices, self.alpha, (self.d, self.c) = moments.sparkSession, devices, alpha, shape
+        if not lanes_suffice(self.d):
+            raise ValueError("the residue lanes are too narrow for this many features")
+        mantissa, self.b = quantise_code(build_encoder(devices, alpha, code_seed))
+        codes = [mantissa % p for p in PRIMES]
+        self.path, self.keys = fresh_path(self.spark, "coded"), fresh_path(self.spark, "coded-keys")
+        shares = sharing.padded_rows(sharing.every_row(moments, devices, self.d, self.c), seed)
+        pads = sharing.key_rows(self.spark, seed, devices, self.d, self.c)
+        for rows, path in ((shares, self.path), (pads, self.keys)):
+            sharing.encode_rows(rows, codes).write.partitionBy("device").parquet(path)
+
+    def _answered(self, path: str, rows: list[int], eps: np.ndarray) -> DataFrame:
+        return sharing.row_answers(self.spark.read.schema(sharing.ROWS).parquet(path).where(F.col("device").isin(rows)), eps)
+
+    def gradient_cells(self, change: np.ndarray, order) -> DataFrame:
+        """``(i, j, v)``: the sum of all device gradients at the first model + ``change``, from the first D - alpha + 1 of ``order``."""
+        rows, c, scale = [int(i) for i in order[: self.devices - self.alpha + 1]], self.c, 2.0 ** (3 * FRACTION)
+        if len(rows) < self.devices - self.alpha + 1:
+            raise Undecodable(f"{len(rows)} answers; {self.devices - self.alpha + 1} are needed")
+        a = decode_vector(self.b, rows, 1e-2)
+        eps = np_lanes(np_quantise(change, 62, FRACTION))
+
+        def plain(batches):
+            for part in batches:
+                lanes = (part.column("v").flatten().to_numpy() - part.column("key").flatten().to_numpy()).reshape(-1, len(PRIMES), c)
+                out = np_lanes_to_float(np.stack([lanes[:, k] % p for k, p in enumerate(PRIMES)])) / scale * part.column("a").to_numpy()[:, None]
+                yield pa.RecordBatch.from_arrays([part.column("i"), pa.array(list(out), pa.list_(pa.float64()))], names=["i", "v"])
+
+        weights = F.element_at(F.array(*[F.lit(float(v)) for v in a]), F.col("device") + 1)  # D numbers
+        keys = self._answered(self.keys, rows, eps).withColumnRenamed("v", "key")
+        clear = self._answered(self.path, rows, eps).join(keys, ["device", "i"]).withColumn("a", weights)
+        cells = clear.select("i", "v", "key", "a").mapInArrow(plain, "i int, v array<double>").select("i", F.posexplode("v").alias("j", "v"))
+        return cells.groupBy("i", "j").agg(F.sum("v").alias("v"))
+
+    def gradient_sum(self, change: np.ndarray, order) -> np.ndarray:
+        total = np.zeros((self.d, self.c))
+        for r in self.gradient_cells(change, order).toLocalIterator():  # d c cells
             total[r["i"], r["j"]] = r["v"]
-        theta = step(theta, total / m + lam * theta, mu(e))
-    return TrainResult(theta)
+        return total
+
+    def drop(self) -> None:
+        for path in (self.path, self.keys):
+            drop_path(self.spark, path)
+
+
+def train_coded_spark(moments: DataFrame, devices: int, alpha: int, m: int, shape: tuple[int, int], orders: list[list[int]], lam: float, mu, seed: str = "pad", evaluate=None) -> TrainResult:
+    """Coded descent with ``CodedTables``; ``orders`` has the devices by arrival, for each epoch."""
+    tables, theta, trace = CodedTables(moments, devices, alpha, shape, seed), np.zeros(shape), []
+    for e, order in enumerate(orders, 1):
+        theta = quantised_model(theta)
+        theta = step(theta, tables.gradient_sum(theta, order) / m + lam * theta, mu(e))
+        if evaluate:
+            trace.append({"epoch": e, **evaluate(theta)})
+    tables.drop()
+    return TrainResult(theta, trace)

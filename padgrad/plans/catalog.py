@@ -10,16 +10,20 @@ from padgrad.functions import fixedpoint as fx
 from padgrad.functions import keys
 from padgrad.functions.vectors import argmax, dot
 from padgrad.operators import baselines, gradcode, latency, measures, moments, sharing
-from padgrad.operators.training import train_coded
+from padgrad.operators.training import CodedTables, train_coded, train_coded_spark
 from padgrad.plans import oracles as o
-from padgrad.plans import workloads
+from padgrad.plans import planner, workloads
 from padgrad.sources.devices import fleet as fleet_of
+from padgrad.sources.devices import split_sorted as split_by_label
 from padgrad.sources.features import rbf_features_sql, text_histograms
 from padgrad.sources.tables import read_table, write_by_device
 from padgrad.streaming import arrivals
 
-D, DIMS, SEED = 25, 8, "pad-1"
-D5, ALPHA5, LANES = 5, 3, 2
+D, DIMS, SEED = 25, 64, "pad-1"
+D5, ALPHA5, LANES = 5, 3, len(fx.PRIMES)
+#: Code of the cell queries, and the devices whose answers come first there.
+ALPHA = 6
+ARRIVED = tuple(i for i in range(25) if i not in (1, 4, 9, 16, 22))
 EPOCHS, LAT_SEED = 30, "lat-1"
 RHO, BITS = float(latency.mac_count("coded", 2000, 10)), float(latency.message_bits(2000, 10, 48))
 ALPHAS = (6, 16, 23, 25)
@@ -37,8 +41,8 @@ def query(sql: str | None = None):
     return keep
 
 
-def codes5() -> list[np.ndarray]:
-    return [gradcode.field_encoder(D5, ALPHA5, p, seed=4) for p in fx.PRIMES[:LANES]]
+def field_codes() -> list[np.ndarray]:
+    return [gradcode.field_encoder(D, ALPHA, p, seed=4) for p in fx.PRIMES]
 
 
 def eps_table(spark: SparkSession) -> DataFrame:
@@ -77,7 +81,7 @@ def pad_cells(spark, sf_dir):
     return base.withColumn("pad", keys.pad_cell(SEED, F.col("device"), keys.XI, F.col("i"), F.col("j")))
 
 
-@query(f"""WITH {o.examples(D, DIMS)} SELECT device, i, j, {o.wrap('v + ' + o.pad(SEED, 'device', 'xi', 'i', 'j'))} AS padded FROM gram""")
+@query(f"""WITH {o.examples(D)} SELECT device, i, j, {o.wrap('v + ' + o.pad(SEED, 'device', 'xi', 'i', 'j'))} AS padded FROM gram""")
 def padded_moments(spark, sf_dir):
     cells = moments.gram_cells(workloads.integer_examples(spark, sf_dir))
     return cells.select("device", "i", "j", keys.apply_pad(F.col("v"), keys.pad_cell(SEED, F.col("device"), keys.XI, F.col("i"), F.col("j"))).alias("padded"))
@@ -156,20 +160,28 @@ def code_identity(spark, sf_dir):
 
 @query()
 def code_conditioning(spark, sf_dir):
-    """Worst decode weights and residuals over sampled patterns, for each alpha."""
-    rows = [(a, *[float(gradcode.conditioning(gradcode.build_encoder(D, a, 1), a, 60)[k]) for k in ("residual", "largest", "sum")]) for a in (1, 2, *ALPHAS)]
-    return spark.createDataFrame(rows, "alpha int, residual double, largest double, weight_sum double")
+    """Worst decode weights and residuals for each alpha: over all patterns where a decoder table is built (up to 100 000), over 200 drawn ones else (``sampled``)."""
+    out = None
+    for a in (1, 2, *ALPHAS):
+        b = gradcode.build_encoder(D, a, 1)
+        if planner.decoder_plan(D, a) == "table":
+            part = gradcode.table_conditioning(spark, b, a).select(F.lit(a).alias("alpha"), "patterns", F.lit(False).alias("sampled"), "residual", "largest", "weight_sum")
+        else:
+            worst = gradcode.conditioning(b, a, 200)
+            part = spark.createDataFrame([(a, 200, True, worst["residual"], worst["largest"], worst["sum"])], "alpha int, patterns long, sampled boolean, residual double, largest double, weight_sum double")
+        out = part if out is None else out.unionByName(part)
+    return out
 
 
 # --- splits and moments ----------------------------------------------------------------------
 
 
-@query(f"WITH {o.examples(D, DIMS)} SELECT device, count(*) AS n, min(label)::INT AS min_label, max(label)::INT AS max_label FROM ex GROUP BY 1")
+@query(f"WITH {o.examples(D)} SELECT device, count(*) AS n, min(label)::INT AS min_label, max(label)::INT AS max_label FROM ex GROUP BY 1")
 def device_sizes(spark, sf_dir):
     return workloads.integer_examples(spark, sf_dir).groupBy("device").agg(F.count("*").alias("n"), F.min("label").cast("int").alias("min_label"), F.max("label").cast("int").alias("max_label"))
 
 
-@query(f"WITH {o.examples(D, DIMS)} SELECT vec_id, device FROM ex")
+@query(f"WITH {o.examples(D)} SELECT vec_id, device FROM ex")
 def split_sorted(spark, sf_dir):
     return workloads.integer_examples(spark, sf_dir).select("vec_id", "device")
 
@@ -184,12 +196,12 @@ def device_rows_by_nation(spark, sf_dir):
     return rows.groupBy(F.col("c_nationkey").cast("int").alias("device")).agg(F.sum("lines").alias("n"), F.count("*").alias("orders"))
 
 
-@query(f"WITH {o.examples(D, DIMS)} SELECT device, i, j, v AS v_fx FROM gram")
+@query(f"WITH {o.examples(D)} SELECT device, i, j, v AS v_fx FROM gram")
 def gram_cells(spark, sf_dir):
     return moments.gram_cells(workloads.integer_examples(spark, sf_dir)).withColumnRenamed("v", "v_fx")
 
 
-@query(f"WITH {o.examples(D, DIMS)} SELECT device, i, j, v AS v_fx FROM gram")
+@query(f"WITH {o.examples(D)} SELECT device, i, j, v AS v_fx FROM gram")
 def gram_cells_arrow(spark, sf_dir):
     """The Arrow engine's sums, as cells: exact here since integers below 2^53 are doubles."""
     rows = workloads.integer_examples(spark, sf_dir)
@@ -198,12 +210,12 @@ def gram_cells_arrow(spark, sf_dir):
     return m.select("device", "i", F.posexplode("g").alias("j", "v")).select("device", "i", "j", F.col("v").cast("long").alias("v_fx"))
 
 
-@query(f"WITH {o.examples(D, DIMS)} SELECT device, i, j, v AS v_fx FROM crs")
+@query(f"WITH {o.examples(D)} SELECT device, i, j, v AS v_fx FROM crs")
 def cross_cells(spark, sf_dir):
     return moments.cross_cells(workloads.integer_examples(spark, sf_dir)).withColumnRenamed("v", "v_fx")
 
 
-@query(f"WITH {o.examples(D, DIMS)} SELECT device, i, j, -v AS g_fx FROM crs")
+@query(f"WITH {o.examples(D)} SELECT device, i, j, -v AS g_fx FROM crs")
 def first_gradient(spark, sf_dir):
     return moments.cross_cells(workloads.integer_examples(spark, sf_dir)).select("device", "i", "j", (-F.col("v")).alias("g_fx"))
 
@@ -212,18 +224,18 @@ def first_gradient(spark, sf_dir):
 
 
 def _plain_cells(spark, sf_dir):
-    rows = workloads.integer_examples(spark, sf_dir, D5)
+    rows = workloads.integer_examples(spark, sf_dir)
     xi = moments.gram_cells(rows).withColumn("part", F.lit(keys.XI))
     delta = moments.cross_cells(rows).select("device", "i", "j", (-F.col("v")).alias("v"), F.lit(keys.DELTA).alias("part"))
     return xi.unionByName(delta)
 
 
 def _coded(spark, sf_dir):
-    return sharing.encode(sharing.pad_shares(_plain_cells(spark, sf_dir), SEED, LANES), sharing.lane_code(spark, codes5()), LANES)
+    return sharing.encode(sharing.pad_shares(_plain_cells(spark, sf_dir), SEED, LANES), sharing.lane_code(spark, field_codes()), LANES)
 
 
 def _key_answers(spark):
-    coded = sharing.encode(sharing.key_cells(spark, SEED, D5, DIMS, 10, LANES), sharing.lane_code(spark, codes5()), LANES)
+    coded = sharing.encode(sharing.key_cells(spark, SEED, D, DIMS, 10, LANES), sharing.lane_code(spark, field_codes()), LANES)
     return sharing.answers(coded, eps_table(spark), LANES)
 
 
@@ -232,11 +244,11 @@ def _lane_pad(kind):
     return o.prf(f"'{SEED}'", "device", f"'{kind}'", a, b, "lane")
 
 
-_CODED_SQL = f"""WITH {o.examples(D5, DIMS)}, {o.code_values(codes5())}, {o.eps_sql(DIMS)}, lanes AS (SELECT range::INT AS lane FROM range({LANES})),
+_CODED_SQL = f"""WITH {o.examples(D)}, {o.code_values(field_codes())}, {o.eps_sql(DIMS)}, lanes AS (SELECT range::INT AS lane FROM range({LANES})),
 cells AS (SELECT device, 'xi' AS part, i, j, v FROM gram UNION ALL SELECT device, 'delta', i, j, -v FROM crs),
 shares AS (SELECT device AS peer, part, i, j, lane, {o.mod(f"v::HUGEINT + CASE part WHEN 'xi' THEN {_lane_pad('xi')} ELSE {_lane_pad('delta')} END", o.PRIME_OF)} AS v FROM cells, lanes),
 coded AS (SELECT device, part, i, j, lane, {o.mod('sum(b::HUGEINT * v)', o.PRIME_OF)} AS coded FROM shares JOIN code USING (peer, lane) GROUP BY device, part, i, j, lane)"""
-_PLAIN_SQL = f"""WITH {o.examples(D5, DIMS)}, {o.code_values(codes5())}, {o.eps_sql(DIMS)},
+_PLAIN_SQL = f"""WITH {o.examples(D)}, {o.code_values(field_codes())}, {o.eps_sql(DIMS)},
 grad AS (SELECT device AS peer, i, j, sum(v)::HUGEINT AS v FROM (
   SELECT device, g.i, e.j, g.v::HUGEINT * e.e AS v FROM gram g JOIN eps e ON g.j = e.k UNION ALL SELECT device, i, j, -v::HUGEINT FROM crs) GROUP BY ALL)"""
 
@@ -258,9 +270,9 @@ def unpadded_answer(spark, sf_dir):
     return sharing.unpad(sharing.answers(_coded(spark, sf_dir), eps_table(spark), LANES), _key_answers(spark), LANES)
 
 
-def _decoded(spark, sf_dir, arrived=(0, 2, 3)):
+def _decoded(spark, sf_dir, arrived=ARRIVED):
     clear = sharing.unpad(sharing.answers(_coded(spark, sf_dir), eps_table(spark), LANES), _key_answers(spark), LANES)
-    weights = [gradcode.field_decode_vector(b, arrived, p) for b, p in zip(codes5(), fx.PRIMES, strict=False)]
+    weights = [gradcode.field_decode_vector(b, arrived, p) for b, p in zip(field_codes(), fx.PRIMES, strict=False)]
     return sharing.signed_two_lanes(sharing.decode(clear.where(F.col("device").isin(*arrived)), weights, LANES))
 
 
@@ -278,44 +290,35 @@ nx AS (SELECT device, [p, 10 * p * q, 10 * p * t, 100 * p * q * t] AS x, p * (1
 @query(f"""WITH {_NATION}, r AS (SELECT x, 0.5 * x[1] - 0.25 * x[2] + 0.125 * x[3] + 0.0625 * x[4] - y AS e FROM nx)
 SELECT (i.range - 1)::INT AS i, 0 AS j, round(sum(x[i.range] * e), 4) AS v_r4 FROM r, range(1, 5) i GROUP BY i.range""")
 def decoded_gradient_real(spark, sf_dir):
-    """Real-valued code over nations: any three of 25 answers give the sum (alpha = 23)."""
-    theta, alpha = np.array([[0.5], [-0.25], [0.125], [0.0625]]), 23
-    m = moments.device_moments(workloads.nation_examples(spark, sf_dir), 4, 1)
-    grads = moments.device_gradient(m, theta).withColumnRenamed("device", "peer")
-    b = gradcode.build_encoder(D, alpha, 1)
-    arrived = [3, 11, 20]
-    code = gradcode.encoder_table(spark, b[arrived]).withColumn("w", F.element_at(F.array(*[F.lit(float(v)) for v in gradcode.decode_vector(b, arrived)[arrived]]), F.col("device") + 1))
-    cells = grads.join(F.broadcast(code), "peer").select("i", F.posexplode("grad").alias("j", "v"), (F.col("coef") * F.col("w")).alias("c"))
-    return cells.groupBy("i", "j").agg(F.round(F.sum(F.col("c") * F.col("v")), 4).alias("v_r4"))
+    """Padded lanes over nations on tables: any three of 25 answers give the sum (alpha = 23)."""
+    theta = np.array([[0.5], [-0.25], [0.125], [0.0625]])
+    tables = CodedTables(moments.device_moments(workloads.nation_examples(spark, sf_dir), 4, 1), D, 23, (4, 1), SEED)
+    return tables.gradient_cells(theta, [3, 11, 20]).select("i", "j", F.round("v", 4).alias("v_r4"))
 
 
 def _unrolled_sql() -> str:
-    d, c, mu, lam = 4, 10, 6.0, workloads.LAMBDA
+    d, c, mu, lam = 64, 10, 6.0, workloads.LAMBDA
     base = f"""WITH e AS (SELECT vec_id, label, embedding FROM embeddings), n AS (SELECT count(*)::DOUBLE AS m FROM e),
 di AS (SELECT range::INT AS i FROM range({d})), dj AS (SELECT range::INT AS j FROM range({c})),
 g AS (SELECT a.i, b.i AS k, sum(embedding[a.i + 1]::DOUBLE * embedding[b.i + 1]::DOUBLE) AS v FROM e, di a, di b GROUP BY ALL),
 h AS (SELECT i, j, sum(CASE WHEN label = j THEN embedding[i + 1]::DOUBLE ELSE 0 END) AS v FROM e, di, dj GROUP BY ALL),
 t0 AS (SELECT i, j, 0.0::DOUBLE AS t FROM di, dj)"""
-    for s in range(1, 4):
-        base += f""", t{s} AS (SELECT p.i, p.j, any_value(p.t) - {mu} * ((sum(g.v * q.t) - any_value(h.v)) / any_value(n.m) + {lam} * any_value(p.t)) AS t
-  FROM t{s - 1} p JOIN g ON g.i = p.i JOIN t{s - 1} q ON q.i = g.k AND q.j = p.j JOIN h ON h.i = p.i AND h.j = p.j, n GROUP BY p.i, p.j)"""
-    return base + " " + " UNION ALL ".join(f"SELECT {s} AS epoch, i, j, round(t, 5) AS theta_r5 FROM t{s}" for s in (1, 2, 3))
+    for s in range(1, 4):  # the model is sent with 24 fraction bits
+        base += f""", q{s} AS (SELECT i, j, floor(t * 16777216.0 + 0.5) / 16777216.0 AS t FROM t{s - 1}), t{s} AS (SELECT p.i, p.j, any_value(p.t) - {mu} * ((sum(g.v * q.t) - any_value(h.v)) / any_value(n.m) + {lam} * any_value(p.t)) AS t
+  FROM q{s} p JOIN g ON g.i = p.i JOIN q{s} q ON q.i = g.k AND q.j = p.j JOIN h ON h.i = p.i AND h.j = p.j, n GROUP BY p.i, p.j)"""
+    return base + " " + " UNION ALL ".join(f"SELECT {s} AS epoch, i, j, round(t, 4) AS theta_r4 FROM t{s}" for s in (1, 2, 3))
 
 
 @query(_unrolled_sql())
 def three_epochs_unrolled(spark, sf_dir):
-    """Coded descent in lanes with stragglers against plain descent written out in SQL."""
-    d, c = 4, 10
+    """Coded descent on tables: 25 devices, padded lanes, all dimensions, only three devices' folders read in an epoch; against plain descent written out in SQL."""
+    d, c, out = 64, 10, []
     rows = read_table(spark, sf_dir, "embeddings", "vec_id", "embedding", "label")
-    from padgrad.sources.devices import split_sorted as sorted_split
-
-    ex = sorted_split(rows, "label", "vec_id", D).select("device", F.transform(F.slice("embedding", 1, d), lambda v: v.cast("double")).alias("x"), F.transform(F.sequence(F.lit(0), F.lit(9)), lambda k: (k == F.col("label")).cast("double")).alias("y"))
-    g, h = moments.collect_moments(moments.device_moments(ex, d, c), D, d, c)
+    ex = split_by_label(rows, "label", "vec_id", D).select("device", F.transform("embedding", lambda v: v.cast("double")).alias("x"), F.transform(F.sequence(F.lit(0), F.lit(9)), lambda k: (k == F.col("label")).cast("double")).alias("y"))
     times = latency.np_epoch_times(latency.class_rates(D), 3, 1e6, 1e4, 5)
-    out = []
-    train_coded(g, h, ex.count(), 23, times, lam=workloads.LAMBDA, mu=lambda e: 6.0, mode="lifted", evaluate=lambda t: out.append(t.copy()) or {})
+    train_coded_spark(moments.device_moments(ex, d, c), D, 23, ex.count(), (d, c), np.argsort(times, axis=1).tolist(), workloads.LAMBDA, lambda e: 6.0, SEED, evaluate=lambda t: out.append(t.copy()) or {})
     cells = [(e + 1, i, j, float(t[i, j])) for e, t in enumerate(out) for i in range(d) for j in range(c)]
-    return spark.createDataFrame(cells, "epoch int, i int, j int, t double").select("epoch", "i", "j", F.round("t", 5).alias("theta_r5"))
+    return spark.createDataFrame(cells, "epoch int, i int, j int, t double").select("epoch", "i", "j", F.round("t", 4).alias("theta_r4"))
 
 
 # --- losses, features, accuracy ------------------------------------------------------------------
@@ -426,12 +429,7 @@ def latency_percentiles(spark, sf_dir):
 
 
 def _sharing_sql() -> str:
-    one = (2000 * 2001 // 2 + 20000) * 48 * 1.1
-    s = lambda kind: f"greatest(1.0, ceil(ln({o.uni(repr(LAT_SEED), 'alpha', 'device', repr(kind))}) / ln(0.1)))"
-    u = o.uni(repr(LAT_SEED), "alpha", "device", "'encode'")
-    return f"""WITH {o.fleet()}, f AS (SELECT *, unnest({list(ALPHAS)})::INT AS alpha FROM fleet)
-SELECT alpha, device, round(greatest((alpha - 1) * {s('share-up')} * {one!r} / 5e6, (alpha - 1) * {s('share-down')} * {one!r} / 10e6), 5) AS share_r5,
-round(alpha * {float(2000 * 2000 + 20000)!r} / tau * (1 - ln({u}) / 2), 5) AS encode_r5 FROM f"""
+    return f"WITH {o.fleet()}, s AS ({o.sharing_times(ALPHAS, 2000, 10, LAT_SEED)}) SELECT alpha, device, round(share_s, 5) AS share_r5, round(encode_s, 5) AS encode_r5 FROM s"
 
 
 @query(_sharing_sql())
@@ -440,55 +438,53 @@ def sharing_time(spark, sf_dir):
     return out.select("alpha", "device", F.round("share_s", 5).alias("share_r5"), F.round("encode_s", 5).alias("encode_r5"))
 
 
-_KEEP = {"conventional": (1, 25, 0.0), **{f"coded_{a}": (a, D - a + 1, 80.0 + 10 * a) for a in ALPHAS}}
-
+# --- traces and their measures ------------------------------------------------------------------------
 
-def _schemes_sql() -> str:
-    rows = ", ".join(f"('{s}', {a}, {k}, {off!r})" for s, (a, k, off) in _KEEP.items())
-    return _LAT + f""", sch(scheme, alpha, keep, off) AS (VALUES {rows}),
-et AS (SELECT scheme, alpha, off, epoch, max(total_s) AS seconds FROM ranked, sch WHERE place <= keep GROUP BY ALL),
-el AS (SELECT scheme, alpha, epoch, seconds, off + sum(seconds) OVER (PARTITION BY scheme ORDER BY epoch) AS elapsed_s, 1 - exp(-epoch / 8.0) AS accuracy FROM et),
-tgt AS (SELECT unnest([0.5, 0.8, 0.95]::DOUBLE[]) AS target),
-reach AS (SELECT scheme, alpha, target, min(CASE WHEN accuracy >= target THEN elapsed_s END) AS reached_s FROM el, tgt GROUP BY ALL)"""
+TRACE_EPOCHS, KEEP = 60, 20
+_TRACE = "WITH " + o.planted_trace(TRACE_EPOCHS, ALPHAS, KEEP, 6.0, workloads.LAMBDA, LAT_SEED)
+TARGETS = (0.2, 0.3, 0.4, 0.45, 0.7)
+_REACH = _TRACE + f""", reach AS (SELECT scheme, alpha, target, min(CASE WHEN accuracy >= target - 1e-9 THEN elapsed_s END) AS reached_s FROM trace, (SELECT unnest({list(TARGETS)}::DOUBLE[]) AS target) GROUP BY ALL)"""
 
 
 def _trace(spark, sf_dir):
-    lat = _latency(spark, sf_dir)
-    rows = [(s, a, k, float(off)) for s, (a, k, off) in _KEEP.items()]
-    schemes = F.broadcast(spark.createDataFrame(rows, "scheme string, alpha int, keep int, off double"))
-    et = latency.fastest(lat, D).join(schemes, F.col("place") <= F.col("keep")).groupBy("scheme", "alpha", "off", "epoch").agg(F.max("total_s").alias("seconds"))
-    return measures.elapsed(et, F.col("off"), ["scheme"]).withColumn("accuracy", 1 - F.exp(-F.col("epoch") / 8.0)).drop("off")
+    return workloads.planted_trace(spark, sf_dir, TRACE_EPOCHS, ALPHAS, KEEP, LAT_SEED)
+
+
+def _reached(trace, targets=TARGETS, by=("scheme", "alpha")):
+    each = F.explode(F.array(*[F.lit(float(v)) for v in targets])).alias("target")
+    return measures.time_to_accuracy(trace.select("*", each), F.col("target") - 1e-9, [*by, "target"])
 
 
-def _reached(spark, sf_dir):
-    targets = F.explode(F.array(*[F.lit(v) for v in (0.5, 0.8, 0.95)])).alias("target")
-    return measures.time_to_accuracy(_trace(spark, sf_dir).select("*", targets), F.col("target"), ["scheme", "alpha", "target"])
+@query(_TRACE + " SELECT scheme, alpha, epoch, round(loss, 5) AS loss_r5, round(accuracy, 5) AS accuracy_r5 FROM trace")
+def planted_descent(spark, sf_dir):
+    """Loss and test accuracy of each epoch: padded lanes with stragglers (alpha 6, 16, 23, 25) and baselines, against descent written out as a recursion."""
+    return _trace(spark, sf_dir).select("scheme", "alpha", "epoch", F.round("loss", 5).alias("loss_r5"), F.round("accuracy", 5).alias("accuracy_r5"))
 
 
-@query(_schemes_sql() + " SELECT scheme, alpha, epoch, round(elapsed_s, 5) AS elapsed_r5 FROM el")
+@query(_TRACE + " SELECT scheme, alpha, epoch, round(elapsed_s, 5) AS elapsed_r5 FROM trace")
 def elapsed_time(spark, sf_dir):
     return _trace(spark, sf_dir).select("scheme", "alpha", "epoch", F.round("elapsed_s", 5).alias("elapsed_r5"))
 
 
-@query(_schemes_sql() + " SELECT scheme, alpha, target, round(reached_s, 5) AS reached_r5 FROM reach")
+@query(_REACH + " SELECT scheme, alpha, target, round(reached_s, 5) AS reached_r5 FROM reach")
 def time_to_accuracy(spark, sf_dir):
-    return _reached(spark, sf_dir).select("scheme", "alpha", "target", F.round("reached_s", 5).alias("reached_r5"))
+    return _reached(_trace(spark, sf_dir)).select("scheme", "alpha", "target", F.round("reached_s", 5).alias("reached_r5"))
 
 
-@query(_schemes_sql() + " SELECT a.target, a.alpha, round(b.reached_s / a.reached_s, 5) AS speedup_r5 FROM reach a JOIN reach b USING (target) WHERE a.scheme = 'coded_23' AND b.scheme = 'conventional'")
+@query(_REACH + " SELECT a.target, a.alpha, round(b.reached_s / a.reached_s, 5) AS speedup_r5 FROM reach a JOIN reach b USING (target) WHERE a.scheme = 'coded' AND b.scheme = 'conventional'")
 def speedup(spark, sf_dir):
-    return measures.speedup(_reached(spark, sf_dir), "coded_23", "conventional", ["target"]).select("target", "alpha", F.round("speedup", 5).alias("speedup_r5"))
+    return measures.speedup(_reached(_trace(spark, sf_dir)), "coded", "conventional", ["target"]).select("target", "alpha", F.round("speedup", 5).alias("speedup_r5"))
 
 
-@query(_schemes_sql() + " SELECT target, arg_min(alpha, (reached_s, alpha)) AS alpha, round(min(reached_s), 5) AS reached_r5 FROM reach WHERE scheme <> 'conventional' GROUP BY 1")
+@query(_REACH + " SELECT target, arg_min(alpha, (reached_s, alpha)) FILTER (reached_s IS NOT NULL) AS alpha, round(min(reached_s), 5) AS reached_r5 FROM reach WHERE scheme = 'coded' GROUP BY 1")
 def best_alpha(spark, sf_dir):
-    return measures.choose_alpha(_reached(spark, sf_dir).where("scheme <> 'conventional'"), ["target"]).select("target", "alpha", F.round("reached_s", 5).alias("reached_r5"))
+    return measures.choose_alpha(_reached(_trace(spark, sf_dir)).where("scheme = 'coded'"), ["target"]).select("target", "alpha", F.round("reached_s", 5).alias("reached_r5"))
 
 
-@query(_schemes_sql() + " SELECT scheme, epoch, round(seconds - lag(seconds) OVER (PARTITION BY scheme ORDER BY epoch), 5) AS change_r5, round(avg(seconds) OVER (PARTITION BY scheme ORDER BY epoch ROWS BETWEEN 2 PRECEDING AND CURRENT ROW), 5) AS mean3_r5 FROM el")
+@query(_TRACE + " SELECT scheme, alpha, epoch, round(loss - lag(loss) OVER (PARTITION BY scheme, alpha ORDER BY epoch), 5) AS change_r5, round(avg(accuracy) OVER (PARTITION BY scheme, alpha ORDER BY epoch ROWS BETWEEN 2 PRECEDING AND CURRENT ROW), 5) AS mean3_r5 FROM trace")
 def loss_delta(spark, sf_dir):
-    w = Window.partitionBy("scheme").orderBy("epoch")
-    return _trace(spark, sf_dir).select("scheme", "epoch", F.round(F.col("seconds") - F.lag("seconds").over(w), 5).alias("change_r5"), F.round(F.avg("seconds").over(w.rowsBetween(-2, 0)), 5).alias("mean3_r5"))
+    w = Window.partitionBy("scheme", "alpha").orderBy("epoch")
+    return _trace(spark, sf_dir).select("scheme", "alpha", "epoch", F.round(F.col("loss") - F.lag("loss").over(w), 5).alias("change_r5"), F.round(F.avg("accuracy").over(w.rowsBetween(-2, 0)), 5).alias("mean3_r5"))
 
 
 @query(_LAT + " SELECT device FROM latency EXCEPT SELECT device FROM ranked WHERE place > 20")
@@ -499,16 +495,20 @@ def always_on_time(spark, sf_dir):
     return lat.select("device").distinct().exceptAll(late.select("device").distinct())
 
 
-@query("SELECT * FROM (VALUES ('coded', 40000000::BIGINT, 960000::BIGINT), ('minibatch', 19200000, 640000), ('encode_23', 92460000, 0)) t(scheme, macs, bits)")
+@query("""WITH s AS (SELECT unnest([64, 256, 2000])::BIGINT AS d, 10::BIGINT AS c)
+SELECT 'coded' AS scheme, d, 1 AS alpha, d * d * c AS macs, d * c * 48 AS bits FROM s UNION ALL SELECT 'minibatch', d, 1, 480 * 2 * d * c, d * c * 32 FROM s
+UNION ALL SELECT 'encode', d, alpha, alpha * d * (d + c), (alpha - 1) * (d * (d + 1) // 2 + d * c) * 48 FROM s, (SELECT unnest([6, 16, 23, 25])::INT AS alpha)""")
 def cost_table(spark, sf_dir):
-    rows = [("coded", latency.mac_count("coded", 2000, 10), latency.message_bits(2000, 10, 48)), ("minibatch", latency.mac_count("minibatch", 2000, 10), latency.message_bits(2000, 10, 32)), ("encode_23", latency.mac_count("encode", 2000, 10, alpha=23), 0)]
-    return spark.createDataFrame(rows, "scheme string, macs long, bits long")
+    """Multiply-accumulates and bits of an epoch, and of the sharing phase for every alpha."""
+    rows = [(n, d, 1, latency.mac_count(n, d, 10), latency.message_bits(d, 10, k)) for d in (64, 256, 2000) for n, k in (("coded", 48), ("minibatch", 32))]
+    rows += [("encode", d, a, latency.mac_count("encode", d, 10, alpha=a), sharing.share_bits(a, d, 10, 48)) for d in (64, 256, 2000) for a in ALPHAS]
+    return spark.createDataFrame(rows, "scheme string, d long, alpha int, macs long, bits long")
 
 
 # --- baselines ----------------------------------------------------------------------------------------
 
 
-@query(f"WITH {o.examples(D, DIMS)}, r AS (SELECT vec_id, device, ((row_number() OVER (PARTITION BY device ORDER BY vec_id) - 1) % 5)::INT AS batch FROM ex) SELECT device, batch, count(*) AS n, min(vec_id) AS first_id FROM r GROUP BY ALL")
+@query(f"WITH {o.examples(D)}, r AS (SELECT vec_id, device, ((row_number() OVER (PARTITION BY device ORDER BY vec_id) - 1) % 5)::INT AS batch FROM ex) SELECT device, batch, count(*) AS n, min(vec_id) AS first_id FROM r GROUP BY ALL")
 def minibatch_rows(spark, sf_dir):
     return _batched(spark, sf_dir).groupBy("device", "batch").agg(F.count("*").alias("n"), F.min("vec_id").alias("first_id"))
 
@@ -522,7 +522,7 @@ _DIAG = np.array([[0.5 if (i + j) % 2 else -0.25 for j in range(10)] for i in ra
 _DIAG_SQL = "CASE WHEN (k.i + j) % 2 = 1 THEN 0.5 ELSE -0.25 END"
 
 
-@query(f"""WITH {o.examples(D, DIMS)}, b AS (SELECT vec_id, ((row_number() OVER (PARTITION BY device ORDER BY vec_id) - 1) % 5)::INT AS batch FROM ex),
+@query(f"""WITH {o.examples(D)}, b AS (SELECT vec_id, ((row_number() OVER (PARTITION BY device ORDER BY vec_id) - 1) % 5)::INT AS batch FROM ex),
 pred AS (SELECT k.vec_id, j, sum(k.a * {_DIAG_SQL}) AS p FROM xs k, outs GROUP BY ALL),
 res AS (SELECT vec_id, j, p - b AS r FROM pred JOIN ys USING (vec_id, j))
 SELECT batch, x.i, j, sum(x.a * r)::DOUBLE AS v FROM xs x JOIN res USING (vec_id) JOIN b USING (vec_id) GROUP BY ALL""")
@@ -540,7 +540,7 @@ def _gradients_by_epoch(spark, sf_dir):
     return g, n, kept
 
 
-@query(_LAT + f""", {o.examples(D, DIMS)}, n AS (SELECT device, count(*) AS rows FROM ex GROUP BY 1), kept AS (SELECT epoch, device FROM ranked WHERE place <= 20 AND epoch <= 3),
+@query(_LAT + f""", {o.examples(D)}, n AS (SELECT device, count(*) AS rows FROM ex GROUP BY 1), kept AS (SELECT epoch, device FROM ranked WHERE place <= 20 AND epoch <= 3),
 m AS (SELECT epoch, sum(rows) AS m FROM kept JOIN n USING (device) GROUP BY 1)
 SELECT epoch, i, j, round(sum(-v)::DOUBLE / any_value(m), 6) AS v_r6 FROM kept JOIN crs USING (device) JOIN m USING (epoch) GROUP BY epoch, i, j""")
 def drop_slowest_gradient(spark, sf_dir):
@@ -550,7 +550,7 @@ def drop_slowest_gradient(spark, sf_dir):
     return out.join(F.broadcast(m), "epoch").select("epoch", "i", "j", F.round(F.col("v") / F.col("m"), 6).alias("v_r6"))
 
 
-@query(_LAT + f""", {o.examples(D, DIMS)}, n AS (SELECT device, count(*) AS rows FROM ex GROUP BY 1), kept AS (SELECT device FROM ranked WHERE place <= 20 AND epoch = 1),
+@query(_LAT + f""", {o.examples(D)}, n AS (SELECT device, count(*) AS rows FROM ex GROUP BY 1), kept AS (SELECT device FROM ranked WHERE place <= 20 AND epoch = 1),
 sc AS (SELECT device, i, j, v / 16777216.0 AS h FROM crs), gs AS (SELECT device, i, j AS k, v / 16777216.0 AS g FROM gram),
 one AS (SELECT device, i, j, h / rows AS t FROM sc JOIN n USING (device)),
 two AS (SELECT o.device, o.i, o.j, any_value(o.t) - (sum(g.g * q.t) - any_value(s.h)) / any_value(n.rows) AS t FROM one o JOIN gs g ON g.device = o.device AND g.i = o.i JOIN one q ON q.device = o.device AND q.i = g.k AND q.j = o.j JOIN sc s ON s.device = o.device AND s.i = o.i AND s.j = o.j JOIN n ON n.device = o.device GROUP BY ALL)
@@ -573,21 +573,19 @@ def fedavg_round(spark, sf_dir):
     return spark.createDataFrame(cells, "i int, j int, v double").select("i", "j", F.round("v", 6).alias("v_r6"))
 
 
-@query(f"""WITH {o.examples(D, DIMS)}, r AS (SELECT range::INT AS row FROM range(4)),
-w AS (SELECT vec_id, row, sqrt(-2 * ln({o.uni("'parity'", "'a'", 'vec_id', 'row')})) * cos({2 * np.pi!r} * {o.uni("'parity'", "'b'", 'vec_id', 'row')}) AS w FROM ex, r)
+@query(f"""WITH {o.examples(D)}, r AS (SELECT range::INT AS row FROM range(4)),
+w AS (SELECT vec_id, row, sqrt((device % 5) / 5.0::DOUBLE) * sqrt(-2 * ln({o.uni("'parity'", "'a'", 'vec_id', 'row')})) * cos({2 * np.pi!r} * {o.uni("'parity'", "'b'", 'vec_id', 'row')}) AS w FROM ex, r)
 SELECT row, i AS j, round(sum(w * a), 3) AS v_r3 FROM xs JOIN w USING (vec_id) GROUP BY ALL""")
 def parity_rows(spark, sf_dir):
-    """Parity rows: random normal combinations of all examples."""
-    u1, u2 = (keys.uniform(F.lit("parity"), F.lit(t), F.col("vec_id"), F.col("row")) for t in "ab")
-    rows = workloads.integer_examples(spark, sf_dir).select("vec_id", "x", F.explode(F.sequence(F.lit(0), F.lit(3))).alias("row"))
-    rows = rows.withColumn("w", F.sqrt(-2 * F.ln(u1)) * F.cos(2 * np.pi * u2)).select("row", "w", F.posexplode("x").alias("j", "a"))
-    return rows.groupBy("row", "j").agg(F.round(F.sum(F.col("w") * F.col("a")), 3).alias("v_r3"))
+    """Four parity rows: random normal combinations of all examples, weighted by the chance of their device to be late."""
+    rows = workloads.integer_examples(spark, sf_dir).withColumnRenamed("vec_id", "row_id")
+    return baselines.parity_cells(rows, 4, (F.col("device") % 5) / F.lit(5.0)).select("row", "j", F.round("v", 3).alias("v_r3"))
 
 
 @query("SELECT delta, ceil(delta * count(*)) / count(*) AS leaked FROM embeddings, (SELECT unnest([0.1, 0.8]::DOUBLE[]) AS delta) GROUP BY delta")
 def parity_leakage(spark, sf_dir):
     m = read_table(spark, sf_dir, "embeddings", "vec_id").count()
-    return spark.createDataFrame([(d, baselines.parity_leakage(d, m, D)) for d in (0.1, 0.8)], "delta double, leaked double")
+    return spark.createDataFrame([(d, baselines.parity_leakage(d, m)) for d in (0.1, 0.8)], "delta double, leaked double")
 
 
 @query("""WITH v AS (SELECT row_number() OVER (ORDER BY ts, event_id)::INT AS version, ts FROM events WHERE event_id % 50 = 0)
@@ -618,7 +616,7 @@ def scan_embeddings(spark, sf_dir):
     return t.groupBy(F.col("label").cast("int").alias("label")).agg(F.count("*").alias("n"), F.round(F.avg(F.get("embedding", F.lit(0)).cast("double")), 6).alias("mean_r6"))
 
 
-@query(f"WITH {o.examples(D, DIMS)} SELECT device, count(*) AS n, sum(a)::BIGINT AS total FROM xs WHERE device IN (3, 7) GROUP BY 1")
+@query(f"WITH {o.examples(D)} SELECT device, count(*) AS n, sum(a)::BIGINT AS total FROM xs WHERE device IN (3, 7) GROUP BY 1")
 def sink_roundtrip(spark, sf_dir):
     """Written by device and read back for two devices: only their folders are read."""
     from padgrad.shared import fresh_path

@@ -1,41 +1,47 @@
 """Tables written in the cluster's shared folder to cut lineage.
 
-The folder is the one the session names in ``spark.checkpoint.dir``. Only where
-that is unset (tests, notebooks) a local default is used.
+The folder is the one the session names in ``spark.checkpoint.dir``. Where that is unset, a
+session on one machine uses its temporary folder; a session on a cluster is refused.
 """
 
 from __future__ import annotations
 
 import contextlib
+import contextvars
+import tempfile
 import uuid
 
 from pyspark.sql import DataFrame, SparkSession
 
-DEFAULT_DIR = "/tmp/checkpoints"
-
 
 def shared_root(spark: SparkSession) -> str:
     """URI of the folder that the driver and all executors share."""
     found = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getConf().get("spark.checkpoint.dir")
-    return (found or f"file://{DEFAULT_DIR}").rstrip("/")
+    if not found:
+        if not spark.sparkContext.master.startswith("local"):
+            raise ValueError("set spark.checkpoint.dir to a folder that the driver and all executors share")
+        found = f"file://{tempfile.gettempdir()}/checkpoints"
+    return found.rstrip("/")
 
 
 def fresh_path(spark: SparkSession, tag: str) -> str:
     return f"{shared_root(spark)}/padgrad/{tag}-{uuid.uuid4().hex}"
 
 
-#: Paths written within each open ``scratch`` block, innermost last.
-_open_blocks: list[list[str]] = []
+#: Paths written within the innermost open ``scratch`` block of this thread.
+_open_block: contextvars.ContextVar[list[str] | None] = contextvars.ContextVar("open_block", default=None)
 
 
 @contextlib.contextmanager
 def scratch(spark: SparkSession):
     """Tables that ``written`` makes in the block are deleted at its end; what should stay goes to ``stored``."""
-    _open_blocks.append([])
+    paths: list[str] = []
+    before = _open_block.set(paths)
     try:
         yield
     finally:
-        for path in _open_blocks.pop():
+        _open_block.reset(before)
+        for path in paths:
             drop_path(spark, path)
 
 
@@ -53,8 +59,8 @@ def written(df: DataFrame, tag: str) -> DataFrame:
     executor costs nothing that was written.
     """
     path = fresh_path(df.sparkSession, tag)
-    if _open_blocks:
-        _open_blocks[-1].append(path)
+    if (block := _open_block.get()) is not None:
+        block.append(path)
     df.write.parquet(path)
     return df.sparkSession.read.schema(df.schema).parquet(path)
 

@@ -2,34 +2,35 @@
 
 from __future__ import annotations
 
-import math
-
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from padgrad.shared import written
+
 #: MAC rates of the four device classes and of the server, link rates, failure chance, header share.
 CLASS_RATES = (25e6, 5e6, 2.5e6, 1.25e6)
 SERVER_RATE, DOWN_RATE, UP_RATE, FAILURE, HEADER = 8.24e12, 10e6, 5e6, 0.1, 0.1
 
 
 def ranked(df: DataFrame, label: str, key: str) -> tuple[DataFrame, int]:
-    """``df`` with ``place`` (0-based in the order of ``label``, ``key``), and the number of rows.
+    """``df`` with ``place`` (0-based in the order of ``label``, ``key``; nulls first), and the number of rows.
 
-    ``key`` is an integer column. Rows are ranked within about sqrt(n) ranges of the
-    key for each label and shifted by the counts before, so no task ranks them all.
+    Rows are range-partitioned and sorted once and written with their place in their
+    partition; the counts before each partition (a row for each) are added. Ranges come from a sample,
+    so outliers and wide keys do no harm, and every row stays, whatever is null. Rows that are alike in
+    label and key are told apart by their hash.
     """
-    n, low, high = df.agg(F.count("*"), F.min(key), F.max(key)).first()
-    if not n:
-        return df.withColumn("place", F.lit(0).cast("long")), 0
-    ranges = max(1, math.isqrt(n))
-    b = F.floor((F.col(key) - F.lit(low)) * F.lit(ranges) / F.lit(high - low + 1))
-    cut = df.withColumn("__b", b)
-    counts = cut.groupBy(label, "__b").agg(F.count("*").alias("__n"))
-    before = F.sum("__n").over(Window.partitionBy().orderBy(label, "__b").rowsBetween(Window.unboundedPreceding, -1))
-    counts = counts.withColumn("__before", F.coalesce(before, F.lit(0))).drop("__n")
-    own = F.row_number().over(Window.partitionBy(label, "__b").orderBy(key))
-    joined = cut.withColumn("__r", own).join(counts, [label, "__b"])
-    return joined.withColumn("place", F.col("__before") + F.col("__r") - 1).drop("__b", "__r", "__before"), n
+    kept = df.columns
+    cut = df.withColumn("__h", F.xxhash64(*kept)).repartitionByRange(label, key, "__h").sortWithinPartitions(label, key, "__h")
+    # the id counts rows from 0 in each partition and has the partition above its lowest 33 bits
+    cut = written(cut.drop("__h").withColumn("__at", F.monotonically_increasing_id()), "ranked")
+    part, inner = F.shiftright("__at", 33), F.col("__at").bitwiseAND(F.lit((1 << 33) - 1))
+    counts = cut.groupBy(part.alias("__p")).agg(F.count("*").alias("__n"))
+    n = counts.agg(F.sum("__n")).first()[0] or 0
+    before = F.sum("__n").over(Window.partitionBy().orderBy("__p").rowsBetween(Window.unboundedPreceding, -1))
+    counts = counts.withColumn("__before", F.coalesce(before, F.lit(0))).drop("__n")  # a row for each partition
+    out = cut.withColumn("__p", part).join(F.broadcast(counts), "__p")
+    return out.withColumn("place", F.col("__before") + inner).select(*kept, "place"), n
 
 
 def split_sorted(df: DataFrame, label: str, key: str, devices: int) -> DataFrame:

@@ -4,11 +4,12 @@ import math
 from collections import Counter
 
 import numpy as np
+import pyarrow.compute as pc
 import pytest
 from pyspark.sql import functions as F
 
 from padgrad.operators import moments
-from padgrad.operators.training import train_coded_spark
+from padgrad.operators.training import CodedTables, train_coded_spark
 from padgrad.plans import catalog
 from padgrad.sources.devices import split_sorted
 
@@ -51,23 +52,59 @@ def test_moment_engines_agree(spark):
 
 
 def test_epochs_on_tables_equal_local_ones(spark):
+    """Any straggler order, a device without rows, every alpha; folders are left to nobody."""
     rng = np.random.default_rng(1)
-    D, d, c, alpha, m = 5, 3, 2, 3, 100
+    D, d, c, m = 5, 3, 2, 100
     g, h = np.stack([(x := rng.normal(size=(20, d))).T @ x for _ in range(D)]), rng.normal(size=(D, d, c))
-    from padgrad.operators.gradcode import build_encoder
-
-    b = build_encoder(D, alpha, 1)
-    pads = rng.normal(size=(D, d, d + c))
-    coded, key = np.tensordot(b, np.concatenate([g, -h], 2) + pads, 1), np.tensordot(b, pads, 1)
-
-    def table(t):
-        return spark.createDataFrame([(i, k, t[i, k, :d].tolist(), t[i, k, d:].tolist()) for i in range(D) for k in range(d)], "device int, i int, bar array<double>, own array<double>")
-
-    got = train_coded_spark(table(coded), table(key), b, alpha, m, (d, c), [[0, 3, 4], [2, 1, 0]], 0.01, lambda e: 0.1).theta
+    g[3], h[3] = 0, 0
+    rows = [(i, k, g[i, k].tolist(), h[i, k].tolist()) for i in range(D) if i != 3 for k in range(d)]
+    table = spark.createDataFrame(rows, moments.MOMENTS)
     theta = np.zeros((d, c))
     for _ in range(2):
         theta = theta - 0.1 * ((g @ theta - h).sum(axis=0) / m + 0.01 * theta)
-    assert np.allclose(got, theta)
+    for alpha, orders in ((1, [[0, 1, 2, 3, 4]] * 2), (3, [[0, 3, 4, 1, 2], [2, 1, 0, 4, 3]]), (5, [[3, 0, 1, 2, 4], [4, 3, 2, 1, 0]])):
+        got = train_coded_spark(table, D, alpha, m, (d, c), orders, 0.01, lambda e: 0.1).theta
+        assert np.abs(got - theta).max() < 1e-6
+    with pytest.raises(ValueError, match="answers"):
+        CodedTables(table, D, 3, (d, c)).gradient_cells(theta, [0, 1])
+
+
+def test_moment_pass_at_published_width(spark):
+    """2000 features, ten classes, 25 devices whose rows are mixed in every partition: sums are exact and a task holds one matrix."""
+    d, c, n = 2000, 10, 100
+    rng = np.random.default_rng(2)
+    x, y = rng.integers(-3, 4, (n, d)).astype(float), rng.integers(0, 2, (n, c)).astype(float)
+    rows = [(k % 25, x[k].tolist(), y[k].tolist()) for k in range(n)]
+    ex = spark.createDataFrame(rows, "device int, x array<double>, y array<double>").repartition(2)
+    got = moments.device_moments(ex, d, c).where("device in (0, 24)").toArrow()
+    for dev in (0, 24):
+        own = np.arange(n) % 25 == dev
+        part = got.filter(pc.equal(got["device"], dev)).sort_by("i").combine_chunks()
+        assert np.array_equal(np.asarray(part["g"].combine_chunks().flatten()).reshape(d, d), x[own].T @ x[own])
+        assert np.array_equal(np.asarray(part["h"].combine_chunks().flatten()).reshape(d, c), x[own].T @ y[own])
+
+
+def test_sorted_split_keeps_every_row(spark):
+    rows = [(None, 1), (None, None), (1, 2**62), (1, -(2**62)), (0, None), (0, 5), (1, 5), (1, 5), (1, 5), (None, -1)]
+    got = split_sorted(spark.createDataFrame(rows, "label int, id long").repartition(3), "label", "id", 3).collect()
+    assert Counter((r.label, r.id) for r in got) == Counter(rows)
+    assert sorted(Counter(r.device for r in got).values()) == [3, 3, 4]
+    order = [(r.device, r.label is not None, r.label or 0, r.id is not None, r.id or 0) for r in got]
+    assert all(a[1:] <= b[1:] for a in order for b in order if a[0] < b[0])
+
+
+def test_parity_moments_are_unbiased(spark):
+    from padgrad.operators.baselines import parity_moments
+
+    rng = np.random.default_rng(4)
+    x = rng.normal(size=(600, 4))
+    ex = spark.createDataFrame([(k, k % 5, x[k].tolist(), [float(x[k].sum())]) for k in range(600)], "row_id long, device int, x array<double>, y array<double>").repartition(3)
+    miss = np.array([0.0, 0.2, 0.4, 0.6, 0.8])
+    z = x * np.sqrt(miss[np.arange(600) % 5])[:, None]
+    want = z.T @ z
+    runs = [parity_moments(ex, 4, 1, 0.8, miss, seed) for seed in range(6)]
+    assert np.abs(np.mean([r[0] for r in runs], axis=0) - want).max() < 0.15 * want.max()
+    assert np.allclose(runs[0][1], runs[0][0].sum(axis=1, keepdims=True))
 
 
 def test_shapes_of_the_trade_off(spark):
