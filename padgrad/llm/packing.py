@@ -42,9 +42,14 @@ class PackCost:
         self.unpadded = [2**k for k in range(7, window.bit_length()) if 2**k <= window]
 
 
+def _distinct(x: np.ndarray) -> np.ndarray:
+    x = np.sort(x)
+    return x[np.append(True, x[1:] != x[:-1])]
+
+
 def cut_points(total: int, doc_ends: np.ndarray, sentence_ends: np.ndarray, cost: PackCost) -> tuple[np.ndarray, np.ndarray]:
     """Possible cuts in ``[0, total]`` in order and the penalty of each."""
-    soft = np.unique(np.concatenate([[0], doc_ends, sentence_ends]))
+    soft = _distinct(np.concatenate([[0], doc_ends, sentence_ends]))
     soft = soft[soft <= total]
     if not len(soft) or soft[-1] != total:
         soft = np.append(soft, total)
@@ -53,10 +58,10 @@ def cut_points(total: int, doc_ends: np.ndarray, sentence_ends: np.ndarray, cost
     hard = [np.arange(soft[k] + cost.hard_step, soft[k + 1], cost.hard_step) for k in wide]
     ends = total - np.array(cost.unpadded, np.int64)
     hard.append(ends[ends > 0])
-    points = np.unique(np.concatenate([soft, *hard]))
+    points = _distinct(np.concatenate([soft, *hard]))
     fee = np.full(len(points), cost.hard_cut, np.int64)
-    fee[np.isin(points, sentence_ends)] = cost.sentence_cut
-    fee[np.isin(points, doc_ends)] = 0
+    fee[np.searchsorted(points, sentence_ends[sentence_ends <= total])] = cost.sentence_cut
+    fee[np.searchsorted(points, doc_ends[doc_ends <= total])] = 0
     fee[[0, -1]] = 0
     return points, fee
 
@@ -123,7 +128,7 @@ class Packer:
             borders = borders[: keep + 1]
         end = int(borders[-1])
         begins = np.concatenate([[0], stops[:-1]])
-        edges = np.unique(np.concatenate([borders, begins[begins < end]]))
+        edges = _distinct(np.concatenate([borders, begins[begins < end]]))
         owner = np.searchsorted(stops, edges[:-1], "right")
         window = np.searchsorted(borders, edges[:-1], "right") - 1
         raw = ids[:end].astype("<u4").tobytes()

@@ -12,6 +12,7 @@ from __future__ import annotations
 
 import re
 from array import array
+from operator import attrgetter, itemgetter
 
 import numpy as np
 
@@ -21,6 +22,7 @@ _PLAIN = re.compile(rf"([{_LATIN}]+)([!-&(-/:-@\[-`{{-~]*)\Z")
 _FIRST = "\0"
 _GAPS = (_FIRST, "\n")
 _NONE = np.zeros(0, np.int64)
+_ID = attrgetter("id")
 
 
 def byte_chars() -> list[str]:
@@ -34,7 +36,7 @@ def byte_chars() -> list[str]:
 class PieceTokenizer:
     """``space_joins``: a space belongs to the word after it (byte-level) or is dropped (word-end)."""
 
-    def __init__(self, path: str, space_joins: bool, max_pieces: int = 600_000, specials_as_text: bool = False):
+    def __init__(self, path: str, space_joins: bool, max_pieces: int = 750_000, specials_as_text: bool = False):
         from tokenizers import Tokenizer
 
         self.tok = Tokenizer.from_file(path)
@@ -44,23 +46,50 @@ class PieceTokenizer:
         self.hints = {max(re.split("[A-Za-z]+", c), key=len) or c for c in added}
         self.space_joins, self.max_pieces = space_joins, max_pieces
         self.chars = dict(enumerate(byte_chars()))
+        #: Latin letters as the characters of their bytes.
+        self.letters = {k: "".join(self.chars[b] for b in chr(k).encode()) for k in range(33, 256)}
         self.model = self.tok.model
         self.index: dict = {}
         self._turn()
 
     def _turn(self) -> None:
         """Starts a new generation of the cache; pieces still in use are copied over from the last one."""
-        owner = self
+        old = self.old = (self.index, self.flat, self.ends, {*self.lead}, {*self.tail}) if self.index else None
+        self.parts: dict[str, list[int]] = {}
+        flat = self.flat = array("I")  # the ids of piece k: flat[ends[k] : ends[k + 1]]
+        ends = self.ends = array("q", [0])
+        self.lead, self.tail = [], []  # pieces that begin or end with white space
+        add, part, tokenize, plain, letters = self._add, self._part, self.model.tokenize, _PLAIN.match, self.letters
+        spaced = self.space_joins
+        before, was, stops, edges = (old[0].get, old[1], old[2], old[3] | old[4]) if old else ({}.get, flat, ends, ())
+        gap = self.chars[32] if spaced else ""
 
         class Index(dict):
             def __missing__(self, piece):
-                self[piece] = k = owner._add(piece)
+                if (k := before(piece)) is not None:
+                    if k in edges:
+                        k = add(piece)
+                    else:
+                        flat.extend(was[stops[k] : stops[k + 1]])
+                        ends.append(len(flat))
+                        k = len(ends) - 2
+                elif m := plain(piece):  # a word, perhaps with marks after it
+                    word, marks = m.groups()
+                    if marks:
+                        k = self[word]
+                        flat.extend(flat[ends[k] : ends[k + 1]])
+                        flat.extend(part(marks))
+                    else:
+                        s = word if spaced else word.lower()
+                        flat.extend(map(_ID, tokenize(gap + (s if s.isascii() else s.translate(letters)))))
+                    ends.append(len(flat))
+                    k = len(ends) - 2
+                else:
+                    k = add(piece)
+                self[piece] = k
                 return k
 
-        self.old = (self.index, self.flat, self.ends, {*self.lead}, {*self.tail}) if self.index else None
-        self.index, self.parts = Index(), {}
-        self.flat, self.ends = array("I"), array("q", [0])  # the ids of piece k: flat[ends[k] : ends[k + 1]]
-        self.lead, self.tail = [], []  # pieces that begin or end with white space
+        self.index = Index()
 
     def _model(self, s: str) -> list[int]:
         if not self.space_joins:
@@ -119,7 +148,7 @@ class PieceTokenizer:
         """All ids end to end (uint32), and the number of ids of each text. Null counts as empty."""
         if max(len(self.index), len(self.parts)) > self.max_pieces or len(self.flat) > 16 * self.max_pieces:
             self._turn()
-        get = self.index.__getitem__
+        index = self.index
         rows = []
         for text in texts:
             if not text:
@@ -129,7 +158,7 @@ class PieceTokenizer:
             else:
                 pieces = text.replace("\n", " \n").split(" ")
                 pieces[0] = _FIRST + pieces[0]
-                rows.append(np.fromiter(map(get, pieces), np.int64, len(pieces)))
+                rows.append(np.array(itemgetter(*pieces)(index) if len(pieces) > 1 else [index[pieces[0]]], np.int64))
         if self.space_joins and texts:
             lead, tail = np.zeros(len(self.ends), bool), np.zeros(len(self.ends), bool)
             lead[self.lead], tail[self.tail] = True, True
