@@ -3,14 +3,15 @@
 Plan. One pass hashes every line's key (128 bits, two 64-bit hashes) into a narrow
 table ``(document, row, position, hash)`` in the shared folder. Document counts per
 hash are partial sums before the shuffle, so a line that a third of all documents
-carry costs one row a task. Marking lines: keys held by at least ``1/HOT_SHARE`` of all
-lines are at most ``HOT_SHARE`` many and are broadcast; every other key holds less
-than that share of the rows, so an ordinary shuffled semi-join is even. Texts are
+carry costs one row a task. Marking lines: keys with more than ``1/HOT_SHARE`` of all lines (lines,
+not documents: one document may repeat a line without end) are at most ``HOT_SHARE`` many and are broadcast;
+every other key holds less than that share of the rows, so an ordinary shuffled semi-join is even. Texts are
 shuffled once, by document, to meet the positions they lose.
 
 Defined cases: null or empty text is one empty line; empty keys are never dropped;
 rows that repeat a ``doc_id`` (or have none) count as one document for the threshold
-and are each rewritten by themselves; extra columns pass through, and columns named
+and are each rewritten by themselves; a very long text has as many rows of ``lines`` as lines;
+an empty table gives no rows; extra columns pass through, and columns named
 ``n_lines``, ``n_dropped`` or ``text`` are replaced.
 """
 
@@ -43,16 +44,16 @@ def _hashed_lines(docs: DataFrame) -> DataFrame:
 
 
 def frequent_keys(lines: DataFrame, min_docs: int) -> DataFrame:
-    """``(h1, h2, n)``: keys found in at least ``min_docs`` documents, with their documents."""
-    per_doc = lines.groupBy("h1", "h2", "did").agg(F.lit(1).alias("one"))
-    return per_doc.groupBy("h1", "h2").agg(F.count("*").alias("n")).where(F.col("n") >= min_docs)
+    """``(h1, h2, n, held)``: keys found in at least ``min_docs`` documents, with their documents and lines."""
+    per_doc = lines.groupBy("h1", "h2", "did").agg(F.count("*").alias("c"))
+    return per_doc.groupBy("h1", "h2").agg(F.count("*").alias("n"), F.sum("c").alias("held")).where(F.col("n") >= min_docs)
 
 
 def dropped_positions(lines: DataFrame, keys: DataFrame, total: int) -> DataFrame:
     """``(did, th, drop)``: positions of the lines to go, for each row that loses any."""
     cut = max(1, total // HOT_SHARE)
-    hot = F.broadcast(keys.where(F.col("n") > cut).select("h1", "h2"))
-    cold = keys.where(F.col("n") <= cut).select("h1", "h2").hint("merge")
+    hot = F.broadcast(keys.where(F.col("held") > cut).select("h1", "h2"))
+    cold = keys.where(F.col("held") <= cut).select("h1", "h2").hint("merge")
     on = ["h1", "h2"]
     hits = lines.join(hot, on, "left_semi").unionByName(lines.join(hot, on, "left_anti").join(cold, on, "left_semi"))
     return hits.groupBy("did", "th").agg(F.collect_set("pos").alias("drop"))
