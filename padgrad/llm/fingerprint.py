@@ -1,21 +1,26 @@
 """Document fingerprints: invertible Bloom lookup sketches of paragraph digests.
 
 A text is cut into paragraphs: at line ends and, in long lines, at sentence ends after
-``SHORT`` characters (at ``LONG`` at the latest). The set of their 64-bit digests goes
-into ``TABLES`` tables of ``WIDTH`` cells; a cell holds the count, the xor of the digests
-and the xor of their checks. The difference of two sketches holds only what one of
-the texts has and the other has not; cells with one digest are peeled until none is
-left, which gives the differing digests. If some are left, the sketch was too small:
-its digests are dealt to four sketches of the same size (so four times as large in
-all) by other bits of the digest, each of which is peeled or dealt again. After
-``RETRIES`` the digests are compared directly.
-
-Likeness of two fingerprints is shared over united digests, from the two set sizes and
-the peeled difference. All of it is higher-order functions on arrays in one row: no
-shuffle, and work in proportion to the text's length at each size.
+``SHORT`` characters (at ``LONG`` at the latest). The set of their 64-bit digests is dealt by
+digest bits to 4^level buckets, so many that a bucket holds at most ``LOAD`` on average, and each bucket
+goes into ``TABLES`` tables of ``WIDTH`` cells; a cell holds the count, the xor of the digests
+and the xor of their checks. The fingerprint is the number of digests and all cells. Four buckets that
+differ in their last digit add up to one bucket of the level below, so a fingerprint holds every smaller
+sketch of its text too.
+
+The difference of two sketches holds only what one of the texts has and the other has not; cells with one
+digest are peeled until none is left, which gives the differing digests. The smallest sketch is tried
+first; on failure one as large as the larger fingerprint is peeled, bucket by bucket (the other text's digests,
+which its own sketch gives when it is peeled, are dealt to as many buckets). What even that leaves is counted from below: a cell with n more digests of one text holds at least |n|, at least 2
+if n is 0, at least 3 if |n| is 1 but it is not one digest.
+
+Likeness is shared over united digests, from the two set sizes and the difference: two fingerprints
+give it, without the texts (``likeness`` for columns, ``likeness_of`` for two stored strings). All of it is
+higher-order functions on arrays in one row: no shuffle, and work in proportion to the text's length.
 
 Defined cases: null and empty texts have an empty sketch, and two of them have
-likeness 1; repeated paragraphs count once; equal texts have equal fingerprints.
+likeness 1; repeated paragraphs count once; equal texts have equal fingerprints; a text of more than
+``LOAD * 4^LEVELS`` paragraphs has fuller buckets; an empty table gives no rows; extra columns are ignored.
 """
 
 from __future__ import annotations
@@ -27,8 +32,8 @@ from padgrad.llm.textcols import NO_ID, id_key
 from padgrad.shared import written
 
 TABLES, WIDTH, BITS, ROUNDS = 3, 8, 3, 8
-#: Each retry deals a failed sketch to SPLIT larger ones, by other bits of the digests.
-SPLIT_BITS, RETRIES = 2, 5
+#: Digests a bucket holds on average at most, and levels of buckets (each takes two bits of the digests).
+LOAD, LEVELS = 2, 8
 SHORT, LONG = 48, 200
 _PARAGRAPH = rf"(?s)(?:.{{{SHORT},{LONG}}}?(?:(?<=[.!?])\s+|\n+|\z)|.{{1,{LONG}}})"
 
@@ -107,49 +112,176 @@ def peel(cells: Column) -> Column:
     return F.aggregate(F.sequence(F.lit(1), F.lit(ROUNDS)), start, turn)
 
 
-def _peeled_size(cells: Column) -> Column:
-    """Number of differing digests, or null if the sketch was too small."""
-    return F.get(F.transform(F.array(peel(cells)), lambda s: F.when(_left(s["cells"]), F.lit(None).cast("int")).otherwise(s["count"])), F.lit(0))
+def level_of(n: Column) -> Column:
+    """Levels of a set of ``n`` digests."""
+    return F.least(F.lit(LEVELS), F.greatest(F.lit(0), F.ceil(F.log(n.cast("double") / LOAD) / F.log(F.lit(4.0))))).cast("int")
 
 
-def _dealt(elements: Column, bucket: Column, retry: int) -> Column:
-    at = TABLES * BITS + SPLIT_BITS * retry
-    return F.filter(elements, lambda x: _shift(x["k"], F.lit(at)).bitwiseAND(F.lit(2**SPLIT_BITS - 1)) == bucket)
+def _steps(n: Column) -> Column:
+    return F.when(n > 0, F.sequence(F.lit(0), n - 1)).otherwise(F.array().cast("array<int>"))
 
 
-def _differing(pair: Column, cells: Column | None, retry: int) -> Column:
-    """Digests that only one text of ``pair`` (``a``, ``b``) has: peeled, or dealt to sketches of their own and counted there."""
-    if retry > RETRIES:
-        return F.size(F.array_except(pair["a"], pair["b"])) + F.size(F.array_except(pair["b"], pair["a"]))
-    cells = subtract(sketch(pair["a"]), sketch(pair["b"])) if cells is None else cells
+def sketches(digests: Column, level: Column) -> Column:
+    """The sketch of a set of digests at ``level``: ``array<array<cell>>``, a bucket each."""
 
-    def part(bucket):
-        share = F.array(F.struct(_dealt(pair["a"], bucket, retry).alias("a"), _dealt(pair["b"], bucket, retry).alias("b")))
-        return F.get(F.transform(share, lambda p: _differing(p, None, retry + 1)), F.lit(0))
+    def deal(parts, step):
+        at = F.lit(TABLES * BITS) + 2 * step
 
-    parts = F.transform(F.sequence(F.lit(0), F.lit(2**SPLIT_BITS - 1)), part)
-    return F.coalesce(_peeled_size(cells), F.aggregate(parts, F.lit(0), lambda acc, x: acc + x))
+        def four(part):
+            return F.transform(F.sequence(F.lit(0), F.lit(3)), lambda b: F.filter(part, lambda x: _shift(x["k"], at).bitwiseAND(F.lit(3)) == b))
 
+        return F.flatten(F.transform(parts, four))
 
-def difference_size(a: Column, b: Column, first: Column) -> Column:
-    """Size of the symmetric difference of two sets of ``items``; ``first`` is the difference of their smallest sketches."""
-    return F.get(F.transform(F.array(F.struct(a.alias("a"), b.alias("b"), first.alias("first"))), lambda p: _differing(p, p["first"], 0)), F.lit(0))
+    return F.transform(F.aggregate(_steps(level), F.array(items(digests)), deal), sketch)
 
 
-def likeness(a: Column, b: Column, difference: Column) -> Column:
-    """Shared over united digests."""
-    shared = (F.size(a) + F.size(b) - difference) / 2
-    united = F.size(a) + F.size(b) - shared
-    return F.when(united > 0, shared / united).otherwise(F.lit(1.0))
+def whole_sketch(digests: Column) -> Column:
+    """``struct<d, n, level, s>``: digests, their number, level and sketch; all but ``d`` is the fingerprint."""
 
+    def one(d):
+        level = level_of(F.size(d))
+        return F.struct(d.alias("d"), F.size(d).alias("n"), level.alias("level"), sketches(d, level).alias("s"))
+
+    return F.get(F.transform(F.array(digests), one), F.lit(0))
+
+
+def _added(a: Column, b: Column) -> Column:
+    return F.zip_with(a, b, lambda x, y: _cell(x["n"] + y["n"], x["k"].bitwiseXOR(y["k"]), x["c"].bitwiseXOR(y["c"])))
+
+
+def folded(buckets: Column, times: Column) -> Column:
+    """The sketch ``times`` levels below."""
+
+    def fold(acc, _):
+        return F.transform(F.sequence(F.lit(0), (F.size(acc) / 4).cast("int") - 1), lambda i: _added(_added(F.get(acc, 4 * i), F.get(acc, 4 * i + 1)), _added(F.get(acc, 4 * i + 2), F.get(acc, 4 * i + 3))))
+
+    return F.aggregate(_steps(times), buckets, fold)
+
+
+def _least_left(cells: Column) -> Column:
+    """At least so many digests are in cells that were not peeled: the most that one table shows."""
+
+    def shown(c):
+        n = F.abs(c["n"])
+        return F.when((n == 0) & (c["k"] != 0), F.lit(2)).when((n == 1) & (_check(c["k"]) != c["c"]), F.lit(3)).otherwise(n)
+
+    tables = [F.aggregate(F.slice(cells, t * WIDTH + 1, WIDTH), F.lit(0), lambda acc, c: acc + shown(c)) for t in range(TABLES)]
+    return F.greatest(*tables)
+
+
+def _peeled(cells: Column) -> Column:
+    """``struct(count, left)`` of a bucket of differences."""
+    return F.get(F.transform(F.array(peel(cells)), lambda s: F.struct(s["count"].alias("count"), F.when(_left(s["cells"]), _least_left(s["cells"])).otherwise(F.lit(0)).alias("left"))), F.lit(0))
+
+
+def difference_size(a: Column, b: Column) -> Column:
+    """Size of the symmetric difference of two sets, from their ``whole_sketch``."""
+
+    def of(p):
+        level = F.greatest(p["a"]["level"], p["b"]["level"])
+        a_, b_ = (F.when(p[x]["level"] == level, p[x]["s"]).otherwise(sketches(p[x]["d"], level)) for x in "ab")
+        cells = F.zip_with(a_, b_, lambda x, y: subtract(x, y))
+
+        def tried(q):
+            small = _peeled(F.get(folded(q["cells"], q["level"]), F.lit(0)))
+            whole = F.aggregate(F.transform(q["cells"], _peeled), F.lit(0), lambda acc, x: acc + x["count"] + x["left"])
+            return F.get(F.transform(F.array(small), lambda s: F.when((s["left"] == 0) | (q["level"] == 0), s["count"] + s["left"]).otherwise(whole)), F.lit(0))
+
+        return F.get(F.transform(F.array(F.struct(cells.alias("cells"), level.alias("level"))), tried), F.lit(0))
+
+    return F.get(F.transform(F.array(F.struct(a.alias("a"), b.alias("b"))), of), F.lit(0))
+
+
+def likeness(n_a: Column, n_b: Column, difference: Column) -> Column:
+    """Shared over united digests, from set sizes and the size of the difference."""
+    shared = (n_a + n_b - difference) / 2
+    return F.when(n_a + n_b > 0, shared / (n_a + n_b - shared)).otherwise(F.lit(1.0))
+
+
+def fingerprint_text(whole: Column) -> Column:
+    """The fingerprint as a string, base64 of: digests (4 bytes), levels (1), then each cell that is not empty: its number (4), count (2), xor of digests (8) and of checks (4)."""
+
+    def one(c, at):
+        cell = F.concat(F.lpad(F.hex(at.cast("long")), 8, "0"), F.right(F.lpad(F.hex(c["n"].cast("long")), 4, "0"), F.lit(4)), F.lpad(F.hex(c["k"]), 16, "0"), F.lpad(F.hex(c["c"]), 8, "0"))
+        return F.when((c["n"] != 0) | (c["k"] != 0), cell).otherwise(F.lit(""))
+
+    head = F.concat(F.lpad(F.hex(whole["n"].cast("long")), 8, "0"), F.lpad(F.hex(whole["level"].cast("long")), 2, "0"))
+    return F.base64(F.unhex(F.concat(head, F.array_join(F.transform(F.flatten(whole["s"]), one), ""))))
+
+
+def _long_check(k: int) -> int:
+    """``_check`` of an unsigned digest in plain Python."""
+    import xxhash
+
+    return xxhash.xxh64_intdigest((97).to_bytes(4, "little"), xxhash.xxh64_intdigest(k.to_bytes(8, "little"), 42)) & 0xFFFFFFFF
+
+
+def likeness_of(a: str, b: str) -> float:
+    """Likeness of two stored fingerprints, for a user who holds no more than the strings (plain Python; ``likeness`` is the one for tables)."""
+    import base64
+    import struct
+
+    def read(text):
+        raw = base64.b64decode(text)
+        n, level = struct.unpack_from(">IB", raw)
+        return n, level, {at: [x, k, c] for at, x, k, c in struct.iter_unpack(">IhQI", raw[5:])}
+
+    size = TABLES * WIDTH
+
+    def cells_of(k, x=1):
+        return [((k >> (t * BITS) & (WIDTH - 1)) + t * WIDTH, (x, k, _long_check(k))) for t in range(TABLES)]
+
+    def put(cell, piece, sign=1):
+        cell[0], cell[1], cell[2] = cell[0] + sign * piece[0], cell[1] ^ piece[1], cell[2] ^ piece[2]
+
+    def buckets(sets, level):
+        """Differences by bucket of ``(cells, own level, sign)``."""
+        out: dict[int, list] = {}
+        for cells, own, sign in sets:
+            for at, piece in cells.items():
+                put(out.setdefault((at // size) >> (2 * (own - level)), [[0, 0, 0] for _ in range(size)])[at % size], piece, sign)
+        return out.values()
 
-def fingerprint_text(cells: Column) -> Column:
-    """The sketch as a string: count, digest xor and check xor of each cell, base64."""
+    def peeled(cells):
+        """Digests found, and how many more there are at least."""
+        found = []
+        for _ in range(ROUNDS):
+            pure = {(k, x) for x, k, c in cells if abs(x) == 1 and _long_check(k) == c}
+            for k, x in pure:
+                for at, piece in cells_of(k, x):
+                    put(cells[at], piece, -1)
+            found += [k for k, _ in pure]
+        shown = [2 if not x and k else 3 if abs(x) == 1 and _long_check(k) != c else abs(x) for x, k, c in cells]
+        return found, max(sum(shown[t * WIDTH : (t + 1) * WIDTH]) for t in range(TABLES))
 
-    def one(c):
-        return F.concat(F.right(F.lpad(F.hex(c["n"].cast("long")), 4, "0"), F.lit(4)), F.lpad(F.hex(c["k"]), 16, "0"), F.lpad(F.hex(c["c"]), 8, "0"))
+    def raised(cells, own, level):
+        """Cells at a higher level of a fingerprint whose digests peel out, else None."""
+        found = [peeled(c) for c in buckets([(cells, own, 1)], own)]
+        if any(left for _, left in found):
+            return None
+        out: dict[int, list] = {}
+        for k in (k for ks, _ in found for k in ks):
+            bucket = 0
+            for step in range(level):
+                bucket = 4 * bucket + (k >> (TABLES * BITS + 2 * step) & 3)
+            for at, piece in cells_of(k):
+                put(out.setdefault(bucket * size + at, [0, 0, 0]), piece)
+        return out
 
-    return F.base64(F.unhex(F.array_join(F.transform(cells, one), "")))
+    (n_a, la, a_), (n_b, lb, b_) = read(a), read(b)
+    level = max(la, lb)
+    if la != lb:
+        more = raised(*((a_, la) if la < lb else (b_, lb)), level)
+        if more is None:
+            level = min(la, lb)
+        else:
+            (a_, la), (b_, lb) = ((more, level), (b_, lb)) if la < lb else ((a_, la), (more, level))
+    sets = [(a_, la, 1), (b_, lb, -1)]
+    tried = [peeled(c) for c in buckets(sets, 0)]
+    if any(left for _, left in tried) and level:
+        tried = [peeled(c) for c in buckets(sets, level)]
+    shared = (n_a + n_b - sum(len(found) + left for found, left in tried)) / 2
+    return shared / (n_a + n_b - shared) if n_a + n_b else 1.0
 
 
 def successors(ids: DataFrame) -> DataFrame:
@@ -193,12 +325,10 @@ def fingerprint_edits(docs: DataFrame) -> DataFrame:
     edited = F.concat(F.expr("substring(text, 1, int(char_length(text) - char_length(text) div 2))"), F.substring(F.col("head"), F.lit(1), half))
     made = both.select("did", n.cast("long").alias("n_chars"), edited.alias("edited"), "dig", "next_dig")
     made = made.select("did", "n_chars", F.sha2(F.col("edited").cast("binary"), 256).alias("edited_sha256"), "dig", "next_dig", paragraph_digests(F.col("edited")).alias("edit_dig"))
-    made = made.select("did", "n_chars", "edited_sha256", *[items(F.col(c)).alias(c) for c in ("dig", "edit_dig", "next_dig")])
-    made = made.select("*", sketch(F.col("dig")).alias("own"), sketch(F.col("edit_dig")).alias("edit"), sketch(F.col("next_dig")).alias("next"))
-    made = made.withColumn("d_edit", difference_size(F.col("dig"), F.col("edit_dig"), subtract(F.col("own"), F.col("edit"))))
-    made = made.withColumn("d_next", difference_size(F.col("dig"), F.col("next_dig"), subtract(F.col("own"), F.col("next"))))
+    made = made.select("did", "n_chars", "edited_sha256", *[whole_sketch(F.col(c)).alias(name) for c, name in (("dig", "own"), ("edit_dig", "edit"), ("next_dig", "next"))])
+    made = made.withColumn("d_edit", difference_size(F.col("own"), F.col("edit"))).withColumn("d_next", difference_size(F.col("own"), F.col("next")))
     return made.select(
         F.when(F.col("did") != NO_ID, F.col("did")).alias("doc_id"), "n_chars", "edited_sha256",
         fingerprint_text(F.col("own")).alias("fingerprint"), fingerprint_text(F.col("edit")).alias("edited_fingerprint"),
-        likeness(F.col("dig"), F.col("edit_dig"), F.col("d_edit")).alias("near_edited"), likeness(F.col("dig"), F.col("next_dig"), F.col("d_next")).alias("near_next"),
+        likeness(F.col("own.n"), F.col("edit.n"), F.col("d_edit")).alias("near_edited"), likeness(F.col("own.n"), F.col("next.n"), F.col("d_next")).alias("near_next"),
     )

@@ -160,16 +160,39 @@ def test_fingerprints(docs, none):
 
 
 def test_peeling_and_larger_sketches(spark):
-    from padgrad.llm.fingerprint import difference_size, items, sketch, subtract
+    """Differences of any size between sets of any sizes, from sketches alone; what does not peel is counted to within a few."""
+    from padgrad.llm.fingerprint import difference_size, fingerprint_text, likeness_of, whole_sketch
 
     rng = np.random.default_rng(1)
     rows = []
-    for n in (0, 1, 5, 30, 60, 400):
-        shared = rng.integers(-(2**62), 2**62, 50).tolist()
-        rows.append((shared + rng.integers(-(2**62), 2**62, n).tolist(), shared + rng.integers(-(2**62), 2**62, n).tolist(), 2 * n))
-    df = spark.createDataFrame(rows, "a array<long>, b array<long>, want int").select(items(F.col("a")).alias("a"), items(F.col("b")).alias("b"), "want")
-    d = difference_size(F.col("a"), F.col("b"), subtract(sketch(F.col("a")), sketch(F.col("b"))))
-    assert all(r.d == r.want for r in df.select("want", d.alias("d")).collect())
+    for common in (0, 3, 50, 700):
+        for n, m in ((0, 0), (1, 0), (5, 5), (30, 2), (60, 60), (400, 400), (3, 900)):
+            shared = rng.integers(-(2**62), 2**62, common).tolist()
+            rows.append((shared + rng.integers(-(2**62), 2**62, n).tolist(), shared + rng.integers(-(2**62), 2**62, m).tolist(), n + m, common))
+    df = spark.createDataFrame(rows, "a array<long>, b array<long>, want int, common int").withColumn("sa", whole_sketch(F.col("a"))).withColumn("sb", whole_sketch(F.col("b")))
+    got = df.select("want", "common", F.size("a").alias("na"), F.size("b").alias("nb"), difference_size(F.col("sa"), F.col("sb")).alias("d"), fingerprint_text(F.col("sa")).alias("fa"), fingerprint_text(F.col("sb")).alias("fb")).collect()
+    for r in got:
+        assert abs(r.d - r.want) <= 0.02 * r.want, r
+        shared = (r.na + r.nb - r.d) / 2
+        assert likeness_of(r.fa, r.fb) == pytest.approx(shared / (r.na + r.nb - shared) if r.na + r.nb else 1.0)
+
+
+def test_fingerprints_of_real_texts_are_jaccard(spark):
+    """Likeness against plain sets of paragraphs, and against the two stored strings alone."""
+    from padgrad.llm.fingerprint import fingerprint_edits, likeness_of, paragraph_digests
+
+    docs = spark.read.parquet("/root/testdata/sf0.001/documents.parquet").select("doc_id", "text")
+    rows = sorted(fingerprint_edits(docs).collect(), key=lambda r: -r.doc_id)
+    sets = {r.doc_id: set(r.d) for r in docs.select("doc_id", paragraph_digests(F.col("text")).alias("d")).collect()}
+    off = 0
+    for r, after in zip(rows, [*rows[1:], rows[0]], strict=True):
+        a, b = sets[r.doc_id], sets[after.doc_id]
+        want = len(a & b) / len(a | b) if a | b else 1.0
+        off += abs(r.near_next - want) > 1e-9
+        assert abs(r.near_next - want) < 0.02
+        assert likeness_of(r.fingerprint, after.fingerprint) == pytest.approx(r.near_next)
+        assert likeness_of(r.fingerprint, r.edited_fingerprint) == pytest.approx(r.near_edited)
+    assert off <= 0.02 * len(rows)
 
 
 def test_packing(spark, docs, none):

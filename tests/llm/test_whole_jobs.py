@@ -150,3 +150,82 @@ def test_unclosed_head_and_long_page(spark):
     pages = spark.createDataFrame([(1, "u", long, 1), (1, "u", long, 2)], "page_id long, url string, html string, n_chars int")
     rows = extract_main_text(pages).collect()
     assert [r.n_chars for r in rows] == [46 * 20000 - 1] * 2 and extract_main_text(pages.limit(0)).count() == 0
+
+
+def test_line_repeated_within_few_documents_is_hot(spark):
+    """A line that a few documents repeat many times is broadcast, not shuffled as one key."""
+    from padgrad.llm import line_dedup
+
+    rows = [(k, "again\n" * 500 + f"own {k}") for k in range(4)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    lines = line_dedup._hashed_lines(docs)
+    (key,) = line_dedup.frequent_keys(lines, 4).collect()
+    assert (key.n, key.held) == (4, 2000) and key.held > 2004 // line_dedup.HOT_SHARE
+    got = {r.doc_id: (r.text, r.n_dropped) for r in line_dedup.dedup_lines(docs, 4).collect()}
+    assert got == {k: (f"own {k}", 500) for k in range(4)}
+
+
+def test_viterbi_is_the_best_of_all_label_paths():
+    import itertools
+
+    from padgrad.llm.dom_blocks import leaf_blocks
+    from padgrad.llm.labelled_pages import labelled_pages
+    from padgrad.llm.main_text import BlockTagger
+
+    tagger = BlockTagger().fit(labelled_pages(60), rounds=25)
+    seen = 0
+    for page, _ in labelled_pages(120, seed=5):
+        blocks = leaf_blocks(page)
+        if not 2 <= len(blocks) <= 11:
+            continue
+        seen += 1
+        own = [tagger._score(b, k, len(blocks)) for k, b in enumerate(blocks)]
+
+        def value(path):
+            return sum(s for s, y in zip(own, path) if y) + sum(tagger.jump[a, b] for a, b in zip(path, path[1:]))
+
+        best = max(itertools.product((0, 1), repeat=len(blocks)), key=value)
+        assert tagger.main_blocks(page) == [b.text for b, y in zip(blocks, best) if y]
+    assert seen >= 5
+
+
+def test_quality_votes_are_exact():
+    """Scores against a plain loop over all labelled vectors; of equal similarities at the last place any may vote."""
+    from padgrad.llm.quality import Neighbours, TermIds, term_weights
+
+    rng = np.random.default_rng(3)
+    words = [f"{chr(97 + k % 26)}{chr(97 + k // 26)}" for k in range(60)]
+    texts = [" ".join(rng.choice(words, int(rng.integers(3, 30)))) for _ in range(80)]
+    model = Neighbours(texts, [float(k % 3 > 0) for k in range(80)], rank=12, neighbours=7, sharpness=3)
+    asked = [*texts[:10], *[" ".join(rng.choice(words, 12)) for _ in range(20)], "", None]
+    weights = term_weights(asked, TermIds())
+    got = model.scores(weights)
+    for w, score in zip(weights, got, strict=True):
+        v = w.astype(float) @ model.space
+        size = np.linalg.norm(v)
+        if not size:
+            assert score == pytest.approx(model.prior)
+            continue
+        sims = [(float(v / size @ x), y) for x, y in zip(model.vectors, model.labels, strict=True)]
+        near = sorted(sims, reverse=True)[:7]
+        votes = [(max(s, 0) ** 3, y) for s, y in near]
+        assert score == pytest.approx(sum(a * y for a, y in votes) / sum(a for a, _ in votes), abs=1e-4)
+
+
+def test_shards_follow_the_fractional_ranks(spark):
+    """Against the definition in plain Python: rows by (rank - 1/2) / size of their source, then cut."""
+    from padgrad.llm.sharding import interleaved_order, shard_rows
+
+    rows = [(k if k % 7 else None, f"text {k % 11}", ["a", "b", None][(k * k) % 3 if k % 2 else 0]) for k in range(97)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, source string").repartition(4)
+    narrow = docs.select("doc_id", "source", F.octet_length("text").cast("long").alias("size"), F.crc32(F.col("text").cast("binary")).cast("long").alias("text_crc32"))
+    hashed = narrow.withColumn("h", F.xxhash64(F.lit(17), "doc_id", "text_crc32", "size")).collect()
+    order = []
+    for s in {r.source for r in hashed}:
+        own = sorted((r for r in hashed if r.source == s), key=lambda r: (r.h, r.doc_id is not None, r.doc_id or 0, r.text_crc32))
+        order += [((k + 0.5) / len(own), s is None, s or "", r.h, r.doc_id, r.text_crc32) for k, r in enumerate(own)]
+    order.sort(key=lambda x: (x[0], x[1], x[2], x[3], x[4] is not None, x[4] or 0, x[5]))
+    placed = interleaved_order(narrow, 97).orderBy("place").collect()
+    assert [(r.doc_id, r.source or "", r.text_crc32) for r in placed] == [(x[4], x[2], x[5]) for x in order]
+    got = collections.Counter(r.shard for r in shard_rows(docs, 8).collect())
+    assert sorted(got.values()) == [12] * 7 + [13]
