@@ -36,7 +36,7 @@ def byte_chars() -> list[str]:
 class PieceTokenizer:
     """``space_joins``: a space belongs to the word after it (byte-level) or is dropped (word-end)."""
 
-    def __init__(self, path: str, space_joins: bool, max_pieces: int = 750_000, specials_as_text: bool = False):
+    def __init__(self, path: str, space_joins: bool, max_pieces: int = 600_000, specials_as_text: bool = False):
         from tokenizers import Tokenizer
 
         self.tok = Tokenizer.from_file(path)
@@ -50,10 +50,12 @@ class PieceTokenizer:
         self.letters = {k: "".join(self.chars[b] for b in chr(k).encode()) for k in range(33, 256)}
         self.model = self.tok.model
         self.index: dict = {}
+        self.forget = lambda: None
         self._turn()
 
     def _turn(self) -> None:
         """Starts a new generation of the cache; pieces still in use are copied over from the last one."""
+        self.forget()
         old = self.old = (self.index, self.flat, self.ends, {*self.lead}, {*self.tail}) if self.index else None
         self.parts: dict[str, list[int]] = {}
         flat = self.flat = array("I")  # the ids of piece k: flat[ends[k] : ends[k + 1]]
@@ -64,6 +66,11 @@ class PieceTokenizer:
         before, was, stops, edges = (old[0].get, old[1], old[2], old[3] | old[4]) if old else ({}.get, flat, ends, ())
         gap = self.chars[32] if spaced else ""
 
+        def forget():
+            """Lets go of the generation before this one."""
+            nonlocal before, was, stops, edges
+            before, was, stops, edges = {}.get, None, None, ()
+
         class Index(dict):
             def __missing__(self, piece):
                 if (k := before(piece)) is not None:
@@ -89,7 +96,7 @@ class PieceTokenizer:
                 self[piece] = k
                 return k
 
-        self.index = Index()
+        self.index, self.forget = Index(), forget
 
     def _model(self, s: str) -> list[int]:
         if not self.space_joins:
