@@ -22,7 +22,8 @@ joined by a shuffle, words on their 64-bit hash. One pass over the texts gives b
 sums over broadcast keys and the rows to be joined.
 
 Defined cases: null or empty text is the end alone; repeated rows are scored each; with
-nothing to learn from, every bit has probability one half and the base is 0.
+nothing to learn from, every bit has probability one half and the base is 0; a very long text is
+scored whole, in one slice of its own; extra columns are ignored; an empty table gives no rows.
 """
 
 from __future__ import annotations

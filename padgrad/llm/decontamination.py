@@ -20,7 +20,10 @@ when the items' shingles are few enough to broadcast (their number is checked);
 otherwise they are shuffled. Documents with hits are read again by id, likewise.
 
 Defined cases: null or empty text has no words and no match; an item without words
-matches nothing; repeated documents are found each; an empty benchmark finds nothing.
+matches nothing; repeated documents are found each; an empty benchmark finds nothing, an empty table
+gives no rows. Of windows that are equally similar the first one is reported; items with one id and
+different words are items of their own and the best of them is reported. Very long texts have a row for each
+hit and its windows, never for each position, after the scan. Extra columns pass through, whatever their names.
 """
 
 from __future__ import annotations
@@ -28,7 +31,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from padgrad.llm.textcols import id_key, sized
+from padgrad.llm.textcols import free_names, id_key, sized
 from padgrad.shared import scratch, stored, written
 
 
@@ -114,8 +117,9 @@ def find_leaks(docs: DataFrame, benchmark: DataFrame, threshold: float = 0.8, si
 
 def decontaminate(docs: DataFrame, benchmark: DataFrame, threshold: float = 0.8) -> DataFrame:
     """``docs`` without the rows whose own text holds a benchmark item; other rows with the same id, or none, stay."""
+    did, th = free_names(docs, "__did", "__th")
     with scratch(docs.sparkSession):
         found = matching_windows(docs, benchmark, threshold, 5)
-        leaks = stored(found.select(F.col("did").alias("__did"), F.col("th").alias("__th")).distinct(), "leak-docs")
-    rows = docs.withColumn("__did", id_key(F.col("doc_id"))).withColumn("__th", F.xxhash64("text"))
-    return rows.join(sized(leaks), ["__did", "__th"], "left_anti").drop("__did", "__th")
+        leaks = stored(found.select(F.col("did").alias(did), F.col("th").alias(th)).distinct(), "leak-docs")
+    rows = docs.withColumn(did, id_key(F.col("doc_id"))).withColumn(th, F.xxhash64("text"))
+    return rows.join(sized(leaks), [did, th], "left_anti").drop(did, th)

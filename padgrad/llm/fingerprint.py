@@ -33,7 +33,9 @@ from padgrad.shared import written
 
 TABLES, WIDTH, BITS, ROUNDS = 3, 8, 3, 8
 #: Digests a bucket holds on average at most, and levels of buckets (each takes two bits of the digests).
-LOAD, LEVELS = 2, 8
+LOAD, LEVELS = 4, 8
+#: Ids with more than 1/HOT_IDS of all rows are dealt to SALTS tasks.
+HOT_IDS, SALTS = 1000, 64
 SHORT, LONG = 48, 200
 _PARAGRAPH = rf"(?s)(?:.{{{SHORT},{LONG}}}?(?:(?<=[.!?])\s+|\n+|\z)|.{{1,{LONG}}})"
 
@@ -170,8 +172,10 @@ def _least_left(cells: Column) -> Column:
 
 
 def _peeled(cells: Column) -> Column:
-    """``struct(count, left)`` of a bucket of differences."""
-    return F.get(F.transform(F.array(peel(cells)), lambda s: F.struct(s["count"].alias("count"), F.when(_left(s["cells"]), _least_left(s["cells"])).otherwise(F.lit(0)).alias("left"))), F.lit(0))
+    """``struct(count, left)`` of a bucket of differences; most buckets of like texts hold none."""
+    none = F.struct(F.lit(0).alias("count"), F.lit(0).alias("left"))
+    done = F.get(F.transform(F.array(peel(cells)), lambda s: F.struct(s["count"].alias("count"), F.when(_left(s["cells"]), _least_left(s["cells"])).otherwise(F.lit(0)).alias("left"))), F.lit(0))
+    return F.when(_left(cells), done).otherwise(none)
 
 
 def difference_size(a: Column, b: Column) -> Column:
@@ -183,7 +187,10 @@ def difference_size(a: Column, b: Column) -> Column:
         cells = F.zip_with(a_, b_, lambda x, y: subtract(x, y))
 
         def tried(q):
-            small = _peeled(F.get(folded(q["cells"], q["level"]), F.lit(0)))
+            # differences that plainly do not fit the smallest sketch are not tried there
+            least = F.get(folded(q["cells"], q["level"]), F.lit(0))
+            many = F.struct(F.lit(0).alias("count"), F.lit(1).alias("left"))
+            small = F.get(F.transform(F.array(least), lambda c: F.when((q["level"] > 0) & (_least_left(c) > TABLES * WIDTH // 2), many).otherwise(_peeled(c))), F.lit(0))
             whole = F.aggregate(F.transform(q["cells"], _peeled), F.lit(0), lambda acc, x: acc + x["count"] + x["left"])
             return F.get(F.transform(F.array(small), lambda s: F.when((s["left"] == 0) | (q["level"] == 0), s["count"] + s["left"]).otherwise(whole)), F.lit(0))
 
@@ -235,12 +242,19 @@ def likeness_of(a: str, b: str) -> float:
         cell[0], cell[1], cell[2] = cell[0] + sign * piece[0], cell[1] ^ piece[1], cell[2] ^ piece[2]
 
     def buckets(sets, level):
-        """Differences by bucket of ``(cells, own level, sign)``."""
+        """Differences of ``(cells, own level, sign)`` by bucket."""
         out: dict[int, list] = {}
         for cells, own, sign in sets:
             for at, piece in cells.items():
                 put(out.setdefault((at // size) >> (2 * (own - level)), [[0, 0, 0] for _ in range(size)])[at % size], piece, sign)
-        return out.values()
+        return out
+
+    def count(sets, level):
+        return sum(len(found) + left for found, left in map(peeled, buckets(sets, level).values()))
+
+    def least_left(cells):
+        shown = [2 if not x and k else 3 if abs(x) == 1 and _long_check(k) != c else abs(x) for x, k, c in cells]
+        return max(sum(shown[t * WIDTH : (t + 1) * WIDTH]) for t in range(TABLES))
 
     def peeled(cells):
         """Digests found, and how many more there are at least."""
@@ -251,36 +265,38 @@ def likeness_of(a: str, b: str) -> float:
                 for at, piece in cells_of(k, x):
                     put(cells[at], piece, -1)
             found += [k for k, _ in pure]
-        shown = [2 if not x and k else 3 if abs(x) == 1 and _long_check(k) != c else abs(x) for x, k, c in cells]
-        return found, max(sum(shown[t * WIDTH : (t + 1) * WIDTH]) for t in range(TABLES))
-
-    def raised(cells, own, level):
-        """Cells at a higher level of a fingerprint whose digests peel out, else None."""
-        found = [peeled(c) for c in buckets([(cells, own, 1)], own)]
-        if any(left for _, left in found):
-            return None
-        out: dict[int, list] = {}
-        for k in (k for ks, _ in found for k in ks):
-            bucket = 0
-            for step in range(level):
-                bucket = 4 * bucket + (k >> (TABLES * BITS + 2 * step) & 3)
-            for at, piece in cells_of(k):
-                put(out.setdefault(bucket * size + at, [0, 0, 0]), piece)
-        return out
+        return found, least_left(cells)
 
     (n_a, la, a_), (n_b, lb, b_) = read(a), read(b)
-    level = max(la, lb)
-    if la != lb:
-        more = raised(*((a_, la) if la < lb else (b_, lb)), level)
-        if more is None:
-            level = min(la, lb)
-        else:
-            (a_, la), (b_, lb) = ((more, level), (b_, lb)) if la < lb else ((a_, la), (more, level))
-    sets = [(a_, la, 1), (b_, lb, -1)]
-    tried = [peeled(c) for c in buckets(sets, 0)]
-    if any(left for _, left in tried) and level:
-        tried = [peeled(c) for c in buckets(sets, level)]
-    shared = (n_a + n_b - sum(len(found) + left for found, left in tried)) / 2
+    sets = sorted([(a_, la, 1), (b_, lb, -1)], key=lambda x: x[1])
+    (less, low, sign), (more, high, other) = sets
+    least = next(iter(buckets(sets, 0).values()), [[0, 0, 0]] * size)
+    plain = None if high and least_left(least) > size // 2 else peeled(least)
+    if plain and (not high or not plain[1]):
+        difference = len(plain[0]) + plain[1]
+    elif low == high:
+        difference = count(sets, high)
+    else:  # the smaller text's digests are dealt to as many buckets; of a bucket where some do not peel out, the difference at its own level is tried first
+        raised: dict[int, list] = {}
+        difference, settled, coarse = 0, set(), buckets(sets, low)
+        for k, cells in buckets([(less, low, 1)], low).items():
+            found, left = peeled(cells)
+            if left:
+                own, more_left = peeled(coarse[k])
+                if not more_left:
+                    difference += len(own)
+                    settled.add(k)
+                    continue
+            difference += left
+            for digest in found:
+                bucket = 0
+                for step in range(high):
+                    bucket = 4 * bucket + (digest >> (TABLES * BITS + 2 * step) & 3)
+                for at, piece in cells_of(digest):
+                    put(raised.setdefault(bucket * size + at, [0, 0, 0]), piece)
+        rest = {at: piece for at, piece in more.items() if (at // size) >> (2 * (high - low)) not in settled}
+        difference += count([(raised, high, sign), (rest, high, other)], high)
+    shared = (n_a + n_b - difference) / 2
     return shared / (n_a + n_b - shared) if n_a + n_b else 1.0
 
 
@@ -302,6 +318,11 @@ def successors(ids: DataFrame) -> DataFrame:
     return joined.select("did", F.when(none, edge["did"]).otherwise(F.col("user")).alias("user"), F.when(none, edge["n"]).otherwise(F.col("user_chars")).alias("user_chars"))
 
 
+def _heads(rows: DataFrame, order: DataFrame) -> DataFrame:
+    """``(did, head, next_dig)``: what the document before takes of each of ``rows``."""
+    return rows.join(order.hint("merge"), "did").select(F.col("user").alias("did"), F.expr("substring(text, 1, int(user_chars div 2))").alias("head"), F.col("dig").alias("next_dig"))
+
+
 def fingerprint_edits(docs: DataFrame) -> DataFrame:
     """Fingerprints of every text and of its edited text, and how alike they are.
 
@@ -315,11 +336,20 @@ def fingerprint_edits(docs: DataFrame) -> DataFrame:
     ids = written(sizes.groupBy("did").agg(F.max("n").alias("n"), F.count("*").alias("copies")), "fp-ids")
     repeated = not ids.where("copies > 1").isEmpty()
     order = successors(ids.select("did", "n"))
-    rich = base.withColumn("dig", paragraph_digests(F.col("text"))).repartition("did")
-    heads = rich.join(order.hint("merge"), "did").select(F.col("user").alias("did"), F.expr("substring(text, 1, int(user_chars div 2))").alias("head"), F.col("dig").alias("next_dig"))
-    if repeated:
-        heads = heads.groupBy("did").agg(F.min(F.struct("head", "next_dig")).alias("x")).select("did", "x.head", "x.next_dig")
-    both = rich.join(heads.hint("merge"), "did")
+    rich = base.withColumn("dig", paragraph_digests(F.col("text")))
+    part = ["did"]
+    if not repeated:
+        rich = rich.repartition("did")
+        heads = _heads(rich, order)
+    else:  # rows of a frequent id are spread over SALTS tasks, each with a copy of the next document's head
+        least = rich.groupBy("did").agg(F.min(F.struct("text", "dig")).alias("x")).select("did", "x.text", "x.dig")
+        cut = max(SALTS, ids.agg(F.sum("copies")).first()[0] // HOT_IDS)
+        hot = F.broadcast(ids.where(F.col("copies") > cut).select("did", F.lit(SALTS).alias("salts")))  # at most HOT_IDS rows
+        part = ["did", "salt"]
+        salt = F.pmod(F.monotonically_increasing_id(), F.coalesce("salts", F.lit(1)))
+        rich = written(rich.join(hot, "did", "left").withColumn("salt", salt).drop("salts"), "fp-salted")  # written, so a task that is run again finds the same salts
+        heads = _heads(least, order).join(hot, "did", "left").withColumn("salt", F.explode(F.sequence(F.lit(0).cast("long"), F.coalesce("salts", F.lit(1)).cast("long") - 1))).drop("salts")
+    both = rich.join(heads.hint("merge"), part)
     n = F.char_length("text")
     half = F.floor(n / 2).cast("int")
     edited = F.concat(F.expr("substring(text, 1, int(char_length(text) - char_length(text) div 2))"), F.substring(F.col("head"), F.lit(1), half))

@@ -20,7 +20,8 @@ Two sets of similarity s share a band with probability 1 - (1 - s^4)^20: above
 
 Defined cases: null, empty or blank text has no shingles and is linked with nothing;
 rows that repeat a ``doc_id`` are rows of their own; a null ``doc_id`` is never the
-smallest; an empty table gives no rows.
+smallest; an empty table gives no rows; a very long text is one array of its distinct shingles (8 bytes each);
+extra columns pass through ``drop_near_duplicates``, whatever their names.
 """
 
 from __future__ import annotations
@@ -33,7 +34,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from padgrad.llm.components import components, merged
-from padgrad.llm.textcols import id_key, sized
+from padgrad.llm.textcols import free_names, id_key, sized
 from padgrad.shared import scratch, stored, written
 
 SIGNED = "doc_id long, th long, n_shingles long, node binary, bands array<long>"
@@ -183,15 +184,15 @@ def drop_near_duplicates(docs: DataFrame, percent: int = 80, coordinates: int =
     Rows are told apart by id and text, so a row that only shares its id with a dropped one
     stays. Of rows that repeat both, one stays. Texts without shingles all stay.
     """
+    did, th = on = free_names(docs, "__did", "__th")
     with scratch(docs.sparkSession):
         base, of = _components(docs, percent, coordinates, rows, size)
-        found = base.join(of.select("node", "first"), "node").select(id_key(F.col("doc_id")).alias("__did"), F.col("th").alias("__th"), F.col("first"))
-        best = (F.col("__did") == F.col("first.did")) & (F.col("__th") == F.col("first.th"))
-        keys = found.select("__did", "__th", best.alias("best")).groupBy("__did", "__th", "best").agg(F.count("*").alias("copies"))
-        marks = stored(keys.where(~F.col("best") | (F.col("copies") > 1)).select("__did", "__th", "best"), "near-marks")
-    on = ["__did", "__th"]
+        found = base.join(of.select("node", "first"), "node").select(id_key(F.col("doc_id")).alias(did), F.col("th").alias(th), F.col("first"))
+        best = (F.col(did) == F.col("first.did")) & (F.col(th) == F.col("first.th"))
+        keys = found.select(did, th, best.alias("best")).groupBy(did, th, "best").agg(F.count("*").alias("copies"))
+        marks = stored(keys.where(~F.col("best") | (F.col("copies") > 1)).select(did, th, "best"), "near-marks")
     gone, repeated = marks.where(~F.col("best")).select(on), marks.where("best").select(on)
-    left = docs.withColumn("__did", id_key(F.col("doc_id"))).withColumn("__th", F.xxhash64("text")).join(sized(gone), on, "left_anti")
+    left = docs.withColumn(did, id_key(F.col("doc_id"))).withColumn(th, F.xxhash64("text")).join(sized(gone), on, "left_anti")
     if not repeated.isEmpty():
         repeated = sized(repeated)
         left = left.join(repeated, on, "left_anti").unionByName(left.join(repeated, on, "left_semi").dropDuplicates(on))

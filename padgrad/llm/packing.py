@@ -18,7 +18,8 @@ given back to the next block, so memory is bounded and only the end of a range c
 be ragged. A lost task is simply run again.
 
 Defined cases: null or empty text is the end id alone; repeated ids are packed one
-after the other; a document longer than a window is cut; extra columns are ignored.
+after the other, in order of their texts' hashes; a document longer than a window is cut, and one longer than a
+block is packed as one block; an empty table gives no rows; extra columns are ignored.
 """
 
 from __future__ import annotations
@@ -29,6 +30,7 @@ from collections import deque
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
 
 PIECES = "doc_id long, start long, length long, ids_crc32 long, doc_tokens long, sequence_id long, offset long"
 
@@ -182,5 +184,5 @@ def pack_documents(docs: DataFrame, tokenizer: str, end_id: int, cost: PackCost
         while packer.docs:
             yield batch(packer.flush(True))
 
-    ordered = docs.select("doc_id", "text").repartitionByRange("doc_id").sortWithinPartitions("doc_id")
+    ordered = docs.select("doc_id", "text", F.xxhash64("text").alias("th")).repartitionByRange("doc_id", "th").sortWithinPartitions("doc_id", "th").select("doc_id", "text")  # a frequent id has many ranges
     return ordered.mapInArrow(pack, PIECES)

@@ -15,7 +15,9 @@ in one Arrow pass without a shuffle.
 
 Defined cases: null, empty or blank text, and any text without a neighbour of positive
 similarity, scores the mean label of the sample; with no labelled row at all every
-score is 0.5; equal texts in the sample count once, with the mean of their labels.
+score is 0.5; equal texts in the sample count once, with the mean of their labels; of neighbours
+equally similar at the last place any may vote (the choice is fixed for a sample); repeated rows are scored each; very long
+texts are counted whole, as one row of terms; extra columns pass through and ``quality_score`` is replaced; an empty table gives no rows.
 """
 
 from __future__ import annotations

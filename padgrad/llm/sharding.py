@@ -11,7 +11,8 @@ ranked together. A source with a third of all rows spreads over all buckets. Onl
 narrow rows (no texts) are shuffled.
 
 Defined cases: null text has size 16 and checksum 0; a null source is a stratum of
-its own; repeated rows are rows of their own; an empty table gives no rows.
+its own; repeated rows are rows of their own, and rows that are alike in all take any order among them; a very
+long text counts by its bytes and is never moved; extra columns are ignored; an empty table gives no rows.
 """
 
 from __future__ import annotations

@@ -32,6 +32,17 @@ def id_key(doc_id: Column) -> Column:
     return F.coalesce(doc_id.cast("long"), F.lit(NO_ID))
 
 
+def free_names(df: DataFrame, *wanted: str) -> list[str]:
+    """Names like ``wanted`` that no column of ``df`` has (names are compared without case)."""
+    taken, out = {c.lower() for c in df.columns}, []
+    for name in wanted:
+        while name.lower() in taken:
+            name += "_"
+        taken.add(name.lower())
+        out.append(name)
+    return out
+
+
 def words_of(text: Column) -> Column:
     """Words ``[^\\x20\\x09-\\x0D]+`` of the text with A-Z lower-cased, as an array."""
     return F.filter(F.split(ascii_lower(F.coalesce(text, F.lit(""))), "[ \\x09-\\x0D]+", -1), lambda w: w != "")

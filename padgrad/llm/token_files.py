@@ -15,8 +15,9 @@ attempt and renames at its end, so retried or speculative tasks leave one whole
 Files go to the folder all executors share, by ``pyarrow.fs`` (file, hdfs, s3, gs).
 Only the manifest (a row for each file) comes to the driver.
 
-Defined cases: null or empty text is the end id alone; repeated ids keep a row each;
-an empty table writes no file.
+Defined cases: null or empty text is the end id alone; repeated ids keep a row each, in order of
+their texts' hashes; a very long text is encoded whole and leaves in blocks; extra columns are ignored; an empty
+table writes no file.
 """
 
 from __future__ import annotations
@@ -28,6 +29,7 @@ import zlib
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 from padgrad.llm.textcols import NO_ID
 
@@ -185,7 +187,7 @@ def write_token_files(docs: DataFrame, folder: str, tokenizer: str, end_id: int,
             store.move(attempt, name)
             yield pa.RecordBatch.from_pylist([{"part": part, "path": name, "docs": n_docs, "ids": n_ids, "bytes": size}], schema=_schema(MANIFEST))
 
-    ordered = docs.select("doc_id", "text").repartitionByRange("doc_id").sortWithinPartitions("doc_id")
+    ordered = docs.select("doc_id", "text", F.xxhash64("text").alias("th")).repartitionByRange("doc_id", "th").sortWithinPartitions("doc_id", "th").select("doc_id", "text")  # a frequent id has many ranges
     files = sorted((r.asDict() for r in ordered.mapInArrow(write, MANIFEST).collect()), key=lambda r: r["part"])
     base = 0
     for r in files:

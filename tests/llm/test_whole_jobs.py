@@ -1,6 +1,7 @@
 """Text operators do the whole job: no cap on a model, on windows or on rows that share an id."""
 
 import collections
+import hashlib
 import math
 
 import numpy as np
@@ -213,7 +214,7 @@ def test_quality_votes_are_exact():
 
 
 def test_shards_follow_the_fractional_ranks(spark):
-    """Against the definition in plain Python: rows by (rank - 1/2) / size of their source, then cut."""
+    """Against the definition in plain Python: rows by (rank - 1/2) / size of their source, then cut; the seeded order is by bucket and hash."""
     from padgrad.llm.sharding import interleaved_order, shard_rows
 
     rows = [(k if k % 7 else None, f"text {k % 11}", ["a", "b", None][(k * k) % 3 if k % 2 else 0]) for k in range(97)]
@@ -222,10 +223,62 @@ def test_shards_follow_the_fractional_ranks(spark):
     hashed = narrow.withColumn("h", F.xxhash64(F.lit(17), "doc_id", "text_crc32", "size")).collect()
     order = []
     for s in {r.source for r in hashed}:
-        own = sorted((r for r in hashed if r.source == s), key=lambda r: (r.h, r.doc_id is not None, r.doc_id or 0, r.text_crc32))
+        own = sorted((r for r in hashed if r.source == s), key=lambda r: (((r.h % 2**64) >> 16) % 9, r.h, r.doc_id is not None, r.doc_id or 0, r.text_crc32))
         order += [((k + 0.5) / len(own), s is None, s or "", r.h, r.doc_id, r.text_crc32) for k, r in enumerate(own)]
     order.sort(key=lambda x: (x[0], x[1], x[2], x[3], x[4] is not None, x[4] or 0, x[5]))
     placed = interleaved_order(narrow, 97).orderBy("place").collect()
     assert [(r.doc_id, r.source or "", r.text_crc32) for r in placed] == [(x[4], x[2], x[5]) for x in order]
     got = collections.Counter(r.shard for r in shard_rows(docs, 8).collect())
     assert sorted(got.values()) == [12] * 7 + [13]
+
+
+def test_clashing_names_pass_through(spark):
+    from padgrad.llm.decontamination import decontaminate
+    from padgrad.llm.near_dedup import drop_near_duplicates
+
+    text = " ".join(f"w{k}" for k in range(30))
+    docs = spark.createDataFrame([(1, text, "a", 5), (2, text, "b", 6), (3, "short one", "c", 7)], "doc_id long, text string, __did string, __TH int")
+    assert sorted(r.doc_id for r in drop_near_duplicates(docs, 80).collect()) == [1, 3]
+    bench = spark.createDataFrame([(1, text)], "item_id long, text string")
+    left = decontaminate(docs, bench).collect()
+    assert [tuple(r) for r in left] == [(3, "short one", "c", 7)]
+
+
+def test_pipeline_of_empty_tables(spark, tmp_path):
+    import corpus_pipeline
+
+    for name, ddl in (("documents", "doc_id long, text string, lang string, source string, n_chars long"), ("labels", "doc_id long, quality int, toxic int"), ("benchmark", "item_id long, text string")):
+        spark.createDataFrame([], ddl).write.parquet(str(tmp_path / f"{name}.parquet"))
+    assert corpus_pipeline.run(spark, str(tmp_path)).count() == 0
+
+
+def test_a_frequent_id_is_spread(spark, monkeypatch):
+    """A third of all rows without an id: fingerprints, packing and token files as before, over many tasks."""
+    import public_tokenizers
+
+    from padgrad.llm import fingerprint
+    from padgrad.llm.packing import pack_documents
+    from padgrad.llm.token_files import read_token_files, write_token_files
+    from padgrad.shared import fresh_path
+
+    monkeypatch.setattr(fingerprint, "SALTS", 3)
+    monkeypatch.setattr(fingerprint, "HOT_IDS", 5)
+    rows = [(None if k % 3 == 0 else k, f"Text number {k % 17} has this line.\nAnd this one.") for k in range(60)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string").repartition(4)
+    got = fingerprint.fingerprint_edits(docs).collect()
+    least = {}
+    for i, t in rows:
+        key = -1 if i is None else i
+        least[key] = min(t, least.get(key, t))
+    order = sorted(least, reverse=True)
+    for r in got:
+        key = -1 if r.doc_id is None else r.doc_id
+        after = least[order[(order.index(key) + 1) % len(order)]]
+        assert r.edited_sha256 in {hashlib.sha256((t[: len(t) - len(t) // 2] + after[: len(t) // 2]).encode()).hexdigest() for i, t in rows if i == r.doc_id}
+    assert collections.Counter(r.doc_id for r in got) == collections.Counter(i for i, _ in rows)
+    path = public_tokenizers.path("word_bpe_49k.json")
+    folder = fresh_path(spark, "test-ids")
+    read = read_token_files(spark, folder, write_token_files(docs, folder, path, 2, False)).orderBy("start").collect()
+    assert [r.doc_id is not None for r in read] == [False] * 20 + [True] * 40 and read[-1].start + read[-1].n_tokens == sum(r.n_tokens for r in read)
+    packed = pack_documents(docs, public_tokenizers.path("byte_bpe_50k.json"), 1).groupBy("doc_id").agg(F.sum("length").alias("n")).collect()
+    assert len(packed) == 41
