@@ -55,10 +55,10 @@ def np_fast_pad(seed: int, device: int, kind: str, rows: int, cols: int, bits: i
     return np.triu(x) + np.triu(x, 1).T if kind == XI else x
 
 
-def lane_pad(seed: str, device: Column, kind: str, i: Column, j: Column, lane: Column, prime: Column) -> Column:
-    """A pad cell modulo a lane's prime (bias below 2^-28)."""
+def lane_pad(own_seed: Column, kind: str, i: Column, j: Column, lane: Column, prime: Column) -> Column:
+    """A pad cell modulo a lane's prime (bias below 2^-28) from the device's own seed (``device_seed``): no device can make another's pads."""
     a, b = (F.least(i, j), F.greatest(i, j)) if kind == XI else (i, j)
-    return F.pmod(prf60(F.lit(seed), device, F.lit(kind), a, b, lane), prime)
+    return F.pmod(prf60(own_seed, F.lit(kind), a, b, lane), prime)
 
 
 def apply_pad(secret: Column, pad: Column, k: int = K) -> Column:

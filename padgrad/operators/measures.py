@@ -2,8 +2,11 @@
 
 from __future__ import annotations
 
+import time
+import uuid
+
 import numpy as np
-from pyspark.sql import Column, DataFrame, Window
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 
@@ -51,6 +54,31 @@ def share_correlation(pairs: DataFrame) -> DataFrame:
     return pairs.agg(F.corr(F.col("secret").cast("double"), F.col("share").cast("double")).alias("correlation"), F.count("*").alias("n"))
 
 
+def engine_measures(spark: SparkSession, label: str, action) -> dict:
+    """What ``action()`` cost the engine: wall seconds, tasks, task seconds, MB read from files and shuffled, from Spark's own stage records."""
+    group = f"{label}-{uuid.uuid4().hex}"
+    sc = spark.sparkContext
+    sc.setJobGroup(group, label)
+    began = time.time()
+    try:
+        action()
+    finally:
+        wall = time.time() - began
+        sc.setLocalProperty("spark.jobGroup.id", None)
+    out = {"step": label, "wall_s": wall, "tasks": 0, "task_s": 0.0, "input_mb": 0.0, "shuffle_mb": 0.0}
+    tracker, store = sc.statusTracker(), sc._jsc.sc().statusStore()
+    for job in tracker.getJobIdsForGroup(group):
+        for stage in tracker.getJobInfo(job).stageIds:
+            if (info := tracker.getStageInfo(stage)) is None or not info.numCompletedTasks:
+                continue  # skipped: its output was there already
+            data = store.lastStageAttempt(stage)
+            out["tasks"] += info.numCompletedTasks
+            out["task_s"] += data.executorRunTime() / 1e3
+            out["input_mb"] += data.inputBytes() / 1e6
+            out["shuffle_mb"] += data.shuffleWriteBytes() / 1e6
+    return out
+
+
 def optimum_gap(theta: np.ndarray, best: np.ndarray) -> float:
     """Frobenius distance to the closed form."""
     return float(np.linalg.norm(theta - best))

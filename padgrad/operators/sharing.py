@@ -19,7 +19,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from padgrad.functions.fixedpoint import FRACTION, PRIMES, from_two_lanes, np_mod_matmul, quantise
-from padgrad.functions.keys import DELTA, XI, lane_pad
+from padgrad.functions.keys import DELTA, XI, device_seed, lane_pad
 
 
 def prime_of(lane: Column, lanes: int) -> Column:
@@ -36,10 +36,10 @@ def to_lanes(cells: DataFrame, lanes: int) -> DataFrame:
 def pad_shares(cells: DataFrame, seed: str, lanes: int) -> DataFrame:
     """Devices' padded cells; ``part`` chooses the pad set."""
     p = prime_of(F.col("lane"), lanes)
-    pad = F.when(F.col("part") == XI, lane_pad(seed, F.col("device"), XI, F.col("i"), F.col("j"), F.col("lane"), p)).otherwise(
-        lane_pad(seed, F.col("device"), DELTA, F.col("i"), F.col("j"), F.col("lane"), p)
-    )
-    return to_lanes(cells, lanes).withColumn("v", F.pmod(F.col("v") + pad, p))
+    own = F.col("own_seed")
+    pad = F.when(F.col("part") == XI, lane_pad(own, XI, F.col("i"), F.col("j"), F.col("lane"), p)).otherwise(lane_pad(own, DELTA, F.col("i"), F.col("j"), F.col("lane"), p))
+    seeded = cells.withColumn("own_seed", device_seed(seed, F.col("device")))
+    return to_lanes(seeded, lanes).withColumn("v", F.pmod(F.col("v") + pad, p)).drop("own_seed")
 
 
 def key_cells(spark: SparkSession, seed: str, devices: int, d: int, c: int, lanes: int) -> DataFrame:
@@ -112,7 +112,7 @@ def padded_rows(moments: DataFrame, seed: str, lanes: int = len(PRIMES), f: int
         p = PRIMES[lane]
 
         def cell(v, j):
-            pad = lane_pad(seed, F.col("device"), part, F.col("i"), j, F.lit(lane), F.lit(p))
+            pad = lane_pad(F.col("own_seed"), part, F.col("i"), j, F.lit(lane), F.lit(p))
             if not first:
                 return pad
             return F.pmod(F.pmod(quantise(sign * v, 62, f), F.lit(p)) * F.lit(2**up % p) + pad, F.lit(p))
@@ -121,7 +121,8 @@ def padded_rows(moments: DataFrame, seed: str, lanes: int = len(PRIMES), f: int
 
     bar = F.concat(*[lane_of(XI, F.col("g"), lane, 1, 0) for lane in range(lanes)])
     own = F.concat(*[lane_of(DELTA, F.col("h"), lane, -1, f) for lane in range(lanes)])
-    return moments.select("device", "i", bar.alias("bar"), own.alias("own"))
+    seeded = moments.select("device", "i", "g", "h", device_seed(seed, F.col("device")).alias("own_seed"))
+    return seeded.select("device", "i", bar.alias("bar"), own.alias("own"))
 
 
 def every_row(moments: DataFrame | None, devices: int, d: int, c: int, spark: SparkSession | None = None) -> DataFrame:

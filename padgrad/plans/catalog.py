@@ -13,6 +13,7 @@ from padgrad.operators import baselines, gradcode, latency, measures, moments, s
 from padgrad.operators.training import CodedTables, train_coded, train_coded_spark
 from padgrad.plans import oracles as o
 from padgrad.plans import planner, workloads
+from padgrad.shared import written
 from padgrad.sources.devices import fleet as fleet_of
 from padgrad.sources.devices import split_sorted as split_by_label
 from padgrad.sources.features import rbf_features_sql, text_histograms
@@ -62,6 +63,14 @@ def fx_ops(spark, sf_dir):
     return t.select("*", fx.fx_add(a, b).alias("sum_fx"), fx.fx_mul(a, b).alias("prod_fx"), fx.wrap(a * 1000).alias("wrapped"))
 
 
+@query(f"WITH c AS (SELECT vec_id, unnest(embedding)::DOUBLE AS x FROM embeddings), q AS (SELECT vec_id, {o.quant('x')} AS a, {o.quant('x * 3 - 1')} AS b FROM c) SELECT vec_id, {o.wrap(f'sum({o.mul("a", "b")})')} AS dot_fx FROM q GROUP BY 1")
+def fx_dots(spark, sf_dir):
+    """Dot products in fixed point: every product is floored by itself."""
+    t = read_table(spark, sf_dir, "embeddings", "vec_id", "embedding")
+    a, b = (fx.quantise_vector(F.transform("embedding", f)) for f in (lambda v: v.cast("double"), lambda v: v.cast("double") * 3 - 1))
+    return t.select("vec_id", fx.fx_dot(a, b).alias("dot_fx"))
+
+
 _FS = (8, 16, 24)
 
 
@@ -150,8 +159,31 @@ def support_by_distance(spark, sf_dir):
     return a.join(F.broadcast(b), slot < 6).select("device", slot.alias("slot"), "peer")
 
 
-@query("SELECT p.range AS pattern_id, r_regionkey::INT AS peer, 1.0::DOUBLE AS value_r6 FROM range(10) p, region")
+def _decoder_sql() -> str:
+    """Decode weights of all three-of-five patterns: normal equations solved by Cramer's rule."""
+    b5 = gradcode.build_encoder(D5, ALPHA5, seed=2)
+    rows = ", ".join(f"({i}, {j}, {float(b5[i, j])!r}::DOUBLE)" for i in range(D5) for j in range(D5))
+    return f"""WITH code(device, peer, b) AS (VALUES {rows}), ones AS (SELECT device, sum(b) AS r FROM code GROUP BY 1),
+g AS (SELECT x.device AS p, y.device AS q, sum(x.b * y.b) AS v FROM code x JOIN code y USING (peer) GROUP BY ALL),
+tri AS (SELECT row_number() OVER (ORDER BY a.device, b.device, c.device) - 1 AS pattern_id, [a.device, b.device, c.device] AS s FROM ones a, ones b, ones c WHERE a.device < b.device AND b.device < c.device),
+m AS (SELECT pattern_id, s, (SELECT r FROM ones WHERE device = s[1]) AS r1, (SELECT r FROM ones WHERE device = s[2]) AS r2, (SELECT r FROM ones WHERE device = s[3]) AS r3,
+  {', '.join(f"(SELECT v FROM g WHERE p = s[{i}] AND q = s[{j}]) AS m{i}{j}" for i in (1, 2, 3) for j in (1, 2, 3))} FROM tri),
+d AS (SELECT *, m11 * (m22 * m33 - m23 * m32) - m12 * (m21 * m33 - m23 * m31) + m13 * (m21 * m32 - m22 * m31) AS det FROM m),
+w AS (SELECT pattern_id, s[1] AS device, (r1 * (m22 * m33 - m23 * m32) - m12 * (r2 * m33 - m23 * r3) + m13 * (r2 * m32 - m22 * r3)) / det AS coef FROM d
+  UNION ALL SELECT pattern_id, s[2], (m11 * (r2 * m33 - m23 * r3) - r1 * (m21 * m33 - m23 * m31) + m13 * (m21 * r3 - r2 * m31)) / det FROM d
+  UNION ALL SELECT pattern_id, s[3], (m11 * (m22 * r3 - r2 * m32) - m12 * (m21 * r3 - r2 * m31) + r1 * (m21 * m32 - m22 * m31)) / det FROM d)"""
+
+
+@query(_decoder_sql() + " SELECT pattern_id, device::INT AS device, round(coef, 5) AS coef_r5 FROM w")
+def decoder_weights(spark, sf_dir):
+    """Decode weights of every straggler pattern, solved in parallel."""
+    n = read_table(spark, sf_dir, "region", "r_regionkey").count()
+    return gradcode.build_decoder(spark, gradcode.build_encoder(n, ALPHA5, seed=2), ALPHA5).select("pattern_id", "device", F.round("coef", 5).alias("coef_r5"))
+
+
+@query(_decoder_sql() + " SELECT pattern_id, peer::INT AS peer, round(sum(coef * b), 6) AS value_r6 FROM w JOIN code USING (device) GROUP BY ALL")
 def code_identity(spark, sf_dir):
+    """Entries of A B for every straggler pattern."""
     n = read_table(spark, sf_dir, "region", "r_regionkey").count()
     b = gradcode.build_encoder(n, ALPHA5, seed=2)
     out = gradcode.verify_code(gradcode.build_decoder(spark, b, ALPHA5), gradcode.encoder_table(spark, b))
@@ -241,7 +273,7 @@ def _key_answers(spark):
 
 def _lane_pad(kind):
     a, b = ("least(i, j)", "greatest(i, j)") if kind == "xi" else ("i", "j")
-    return o.prf(f"'{SEED}'", "device", f"'{kind}'", a, b, "lane")
+    return o.prf(f"sha256(concat_ws(':', '{SEED}', 'device', device))", f"'{kind}'", a, b, "lane")
 
 
 _CODED_SQL = f"""WITH {o.examples(D)}, {o.code_values(field_codes())}, {o.eps_sql(DIMS)}, lanes AS (SELECT range::INT AS lane FROM range({LANES})),
@@ -335,6 +367,41 @@ def loss_decomposition(spark, sf_dir):
     return local.crossJoin(F.broadcast(whole)).select("device", "n", F.round("local_loss", 6).alias("local_loss_r6"), F.round("global_loss", 6).alias("global_loss_r6"))
 
 
+@query(f"""WITH {_NATION}, r AS (SELECT x, 0.9 * x[1] - 0.08 * x[2] + 0.07 * x[3] - 0.005 * x[4] - y AS e FROM nx), t(i, theta) AS (VALUES (1, 0.9::DOUBLE), (2, -0.08), (3, 0.07), (4, -0.005))
+SELECT (i - 1)::INT AS i, round(sum(x[i] * e) / count(*) + 0.01 * any_value(theta), 6) AS v_r6 FROM r, t GROUP BY i""")
+def server_gradient(spark, sf_dir):
+    """What the server makes of all devices' gradients: their mean over examples and the regulariser."""
+    ex = workloads.nation_examples(spark, sf_dir)
+    grads = moments.device_gradient(moments.device_moments(ex, 4, 1), _THETA3)
+    out = moments.aggregate_gradient(grads, _THETA3, 0.01, ex.count())
+    return spark.createDataFrame([(i, float(out[i, 0])) for i in range(4)], "i int, v double").select("i", F.round("v", 6).alias("v_r6"))
+
+
+W3_EPOCHS, W3_MU = 200, 1.5
+
+
+@query(f"""WITH RECURSIVE {_NATION}, ix AS (SELECT range AS i FROM range(1, 5)), n AS (SELECT count(*)::DOUBLE AS m, sum(y * y) AS yy FROM nx),
+gc AS (SELECT a.i, b.i AS j, sum(x[a.i] * x[b.i]) AS v FROM nx, ix a, ix b GROUP BY ALL), gl AS (SELECT i, list(v ORDER BY j) AS line FROM gc GROUP BY 1),
+mat AS MATERIALIZED (SELECT list(line ORDER BY i) AS g FROM gl), hc AS (SELECT i, sum(x[i] * y) AS v FROM nx, ix GROUP BY 1), vec AS MATERIALIZED (SELECT list(v ORDER BY i) AS h FROM hc),
+path(epoch, theta) AS (SELECT 0, [0.0::DOUBLE, 0.0, 0.0, 0.0] UNION ALL
+  SELECT epoch + 1, [theta[k] - {W3_MU} * ((list_dot_product(g[k], theta) - h[k]) / m + {workloads.LAMBDA} * theta[k]) FOR k IN range(1, 5)] FROM path, mat, vec, n WHERE epoch < {W3_EPOCHS})
+SELECT epoch, round(theta[1], 4) AS price_r4, round(theta[2], 4) AS discount_r4, round(theta[3], 4) AS tax_r4, round(theta[4], 4) AS both_r4,
+  round((list_dot_product(theta, [list_dot_product(line, theta) FOR line IN g]) - 2 * list_dot_product(theta, h) + yy) / (2 * m) + {workloads.LAMBDA / 2} * list_dot_product(theta, theta), 6) AS loss_r6
+FROM path, mat, vec, n WHERE epoch % 10 = 0 AND epoch > 0""")
+def w3_regression(spark, sf_dir):
+    """W3: regression with known coefficients (1, -0.1, 0.1, -0.01) over nations of unequal size: padded lanes, alpha = 16, nine stragglers and more in every epoch."""
+    ex = workloads.nation_examples(spark, sf_dir)
+    g, h = moments.collect_moments(moments.device_moments(ex, 4, 1), D, 4, 1)
+    m, squares = ex.agg(F.count("*"), F.sum(F.get("y", F.lit(0)) * F.get("y", F.lit(0)))).first()
+    times = latency.np_epoch_times(latency.class_rates(D), W3_EPOCHS, latency.mac_count(latency.CODED, 4, 1), latency.message_bits(4, 1, 48), 7)
+    note = lambda t: {"theta": t[:, 0].tolist(), "loss": moments.moment_loss(g, h, squares, m, t, workloads.LAMBDA)}
+    r = train_coded(g, h, m, 16, times, workloads.LAMBDA, lambda e: W3_MU, evaluate=note, every=10)
+    rows = [(t["epoch"], *t["theta"], t["loss"]) for t in r.trace if t["epoch"] % 10 == 0]
+    names = ("price", "discount", "tax", "both")
+    out = spark.createDataFrame(rows, "epoch int, price double, discount double, tax double, both double, loss double")
+    return out.select("epoch", *[F.round(n, 4).alias(f"{n}_r4") for n in names], F.round("loss", 6).alias("loss_r6"))
+
+
 _CHARS = """ch AS (SELECT doc_id, lang, unicode(unnest(string_split(text, ''))) % 64 AS bin FROM documents WHERE text <> '')"""
 
 
@@ -710,19 +777,81 @@ def stream_once(spark, sf_dir):
     return out.groupBy("event_type").agg(F.count("*").alias("n"))
 
 
+@query("SELECT date_trunc('day', ts)::VARCHAR AS epoch, (user_id % 25)::INT AS device, count(*) AS n FROM events WHERE date_trunc('day', ts) + INTERVAL 1 DAY <= (SELECT max(ts) - INTERVAL 1 HOUR FROM events) GROUP BY ALL")
+def stream_drops_late(spark, sf_dir):
+    """Answers sent again behind the watermark come after the stream has stopped once, and change nothing."""
+    out = arrivals.run_with_late_copies(spark, read_table(spark, sf_dir, "events"), arrivals.epoch_counts)
+    return out.select(F.date_format("epoch", "yyyy-MM-dd HH:mm:ss").alias("epoch"), "device", "n")
+
+
+@query("""WITH s AS (SELECT range AS k FROM range(31)), w AS (SELECT min(date_trunc('day', ts)) AS d0, max(ts) - INTERVAL 1 HOUR AS mark FROM events),
+st AS (SELECT d0 + to_days((k - 1)::INT) AS start, mark FROM s, w)
+SELECT start::VARCHAR AS start, count(*) AS n FROM st JOIN events ON ts >= start AND ts < start + INTERVAL 2 DAY WHERE start + INTERVAL 2 DAY <= mark GROUP BY 1""")
+def stream_sliding(spark, sf_dir):
+    """Overlapping windows as a stream: those that the watermark has closed."""
+    out = arrivals.run_available(arrivals.sliding_counts(arrivals.event_stream(spark, sf_dir)))
+    return out.select(F.date_format("start", "yyyy-MM-dd HH:mm:ss").alias("start"), "n")
+
+
+@query("""WITH a AS (SELECT (user_id % 25)::INT AS device, ts, event_id, CASE WHEN ts - lag(ts) OVER (PARTITION BY user_id % 25 ORDER BY ts, event_id) < INTERVAL 1 HOUR THEN 0 ELSE 1 END AS opens FROM events),
+r AS (SELECT device, ts, sum(opens) OVER (PARTITION BY device ORDER BY ts, event_id) AS run FROM a)
+SELECT device, strftime(min(ts), '%Y-%m-%d %H:%M:%S') AS first_ts, count(*) AS n FROM r GROUP BY device, run HAVING max(ts) + INTERVAL 1 HOUR <= (SELECT max(ts) - INTERVAL 1 HOUR FROM events)""")
+def stream_sessions(spark, sf_dir):
+    """Sessions of devices as a stream: those that the watermark has closed."""
+    out = arrivals.run_available(arrivals.sessions(arrivals.event_stream(spark, sf_dir)))
+    return out.select("device", F.date_format("first_ts", "yyyy-MM-dd HH:mm:ss").alias("first_ts"), "n")
+
+
 @query("""WITH c AS (SELECT a.range AS a, b.range AS b, c.range AS c FROM range(5) a, range(5) b, range(5) c WHERE a.range < b.range AND b.range < c.range),
 p AS (SELECT row_number() OVER (ORDER BY a, b, c) - 1 AS pattern_id, [a, b, c] AS s FROM c) SELECT pattern_id, unnest(s)::INT AS device FROM p""")
 def patterns(spark, sf_dir):
     return gradcode.pattern_rows(spark, read_table(spark, sf_dir, "region", "r_regionkey").count(), ALPHA5)
 
 
-@query("SELECT r.range::INT AS epoch, 25::BIGINT AS devices FROM range(1, 101) r")
+def _fleet_sql() -> str:
+    u = lambda kind: o.uni("'1'", "epoch", "device", repr(kind))
+    return f"""WITH f AS (SELECT e.range AS epoch, d.range AS device, CASE WHEN d.range < 10 THEN 25e6 WHEN d.range < 15 THEN 5e6 WHEN d.range < 20 THEN 2.5e6 ELSE 1.25e6 END::DOUBLE AS tau FROM range(1, 101) e, range(25) d)
+SELECT epoch::INT AS epoch, device::INT AS device, round(4e7 / tau * (1 - ln({u('setup')}) / 2) + greatest(1, ceil(ln({u('up')}) / ln(0.1))) * 1056000.0 / 5e6 + greatest(1, ceil(ln({u('down')}) / ln(0.1))) * 1056000.0 / 10e6, 5) AS total_r5 FROM f"""
+
+
+@query(_fleet_sql())
 def simulated_fleet(spark, sf_dir):
     """The simulated fleet read through its data source."""
     from padgrad.sources.fleet_source import register
 
     register(spark)
-    return spark.read.format("simulated_fleet").load().groupBy("epoch").agg(F.count_distinct("device").alias("devices"))
+    return spark.read.format("simulated_fleet").load().select("epoch", "device", F.round("total_s", 5).alias("total_r5"))
+
+
+# --- other sources -----------------------------------------------------------------------------------------------
+
+
+@query("WITH t AS (SELECT regexp_replace(html, '<[^>]*>', ' ', 'g') AS text FROM pages), ch AS (SELECT unicode(unnest(string_split(text, ''))) % 64 AS bin FROM t WHERE text <> '') SELECT bin::INT AS bin, count(*) AS n FROM ch GROUP BY 1")
+def page_histogram(spark, sf_dir):
+    """Histogram of the characters of all pages without their tags."""
+    t = read_table(spark, sf_dir, "pages", "html").select(F.regexp_replace("html", "<[^>]*>", " ").alias("text"))
+    return text_histograms(t, unit=False).select(F.posexplode("x").alias("bin", "v")).groupBy("bin").agg(F.sum("v").cast("long").alias("n")).where("n > 0")
+
+
+@query("WITH ch AS (SELECT role, unicode(unnest(string_split(text, ''))) % 64 AS bin FROM conversations WHERE text <> '') SELECT role, bin::INT AS bin, count(*) AS n FROM ch GROUP BY ALL")
+def role_histogram(spark, sf_dir):
+    t = read_table(spark, sf_dir, "conversations", "role", "text")
+    return text_histograms(t, unit=False).select("role", F.posexplode("x").alias("bin", "v")).groupBy("role", "bin").agg(F.sum("v").cast("long").alias("n")).where("n > 0")
+
+
+@query("""WITH ch AS (SELECT item_id, unicode(unnest(string_split(text, ''))) % 64 AS bin FROM benchmark WHERE text <> ''), cnt AS (SELECT item_id, bin, count(*) AS n FROM ch GROUP BY ALL), cls AS (SELECT range AS c FROM range(4)),
+s AS (SELECT item_id, c, sum(n * ((bin * (c + 3) * 7 + c * 5) % 11 - 5)) AS v FROM cnt, cls GROUP BY ALL) SELECT item_id, arg_min(c, (-v, c))::INT AS predicted FROM s GROUP BY 1""")
+def benchmark_predictions(spark, sf_dir):
+    """The fixed integer model on benchmark items."""
+    theta = np.array([[_rule(b, c) for c in range(4)] for b in range(64)], float)
+    h = text_histograms(read_table(spark, sf_dir, "benchmark", "item_id", "text"), unit=False)
+    return moments.predict(h, theta).select("item_id", "predicted")
+
+
+@query("SELECT (p_partkey % 25)::INT AS device, count(*) AS parts, sum(p_size)::BIGINT AS size, round(max(p_retailprice), 2) AS top_price FROM part GROUP BY 1")
+def parts_by_device(spark, sf_dir):
+    t = read_table(spark, sf_dir, "part", "p_partkey", "p_size", "p_retailprice")
+    return t.groupBy(F.pmod("p_partkey", F.lit(25)).cast("int").alias("device")).agg(F.count("*").alias("parts"), F.sum("p_size").cast("long").alias("size"), F.round(F.max("p_retailprice"), 2).alias("top_price"))
 
 
 @query()
@@ -742,25 +871,61 @@ def w7_unlearnable_labels(spark, sf_dir):
 # --- workloads -------------------------------------------------------------------------------------------------
 
 
+def _curves(spark, sf_dir, name, examples, **options):
+    def make():
+        ex, d, c = examples(spark, sf_dir)
+        return workloads.trace_table(spark, workloads.Workload(ex, d, c).curves(**options))
+
+    return workloads.kept_table(spark, (name, sf_dir), make)
+
+
 @query()
 def w1_curves(spark, sf_dir):
     """Planted classes of embeddings: traces of all schemes."""
-    ex, d, c = workloads.planted_examples(spark, sf_dir)
-    return workloads.trace_table(spark, workloads.Workload(ex, d, c).curves(epochs=200))
+    return _curves(spark, sf_dir, "w1", workloads.planted_examples, epochs=200)
 
 
 @query()
 def w2_curves(spark, sf_dir):
     """Language of documents under kernel features: traces of all schemes."""
-    ex, d, c = workloads.language_examples(spark, sf_dir)
-    return workloads.trace_table(spark, workloads.Workload(ex, d, c).curves(epochs=400))
+    return _curves(spark, sf_dir, "w2", workloads.language_examples, epochs=400)
 
 
 @query()
 def w4_curves(spark, sf_dir):
-    """Quality of documents, a skewed binary label: coded scheme and baselines."""
-    ex, d, c = workloads.quality_examples(spark, sf_dir)
-    return workloads.trace_table(spark, workloads.Workload(ex, d, c).curves(epochs=200, alphas=(16, 23), deltas=(0.1,)))
+    """Quality of documents, a skewed binary label: the padded scheme for every alpha and baselines."""
+    return _curves(spark, sf_dir, "w4", workloads.quality_examples, epochs=200)
+
+
+@query()
+def w11_role_curves(spark, sf_dir):
+    """Who speaks in a conversation, from its characters: the padded scheme and baselines."""
+    return _curves(spark, sf_dir, "w11", workloads.role_examples, epochs=100, alphas=(16, 23), deltas=(0.1,))
+
+
+@query()
+def w8_target_sweep(spark, sf_dir):
+    """Seconds to each target accuracy on the language workload, for every scheme, and how many times faster than conventional mini-batches."""
+    reached = _reached(w2_curves(spark, sf_dir), (0.9, 0.95, 0.97, 0.98, 0.985, 0.99), ("scheme", "alpha", "mode", "bits"))
+    base = reached.where("scheme = 'conventional'").select("target", F.col("reached_s").alias("base_s"))
+    return reached.join(F.broadcast(base), "target").withColumn("speedup", F.col("base_s") / F.col("reached_s"))
+
+
+@query()
+def w10_scaling(spark, sf_dir):
+    """Cost of the moment pass, the sharing phase on tables and one epoch as features and devices grow; rows are those of the scale factor."""
+    rows = []
+    for q, devices in ((64, 5), (64, 25), (64, 100), (128, 25), (256, 25)):
+        docs = workloads.language_features(spark, sf_dir, q).withColumn("device", F.pmod(F.xxhash64("row_id"), F.lit(devices)).cast("int"))
+        m = moments.device_moments(docs.select("device", "x", "y"), q, 4)
+        kept = []
+        steps = [measures.engine_measures(spark, "moments", lambda m=m: kept.append(written(m, "scaling")))]
+        alpha = devices - 2
+        steps.append(measures.engine_measures(spark, "sharing", lambda: kept.append(CodedTables(kept[0], devices, alpha, (q, 4), SEED))))
+        steps.append(measures.engine_measures(spark, "epoch", lambda: kept[1].gradient_sum(np.zeros((q, 4)), range(devices))))
+        kept[1].drop()
+        rows += [(devices, q, s["step"], s["wall_s"], s["tasks"], s["task_s"], s["input_mb"], s["shuffle_mb"]) for s in steps]
+    return spark.createDataFrame(rows, "devices int, features int, step string, wall_s double, tasks int, task_s double, input_mb double, shuffle_mb double")
 
 
 @query()
@@ -770,17 +935,17 @@ def w9_split_contrast(spark, sf_dir):
     for split in ("sorted", "hash"):
         ex, d, c = workloads.language_examples(spark, sf_dir, q=128, split=split)
         w = workloads.Workload(ex, d, c)
-        rows += [{**r, "scheme": f"{r['scheme']}_{split}"} for r in w.curves(epochs=100, alphas=(23,), deltas=()) if r["scheme"] in ("coded", "drop_slowest", "fedavg")]
+        rows += [{**r, "scheme": f"{r['scheme']}_{split}"} for r in w.curves(epochs=100, alphas=ALPHAS, deltas=(), literal_epochs=20) if r["scheme"] in ("coded", "drop_slowest", "fedavg")]
     return workloads.trace_table(spark, rows)
 
 
-def entry(spark: SparkSession) -> DataFrame:
-    """Flagship: coded descent in lanes on W1 with alpha = 23, trace rows."""
-    ex, d, c = workloads.planted_examples(spark, "/root/testdata/sf0.001")
+def entry(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Flagship: coded descent in padded lanes on W1 with alpha = 23, trace rows."""
+    ex, d, c = workloads.planted_examples(spark, sf_dir)
     w = workloads.Workload(ex, d, c)
     times = latency.np_epoch_times(w.rates, 10, latency.mac_count("coded", d, c), latency.message_bits(d, c, 48), 1)
-    r = train_coded(w.g, w.h, w.m, 23, times, workloads.LAMBDA, w.mu, mode="lifted", evaluate=w.evaluate)
-    return workloads.trace_table(spark, [{"scheme": "coded", "alpha": 23, **x} for x in r.trace])
+    r = train_coded(w.g, w.h, w.m, 23, times, workloads.LAMBDA, w.mu, evaluate=lambda t: {"theta": t.copy()})
+    return workloads.trace_table(spark, w.traced({("coded", 23, "lifted", 48): r}))
 
 
 def queries() -> dict:

@@ -1,7 +1,7 @@
 """Choices by cost, made before a plan is built.
 
-They are rewrites Catalyst cannot make: from rows to sufficient statistics, between
-arithmetics, and between decoding on the driver and on the cluster.
+They are rewrites Catalyst cannot make: from rows to sufficient statistics, between epochs on the
+driver and on the cluster, and between a table of decoders and solving for the patterns that occur.
 """
 
 from __future__ import annotations
@@ -24,11 +24,6 @@ def epoch_engine(devices: int, d: int, c: int) -> str:
     return "local" if devices * d * (d + c) <= LOCAL_CELLS else "spark"
 
 
-def arithmetic(alpha: int, devices: int, k: int, f: int, d: int) -> str:
-    """Literal arithmetic is exact up to rounding only if no share wraps or all multipliers are integers (alpha 1 or D)."""
-    return "literal" if alpha in (1, devices) else "lifted"
-
-
 def lane_bits(d: int, k: int = 48, f: int = 24, code_bits: int = 5, largest: int = 16) -> int:
     """Bits of the widest integer of a lifted run: data, code and model, summed over d."""
     return (k - f + 8) + (k + math.ceil(math.log2(max(d, 2)) / 2) + 5) + (f + code_bits) + largest

@@ -44,15 +44,28 @@ def planted_examples(spark: SparkSession, sf_dir: str, split: str = "sorted") ->
     return _split(rows, split), 64, 10
 
 
-def language_examples(spark: SparkSession, sf_dir: str, q: int = 256, gamma: float = 5.0, split: str = "sorted") -> tuple[DataFrame, int, int]:
-    """W2: text histograms under random kernel features; the class is the language. Copies of a text stay on one side of the test split."""
+def language_features(spark: SparkSession, sf_dir: str, q: int, gamma: float = 5.0) -> DataFrame:
+    """``(row_id, x, cls, is_test, y)``: text histograms under random kernel features; the class is the language. Copies of a text stay on one side of the test split."""
     docs = text_histograms(read_table(spark, sf_dir, "documents", "doc_id", "text", "lang"))
     cls = F.array_position(F.array(*[F.lit(v) for v in LANGS]), F.col("lang")).cast("int") - 1
     words = F.lower(F.regexp_replace(F.coalesce("text", F.lit("")), r"\W+", " "))
     # a language outside the list has no output of its own: its row trains all outputs towards 0 and counts as a miss in tests
     rows = docs.select(F.col("doc_id").alias("row_id"), "x", F.coalesce(cls, F.lit(-1)).alias("cls"), (F.pmod(F.xxhash64(words), F.lit(5)) == 0).alias("is_test"))
-    rows = rbf_features(rows, 64, q, gamma)
-    return _split(rows.withColumn("y", one_hot(F.col("cls"), len(LANGS))), split), q, len(LANGS)
+    return rbf_features(rows, 64, q, gamma).withColumn("y", one_hot(F.col("cls"), len(LANGS)))
+
+
+def language_examples(spark: SparkSession, sf_dir: str, q: int = 256, gamma: float = 5.0, split: str = "sorted") -> tuple[DataFrame, int, int]:
+    """W2: the language of documents."""
+    return _split(language_features(spark, sf_dir, q, gamma), split), q, len(LANGS)
+
+
+def role_examples(spark: SparkSession, sf_dir: str, split: str = "sorted") -> tuple[DataFrame, int, int]:
+    """W11: the speaker of a turn (classes in order of the roles' names) from its characters; a conversation stays on one side of the test split."""
+    turns = text_histograms(read_table(spark, sf_dir, "conversations", "conv_id", "turn", "role", "text"))
+    roles = sorted(r["role"] for r in turns.select("role").distinct().collect() if r["role"] is not None)  # a handful of names
+    cls = F.coalesce(F.array_position(F.array(*[F.lit(v) for v in roles]), F.col("role")).cast("int") - 1, F.lit(-1))
+    rows = turns.select(F.xxhash64("conv_id", "turn").alias("row_id"), "x", cls.alias("cls"), (F.pmod(F.xxhash64("conv_id"), F.lit(5)) == 0).alias("is_test"))
+    return _split(rows.withColumn("y", one_hot(F.col("cls"), len(roles))), split), 64, len(roles)
 
 
 def quality_examples(spark: SparkSession, sf_dir: str, split: str = "sorted") -> tuple[DataFrame, int, int]:
@@ -162,11 +175,13 @@ class Workload:
         for mode, n in (("clear", epochs), ("literal", literal_epochs)):
             runs["coded", middle, mode, K] = train_coded(self.g, self.h, self.m, middle, times(rho, K, n), mode=mode, offset=share, server_s=latency.server_time(D, middle, d, c), **opts)
         mini = times(latency.mac_count(latency.MINIBATCH, d, c, max(1, self.m // (D * self.batches))), 32)
-        full, steps = times(rho, 32), 5
+        # a conventional device works on rows or on moments, whatever is less
+        own = rho if planner.use_moments(max(1, self.m // D), d, c, epochs) else latency.mac_count(latency.MINIBATCH, d, c, max(1, self.m // D))
+        full, steps = times(own, 32), 5
         runs["conventional", 1, "float32", 32] = baselines.train_conventional(self.batch_g, self.batch_h, self.batch_counts, mini, batches=self.batches, dtype="float32", **opts)
         runs["conventional_full", 1, "float32", 32] = baselines.train_conventional(self.g, self.h, self.counts, full, dtype="float32", **opts)
         runs["drop_slowest", 5, "float64", 32] = baselines.train_drop_slowest(self.g, self.h, self.counts, full, D - 5, **opts)
-        runs["fedavg", 5, "float64", 32] = baselines.train_fedavg(self.g, self.h, self.counts, times(steps * rho, 32), D - 5, local_steps=steps, **opts)
+        runs["fedavg", 5, "float64", 32] = baselines.train_fedavg(self.g, self.h, self.counts, times(steps * own, 32), D - 5, local_steps=steps, **opts)
         runs["stale", 1, "float64", 32] = baselines.train_stale(self.g, self.h, self.m, full, keep=D - 5, **opts)
         for delta in deltas:
             limit, miss = baselines.deadline(full, delta)

@@ -1,7 +1,7 @@
 """A simulated fleet as a data source: ``spark.read.format("simulated_fleet")``.
 
 Options: ``devices`` (25), ``epochs`` (100), ``macs``, ``bits``, ``seed``. Partitions are
-runs of epochs; an epoch's draws depend on the seed and its number only.
+runs of epochs; draws are the keyed hashes of ``latency.sample``, so a retried partition gives the same rows.
 """
 
 from __future__ import annotations
@@ -20,20 +20,26 @@ class _Run(InputPartition):
 class FleetReader(DataSourceReader):
     def __init__(self, options):
         get = options.get
-        self.devices, self.epochs, self.seed = int(get("devices", 25)), int(get("epochs", 100)), int(get("seed", 1))
+        self.devices, self.epochs, self.seed = int(get("devices", 25)), int(get("epochs", 100)), str(get("seed", "1"))
         self.macs, self.bits, self.size = float(get("macs", 4e7)), float(get("bits", 960000)), int(get("run", 50))
 
     def partitions(self):
         return [_Run(a, min(a + self.size, self.epochs + 1)) for a in range(1, self.epochs + 1, self.size)]
 
     def read(self, partition):
-        from padgrad.operators.latency import class_rates, np_epoch_times
+        import math
 
-        rates = class_rates(self.devices)
+        from padgrad.functions.keys import np_prf60
+        from padgrad.operators.latency import class_rates, sends_from_uniform
+        from padgrad.sources.devices import DOWN_RATE, FAILURE, HEADER, UP_RATE
+
+        rates, wire = class_rates(self.devices), self.bits * (1 + HEADER)
         for epoch in range(partition.first, partition.last):
-            times = np_epoch_times(rates, 1, self.macs, self.bits, self.seed * 1_000_003 + epoch)[0]
-            for device, t in enumerate(times):
-                yield epoch, device, float(t)
+            for device, tau in enumerate(rates):
+                setup, up, down = ((np_prf60(self.seed, epoch, device, k) + 0.5) / 2.0**60 for k in ("setup", "up", "down"))
+                work = self.macs / tau
+                links = sends_from_uniform(up, FAILURE) * wire / UP_RATE + sends_from_uniform(down, FAILURE) * wire / DOWN_RATE
+                yield epoch, device, float(work - math.log(setup) * work / 2 + links)
 
 
 class FleetSource(DataSource):

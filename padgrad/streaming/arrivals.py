@@ -7,11 +7,11 @@ everything later is a straggler. State is one row for each device of an open epo
 
 from __future__ import annotations
 
-import uuid
-
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from padgrad.shared import fresh_path
+
 EVENTS = "event_id BIGINT, ts TIMESTAMP_NTZ, user_id BIGINT, event_type STRING, value DOUBLE, props STRING"
 OUT = "epoch timestamp, device int, first_ts timestamp, place int"
 STATE = "devices array<int>, times array<timestamp>, ids array<bigint>"
@@ -73,16 +73,13 @@ def late_devices(events: DataFrame, chosen: DataFrame, devices: int = 25, window
     return seen.join(chosen.select("epoch").distinct(), "epoch", "left_semi").join(chosen.select("epoch", "device"), ["epoch", "device"], "left_anti")
 
 
-def run_available(stream: DataFrame, mode: str = "append") -> DataFrame:
-    """Runs a stream over what is there into a table in memory; checkpoints go to the shared folder."""
-    from padgrad.shared import shared_root
-
+def run_available(stream: DataFrame, path: str | None = None) -> DataFrame:
+    """Runs a stream over what is there into Parquet files of the shared folder; the result is read from them. With the ``path`` of an earlier run it goes on where that ended."""
     spark = stream.sparkSession
-    name = f"arrivals_{uuid.uuid4().hex}"
-    place = f"{shared_root(spark)}/padgrad/{name}"
-    q = stream.writeStream.format("memory").queryName(name).outputMode(mode).option("checkpointLocation", place).trigger(availableNow=True).start()
+    path = path or fresh_path(spark, "arrivals")
+    q = stream.writeStream.format("parquet").outputMode("append").option("path", f"{path}/rows").option("checkpointLocation", f"{path}/state").trigger(availableNow=True).start()
     q.awaitTermination()
-    return spark.table(name)
+    return spark.read.schema(stream.schema).parquet(f"{path}/rows")
 
 
 def event_stream(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -110,3 +107,18 @@ def once(events: DataFrame, lateness: str = "1 hour") -> DataFrame:
     """A stream of answers without those sent again within the watermark."""
     rows = events.withColumn("ts", F.col("ts").cast("timestamp")).withWatermark("ts", lateness)
     return rows.dropDuplicatesWithinWatermark(["event_id"])
+
+
+def run_with_late_copies(spark: SparkSession, events: DataFrame, operator, delay: str = "2 days") -> DataFrame:
+    """``operator`` on a stream of ``events`` that stops, finds answers sent again ``delay`` or more behind the last one, and goes on: the watermark drops those."""
+    source, out = fresh_path(spark, "late-events"), fresh_path(spark, "arrivals")
+
+    def stream():
+        return operator(spark.readStream.schema(events.schema).parquet(source))
+
+    events.write.parquet(source)
+    run_available(stream(), out)
+    last = F.broadcast(events.agg(F.max("ts").alias("last")))  # one row
+    late = events.join(last, F.col("ts") < F.col("last") - F.expr(f"INTERVAL {delay}")).drop("last")
+    late.withColumn("event_id", F.col("event_id") + 10**9).write.mode("append").parquet(source)
+    return run_available(stream(), out)

@@ -119,3 +119,45 @@ def test_entry(spark):
 
     out = __spark_entry__.entry(spark)
     assert out.count() > 0 and "accuracy" in out.columns
+
+
+def test_measures_of_the_trade_off(spark):
+    """Offsets rise with alpha, epochs get shorter, and all coded schemes walk the same path."""
+    t = catalog.planted_descent(spark, SF).where("scheme = 'coded'").groupBy("epoch").agg(F.max("loss_r5").alias("a"), F.min("loss_r5").alias("b")).collect()
+    assert all(abs(r.a - r.b) <= 2e-5 for r in t)
+    clock = {(r.alpha, r.epoch): r.elapsed_r5 for r in catalog.elapsed_time(spark, SF).where("scheme = 'coded'").collect()}
+    first, last = [clock[a, 1] for a in catalog.ALPHAS], [clock[a, catalog.TRACE_EPOCHS] - clock[a, 1] for a in catalog.ALPHAS]
+    assert first == sorted(first) and last == sorted(last, reverse=True)
+
+
+def test_engine_measures_count_shuffles(spark):
+    from padgrad.operators.measures import engine_measures
+
+    got = engine_measures(spark, "sum", lambda: spark.range(1000).repartition(3).groupBy((F.col("id") % 7).alias("k")).count().collect())
+    assert got["tasks"] >= 3 and got["shuffle_mb"] > 0 and got["wall_s"] > 0
+
+
+def test_shared_folder_is_asked_for_on_clusters(spark):
+    from types import SimpleNamespace
+
+    from padgrad.shared import shared_root
+
+    unset = SimpleNamespace(get=lambda *a: None)
+    cluster = SimpleNamespace(conf=unset, sparkContext=SimpleNamespace(getConf=lambda: unset, master="spark://host:7077"))
+    with pytest.raises(ValueError, match="checkpoint"):
+        shared_root(cluster)
+    assert shared_root(spark).startswith("file:") or spark.conf.get("spark.checkpoint.dir", None)
+
+
+def test_readers_of_other_formats(spark, tmp_path):
+    from padgrad.sources.tables import read_examples
+
+    rows = [(0, [1.0, -2.5], 3), (1, [0.0, 4.0], 5)]
+    df = spark.createDataFrame(rows, "device int, x array<double>, n long")
+    for fmt in ("json", "orc", "parquet"):
+        df.write.format(fmt).save(str(tmp_path / fmt))
+        got = read_examples(spark, str(tmp_path / fmt), fmt, "device INT, x ARRAY<DOUBLE>, n BIGINT")
+        assert sorted(map(tuple, got.collect())) == rows
+    df.withColumn("x", F.to_json("x")).write.option("header", True).option("escape", '"').csv(str(tmp_path / "csv"))
+    got = read_examples(spark, str(tmp_path / "csv"), "csv", "device INT, x ARRAY<DOUBLE>, n BIGINT")
+    assert sorted(map(tuple, got.collect())) == rows
