@@ -187,6 +187,9 @@ def corpus_counts(docs: DataFrame) -> DataFrame:
     """``(kind, key, n)``: coded byte strings of all texts, and words of ``trained`` ones by hash (the end is word 0)."""
 
     def count(batches):
+        from padgrad.llm.workers import tidy
+
+        tidy("counts")
         tallies = {GRAM: Tally(), WORD: Tally(), OTHER: Tally()}
 
         def rows(kind, k, n):
@@ -426,6 +429,9 @@ def _scorer(common, likely):
     model = uuid.uuid4().hex
 
     def score(batches):
+        from padgrad.llm.workers import tidy
+
+        tidy(f"scores {model}")
         if model not in _tables:  # one pair for each worker process
             _tables.clear()
             _tables[model] = Lookup(*common.value), Lookup(*likely.value)

@@ -41,7 +41,7 @@ SIGNED = "doc_id long, th long, n_shingles long, node binary, bands array<long>"
 _SIGNED = pa.schema([("doc_id", pa.int64()), ("th", pa.int64()), ("n_shingles", pa.int64()), ("node", pa.binary()), ("bands", pa.list_(pa.int64()))])
 _SETS = pa.schema([("node", pa.binary()), ("shingles", pa.list_(pa.int64()))])
 #: Up to so many candidate classes (16 bytes each) are broadcast to the second pass; beyond, it is a shuffled join.
-BROADCAST_NODES = 2_000_000
+BROADCAST_NODES = 500_000
 _SLICE = 256
 
 
@@ -61,7 +61,9 @@ def signed(docs: DataFrame, coordinates: int, rows: int, size: int) -> DataFrame
 
     def sign(batches):
         from padgrad.llm.shingles import WordHashes, band_keys, shingle_sets, signature
+        from padgrad.llm.workers import tidy
 
+        tidy("signatures")
         words = WordHashes()
         for ids, texts, hashes in _slices(batches, ("doc_id", "text", "th")):
             sets = shingle_sets(texts.to_pylist(), words, size)
@@ -80,7 +82,9 @@ def shingled(docs: DataFrame, size: int) -> DataFrame:
 
     def make(batches):
         from padgrad.llm.shingles import WordHashes, shingle_sets
+        from padgrad.llm.workers import tidy
 
+        tidy("shingles")
         words = WordHashes()
         for (texts,) in _slices(batches, ("text",)):
             sets = [s for s in shingle_sets(texts.to_pylist(), words, size) if len(s)]

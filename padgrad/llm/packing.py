@@ -165,7 +165,9 @@ def pack_documents(docs: DataFrame, tokenizer: str, end_id: int, cost: PackCost
         from pyspark import TaskContext
 
         from padgrad.llm.tokenizing import encoded_docs, opened
+        from padgrad.llm.workers import tidy
 
+        tidy(f"ids {tokenizer}")
         flags = sentence_end_flags(opened(tokenizer, True).tok)
         packer = Packer(flags, cost, TaskContext.get().partitionId() << 36, block_tokens)
 
@@ -175,7 +177,7 @@ def pack_documents(docs: DataFrame, tokenizer: str, end_id: int, cost: PackCost
 
         for b in batches:
             at = 0
-            for ids, sizes in encoded_docs(b.column("text").to_pylist(), tokenizer, True, end_id):
+            for ids, sizes in encoded_docs(b.column("text"), tokenizer, True, end_id):
                 doc_ids = b.column("doc_id").slice(at, len(sizes)).to_pylist()
                 at += len(sizes)
                 for doc_id, one in zip(doc_ids, np.split(ids, np.cumsum(sizes)[:-1]), strict=True):

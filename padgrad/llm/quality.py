@@ -141,6 +141,9 @@ def score_quality(docs: DataFrame, labels: DataFrame, max_labelled: int = 2048,
     schema = T.StructType([*kept.schema.fields, T.StructField("quality_score", T.DoubleType())])
 
     def score(batches):
+        from padgrad.llm.workers import tidy
+
+        tidy("quality")
         ids = TermIds()
         for b in batches:
             for at in range(0, b.num_rows, step):

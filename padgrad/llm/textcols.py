@@ -49,7 +49,7 @@ def words_of(text: Column) -> Column:
 
 
 #: Rows of narrow id tables that may be broadcast (about 24 bytes each); a larger one is shuffled.
-BROADCAST_ROWS = 2_000_000
+BROADCAST_ROWS = 500_000
 
 
 def sized(ids: DataFrame, most: int = BROADCAST_ROWS) -> DataFrame:

@@ -166,7 +166,9 @@ def write_token_files(docs: DataFrame, folder: str, tokenizer: str, end_id: int,
         from pyspark import TaskContext
 
         from padgrad.llm.tokenizing import encoded_docs
+        from padgrad.llm.workers import tidy
 
+        tidy(f"ids {tokenizer}")
         part = TaskContext.get().partitionId()
         store, root = _store(folder)
         store.create_dir(root, recursive=True)
@@ -174,7 +176,7 @@ def write_token_files(docs: DataFrame, folder: str, tokenizer: str, end_id: int,
         writer = sink = None
         for b in batches:
             at = 0
-            for ids, sizes in encoded_docs(b.column("text").to_pylist(), tokenizer, space_joins, end_id):
+            for ids, sizes in encoded_docs(b.column("text"), tokenizer, space_joins, end_id):
                 if writer is None:
                     sink = store.open_output_stream(attempt)
                     writer = FileWriter(sink)

@@ -15,6 +15,7 @@ from array import array
 from operator import attrgetter, itemgetter
 
 import numpy as np
+import pyarrow as pa
 
 #: Letters that are their own NFC form and whose lower case is one of them.
 _LATIN = "A-Za-zÀ-ÖØ-Þß-öø-ÿ"
@@ -36,7 +37,7 @@ def byte_chars() -> list[str]:
 class PieceTokenizer:
     """``space_joins``: a space belongs to the word after it (byte-level) or is dropped (word-end)."""
 
-    def __init__(self, path: str, space_joins: bool, max_pieces: int = 600_000, specials_as_text: bool = False):
+    def __init__(self, path: str, space_joins: bool, max_pieces: int = 800_000, specials_as_text: bool = False):
         from tokenizers import Tokenizer
 
         self.tok = Tokenizer.from_file(path)
@@ -80,6 +81,10 @@ class PieceTokenizer:
                         flat.extend(was[stops[k] : stops[k + 1]])
                         ends.append(len(flat))
                         k = len(ends) - 2
+                elif piece.isascii() and piece.isalpha():
+                    flat.extend(map(_ID, tokenize(gap + piece if spaced else piece.lower())))
+                    ends.append(len(flat))
+                    k = len(ends) - 2
                 elif m := plain(piece):  # a word, perhaps with marks after it
                     word, marks = m.groups()
                     if marks:
@@ -197,10 +202,10 @@ def opened(path: str, space_joins: bool) -> PieceTokenizer:
     return _open[path, space_joins]
 
 
-def encoded_docs(texts: list[str | None], path: str, space_joins: bool, end_id: int, step: int = 1024):
-    """Yields, for runs of ``step`` texts, the ids with ``end_id`` after each text, and each text's number of ids."""
+def encoded_docs(texts: pa.Array, path: str, space_joins: bool, end_id: int, step: int = 512):
+    """Yields, for runs of ``step`` texts of a column, the ids with ``end_id`` after each text, and each text's number of ids."""
     tok = opened(path, space_joins)
     for at in range(0, len(texts), step):
-        ids, n = tok.encode(texts[at : at + step])
+        ids, n = tok.encode(texts.slice(at, step).to_pylist())
         stops = np.cumsum(n)
         yield np.insert(ids, stops, end_id).astype(np.uint32), n + 1
