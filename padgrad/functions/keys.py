@@ -61,6 +61,17 @@ def lane_pad(own_seed: Column, kind: str, i: Column, j: Column, lane: Column, pr
     return F.pmod(prf60(own_seed, F.lit(kind), a, b, lane), prime)
 
 
+def wide_digest(own_seed: Column, kind: str, i: Column, j: Column) -> Column:
+    """512 bits for a cell, enough for all lanes at once (``lane_of_digest``)."""
+    a, b = (F.least(i, j), F.greatest(i, j)) if kind == XI else (i, j)
+    return F.sha2(F.concat_ws(":", own_seed, F.lit(kind), a.cast("string"), b.cast("string")), 512)
+
+
+def lane_of_digest(digest: Column, lane: int, prime: int) -> Column:
+    """The pad of a lane: its own 60 bits of the digest modulo the prime."""
+    return F.pmod(F.conv(F.substring(digest, 15 * lane + 1, 15), 16, 10).cast("long"), F.lit(prime))
+
+
 def apply_pad(secret: Column, pad: Column, k: int = K) -> Column:
     return fx_add(secret, pad, k)
 

@@ -105,15 +105,19 @@ def mirrored(parts: DataFrame, d: int, c: int) -> DataFrame:
     return parts.groupBy("device").applyInArrow(mirror, MOMENTS)
 
 
-def device_moments(examples: DataFrame, d: int, c: int, engine: str = "arrow") -> DataFrame:
-    """``MOMENTS``: row i of each device's ``X'X`` and ``X'Y``. ``examples``: ``device, x, y`` (arrays of doubles)."""
+def device_moments(examples: DataFrame, d: int, c: int, engine: str = "arrow", tasks: int | None = None) -> DataFrame:
+    """``MOMENTS``: row i of each device's ``X'X`` and ``X'Y``. ``examples``: ``device, x, y`` (arrays of doubles).
+
+    ``tasks`` (see ``planner.moment_tasks``) joins input partitions where a partial sum would outweigh their rows.
+    """
     if engine == "sql":
         g = gram_cells(examples).groupBy("device", "i").agg(F.transform(F.array_sort(F.collect_list(F.struct("j", "v"))), lambda s: s["v"]).alias("g"))
         h = cross_cells(examples).groupBy("device", "i").agg(F.transform(F.array_sort(F.collect_list(F.struct("j", "v"))), lambda s: s["v"]).alias("h"))
         return g.join(h, ["device", "i"]).select("device", "i", "g", "h")
 
     # d (d + c) numbers a device, whatever the data's size
-    return mirrored(added_parts(moment_parts(examples, d, c)), d, c)
+    rows = examples.coalesce(tasks) if tasks else examples
+    return mirrored(added_parts(moment_parts(rows, d, c)), d, c)
 
 
 def gram_cells(examples: DataFrame) -> DataFrame:

@@ -19,7 +19,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from padgrad.functions.fixedpoint import FRACTION, PRIMES, from_two_lanes, np_mod_matmul, quantise
-from padgrad.functions.keys import DELTA, XI, device_seed, lane_pad
+from padgrad.functions.keys import DELTA, XI, device_seed, lane_of_digest, lane_pad, wide_digest
 
 
 def prime_of(lane: Column, lanes: int) -> Column:
@@ -108,21 +108,25 @@ def padded_rows(moments: DataFrame, seed: str, lanes: int = len(PRIMES), f: int
     Without ``first`` the moments count as 0: the rows are the pads themselves, as the server makes them.
     """
 
-    def lane_of(part, cells, lane, sign, up):
+    def digests(part, cells):
+        return F.transform(cells, lambda _, j: wide_digest(F.col("own_seed"), part, F.col("i"), j))
+
+    def lane_of(cells, pads, lane, sign, up):
         p = PRIMES[lane]
 
         def cell(v, j):
-            pad = lane_pad(F.col("own_seed"), part, F.col("i"), j, F.lit(lane), F.lit(p))
+            pad = lane_of_digest(F.get(F.col(pads), j), lane, p)
             if not first:
                 return pad
             return F.pmod(F.pmod(quantise(sign * v, 62, f), F.lit(p)) * F.lit(2**up % p) + pad, F.lit(p))
 
         return F.transform(cells, cell)
 
-    bar = F.concat(*[lane_of(XI, F.col("g"), lane, 1, 0) for lane in range(lanes)])
-    own = F.concat(*[lane_of(DELTA, F.col("h"), lane, -1, f) for lane in range(lanes)])
     seeded = moments.select("device", "i", "g", "h", device_seed(seed, F.col("device")).alias("own_seed"))
-    return seeded.select("device", "i", bar.alias("bar"), own.alias("own"))
+    hashed = seeded.select("device", "i", "g", "h", digests(XI, F.col("g")).alias("xi"), digests(DELTA, F.col("h")).alias("delta"))
+    bar = F.concat(*[lane_of(F.col("g"), "xi", lane, 1, 0) for lane in range(lanes)])
+    own = F.concat(*[lane_of(F.col("h"), "delta", lane, -1, f) for lane in range(lanes)])
+    return hashed.select("device", "i", bar.alias("bar"), own.alias("own"))
 
 
 def every_row(moments: DataFrame | None, devices: int, d: int, c: int, spark: SparkSession | None = None) -> DataFrame:

@@ -160,14 +160,14 @@ def quantised_model(change: np.ndarray, f: int = FRACTION) -> np.ndarray:
     return np_quantise(change, 62, f) / 2.0**f
 
 
-def train_coded(g, h, m, alpha, times, lam=9e-6, mu=None, epochs=None, mode="lifted", seed=1, evaluate=None, every=1, offset=0.0, server_s=0.0, tol=0.0, local_steps=1, theta0=None, kind="nullspace") -> TrainResult:
+def train_coded(g, h, m, alpha, times, lam=9e-6, mu=None, epochs=None, mode="lifted", seed=1, evaluate=None, every=1, offset=0.0, server_s=0.0, tol=0.0, local_steps=1, theta0=None, kind="nullspace", k=K, f=FRACTION) -> TrainResult:
     """Coded descent on device moments ``g``, ``h`` of ``m`` examples; ``times`` is ``(epochs, D)``, ``server_s`` what the server adds to an epoch."""
     if local_steps != 1:
         raise ValueError("coded descent allows one local epoch between two updates")
     mu = mu or schedule()
     theta = np.zeros(h.shape[1:]) if theta0 is None else np.array(theta0, float)
     start = theta.copy()
-    devices = CodedDevices(g, g @ theta - h, alpha, mode, seed, kind=kind)
+    devices = CodedDevices(g, g @ theta - h, alpha, mode, seed, k, f, kind)
     keep = len(g) - alpha + 1
     elapsed, trace = offset, []
     for e in range(1, (epochs or len(times)) + 1):
@@ -175,7 +175,7 @@ def train_coded(g, h, m, alpha, times, lam=9e-6, mu=None, epochs=None, mode="lif
         elapsed += float(times[e - 1][order[-1]]) + server_s
         change = theta - start
         if mode != "clear":
-            change = quantised_model(change)
+            change = quantised_model(change, f)
             theta = start + change
         nxt = step(theta, devices.gradient_sum(change, order) / m + lam * theta, mu(e))
         moved = float(np.abs(nxt - theta).max())

@@ -16,7 +16,7 @@ from padgrad.plans import planner, workloads
 from padgrad.shared import written
 from padgrad.sources.devices import fleet as fleet_of
 from padgrad.sources.devices import split_sorted as split_by_label
-from padgrad.sources.features import rbf_features_sql, text_histograms
+from padgrad.sources.features import rbf_features, rbf_features_sql, text_histograms
 from padgrad.sources.tables import read_table, write_by_device
 from padgrad.streaming import arrivals
 
@@ -440,6 +440,13 @@ def rff_features(spark, sf_dir):
     return rbf_features_sql(t, 64, _Q, _GAMMA, "rff").select(F.col("id").alias("vec_id"), "q", F.round("v", 6).alias("v_r6"))
 
 
+@query(SQL["rff_features"])
+def rff_features_arrow(spark, sf_dir):
+    """The same features in Arrow batches with one broadcast matrix."""
+    t = read_table(spark, sf_dir, "embeddings", "vec_id", "embedding").select("vec_id", F.transform("embedding", lambda v: v.cast("double")).alias("x"))
+    return rbf_features(t, 64, _Q, _GAMMA, "rff").select("vec_id", F.posexplode("x").alias("q", "v")).select("vec_id", "q", F.round("v", 6).alias("v_r6"))
+
+
 # --- latency ----------------------------------------------------------------------------------------
 
 _LAT = "WITH " + o.latency(EPOCHS, RHO, BITS, LAT_SEED)
@@ -784,6 +791,13 @@ def stream_drops_late(spark, sf_dir):
     return out.select(F.date_format("epoch", "yyyy-MM-dd HH:mm:ss").alias("epoch"), "device", "n")
 
 
+@query("SELECT date_trunc('day', ts)::VARCHAR AS epoch, greatest(n_regionkey - 1, 0)::INT AS class, count(*) AS n FROM events JOIN nation ON n_nationkey = user_id % 25 WHERE date_trunc('day', ts) + INTERVAL 1 DAY <= (SELECT max(ts) - INTERVAL 1 HOUR FROM events) GROUP BY ALL")
+def stream_class_counts(spark, sf_dir):
+    """A stream joined with the table of devices: answers of each class in closed epochs."""
+    out = arrivals.run_available(arrivals.epoch_counts(arrivals.event_stream(spark, sf_dir)).join(F.broadcast(_fleet(spark, sf_dir).select("device", "class")), "device"))
+    return out.groupBy(F.date_format("epoch", "yyyy-MM-dd HH:mm:ss").alias("epoch"), "class").agg(F.sum("n").alias("n"))
+
+
 @query("""WITH s AS (SELECT range AS k FROM range(31)), w AS (SELECT min(date_trunc('day', ts)) AS d0, max(ts) - INTERVAL 1 HOUR AS mark FROM events),
 st AS (SELECT d0 + to_days((k - 1)::INT) AS start, mark FROM s, w)
 SELECT start::VARCHAR AS start, count(*) AS n FROM st JOIN events ON ts >= start AND ts < start + INTERVAL 2 DAY WHERE start + INTERVAL 2 DAY <= mark GROUP BY 1""")
@@ -868,6 +882,22 @@ def w7_unlearnable_labels(spark, sf_dir):
     return spark.createDataFrame(out, "alpha int, largest_difference double")
 
 
+@query()
+def literal_hazard(spark, sf_dir):
+    """How often shares wrap in the published arithmetic and how wrong models get, against exact lanes: narrow types (32, 16) and the published ones (48, 24), 30 epochs of W1."""
+    ex, d, c = workloads.planted_examples(spark, sf_dir)
+    w = workloads.Workload(ex, d, c)
+    times = latency.np_epoch_times(w.rates, 30, 1e6, 1e4, 2)
+    base = baselines.train_central(w.g, w.h, w.m, 30, workloads.LAMBDA, w.mu).theta
+    out = []
+    for k, f in ((32, 16), (48, 24)):
+        for a in ALPHAS:
+            for mode in ("literal", "lifted"):
+                r = train_coded(w.g, w.h, w.m, a, times, workloads.LAMBDA, w.mu, mode=mode, k=k, f=f)
+                out.append((k, f, a, mode, r.notes["wraps"], float(np.abs(r.theta - base).max())))
+    return spark.createDataFrame(out, "k int, f int, alpha int, mode string, wraps long, largest_difference double")
+
+
 # --- workloads -------------------------------------------------------------------------------------------------
 
 
@@ -916,7 +946,7 @@ def w10_scaling(spark, sf_dir):
     """Cost of the moment pass, the sharing phase on tables and one epoch as features and devices grow; rows are those of the scale factor."""
     rows = []
     for q, devices in ((64, 5), (64, 25), (64, 100), (128, 25), (256, 25)):
-        docs = workloads.language_features(spark, sf_dir, q).withColumn("device", F.pmod(F.xxhash64("row_id"), F.lit(devices)).cast("int"))
+        docs = rbf_features(workloads.language_rows(spark, sf_dir), 64, q).withColumn("device", F.pmod(F.xxhash64("row_id"), F.lit(devices)).cast("int"))
         m = moments.device_moments(docs.select("device", "x", "y"), q, 4)
         kept = []
         steps = [measures.engine_measures(spark, "moments", lambda m=m: kept.append(written(m, "scaling")))]

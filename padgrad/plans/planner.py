@@ -20,6 +20,12 @@ def use_moments(n: int, d: int, c: int, epochs: int) -> bool:
     return epochs * 2 * n * d * c > n * d * d + epochs * d * d * c
 
 
+def moment_tasks(partitions: int, data_bytes: int, d: int, c: int, devices_a_task: int = 1, share: float = 0.05) -> int:
+    """Tasks of the moment pass: so few that partial sums (an upper triangle for each device that a task meets) are at most ``share`` of the data."""
+    most = int(share * data_bytes / (4 * d * (d + 1 + 2 * c) * devices_a_task))
+    return max(1, min(partitions, most))
+
+
 def epoch_engine(devices: int, d: int, c: int) -> str:
     return "local" if devices * d * (d + c) <= LOCAL_CELLS else "spark"
 

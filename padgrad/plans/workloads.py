@@ -44,19 +44,19 @@ def planted_examples(spark: SparkSession, sf_dir: str, split: str = "sorted") ->
     return _split(rows, split), 64, 10
 
 
-def language_features(spark: SparkSession, sf_dir: str, q: int, gamma: float = 5.0) -> DataFrame:
-    """``(row_id, x, cls, is_test, y)``: text histograms under random kernel features; the class is the language. Copies of a text stay on one side of the test split."""
+def language_rows(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """``(row_id, x, cls, is_test, y)``: text histograms; the class is the language. Copies of a text stay on one side of the test split."""
     docs = text_histograms(read_table(spark, sf_dir, "documents", "doc_id", "text", "lang"))
     cls = F.array_position(F.array(*[F.lit(v) for v in LANGS]), F.col("lang")).cast("int") - 1
     words = F.lower(F.regexp_replace(F.coalesce("text", F.lit("")), r"\W+", " "))
     # a language outside the list has no output of its own: its row trains all outputs towards 0 and counts as a miss in tests
     rows = docs.select(F.col("doc_id").alias("row_id"), "x", F.coalesce(cls, F.lit(-1)).alias("cls"), (F.pmod(F.xxhash64(words), F.lit(5)) == 0).alias("is_test"))
-    return rbf_features(rows, 64, q, gamma).withColumn("y", one_hot(F.col("cls"), len(LANGS)))
+    return rows.withColumn("y", one_hot(F.col("cls"), len(LANGS)))
 
 
 def language_examples(spark: SparkSession, sf_dir: str, q: int = 256, gamma: float = 5.0, split: str = "sorted") -> tuple[DataFrame, int, int]:
-    """W2: the language of documents."""
-    return _split(language_features(spark, sf_dir, q, gamma), split), q, len(LANGS)
+    """W2: the language of documents under random kernel features, which are made after the split so that no shuffle carries them."""
+    return rbf_features(_split(language_rows(spark, sf_dir), split), 64, q, gamma), q, len(LANGS)
 
 
 def role_examples(spark: SparkSession, sf_dir: str, split: str = "sorted") -> tuple[DataFrame, int, int]:

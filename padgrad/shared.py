@@ -24,8 +24,23 @@ def shared_root(spark: SparkSession) -> str:
     return found.rstrip("/")
 
 
+#: Paths given out to this session, for ``clean_up``.
+_given: list[tuple[str, str]] = []
+
+
 def fresh_path(spark: SparkSession, tag: str) -> str:
-    return f"{shared_root(spark)}/padgrad/{tag}-{uuid.uuid4().hex}"
+    path = f"{shared_root(spark)}/padgrad/{tag}-{uuid.uuid4().hex}"
+    _given.append((spark.sparkContext.applicationId, path))
+    return path
+
+
+def clean_up(spark: SparkSession) -> int:
+    """Deletes everything that this session wrote through ``fresh_path``; to be called when its results have been read. Gives the number of paths."""
+    own = [p for app, p in _given if app == spark.sparkContext.applicationId]
+    for path in own:
+        drop_path(spark, path)
+    _given[:] = [x for x in _given if x[1] not in set(own)]
+    return len(own)
 
 
 #: Paths written within the innermost open ``scratch`` block of this thread.

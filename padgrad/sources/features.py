@@ -8,7 +8,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from padgrad.functions.keys import uniform
+from padgrad.functions.keys import np_prf60, uniform
 
 
 def text_histograms(docs: DataFrame, bins: int = 64, unit: bool = True) -> DataFrame:
@@ -37,9 +37,16 @@ def rbf_matrix(d_in: int, q: int, gamma: float, seed: int) -> tuple[np.ndarray,
     return g.standard_normal((d_in, q)) * np.sqrt(2 * gamma), g.uniform(0, 2 * np.pi, q)
 
 
-def rbf_features(df: DataFrame, d_in: int, q: int = 2000, gamma: float = 5.0, seed: int = 1, column: str = "x") -> DataFrame:
-    """``column`` replaced by ``q`` random features ``sqrt(2/q) cos(x W + b)``; rows are mapped in Arrow batches."""
-    w, b = rbf_matrix(d_in, q, gamma, seed)
+def keyed_matrix(d_in: int, q: int, gamma: float, seed: str) -> tuple[np.ndarray, np.ndarray]:
+    """The frequencies and phases of ``rbf_features_sql``: keyed hashes, two for each cell."""
+    u = np.array([[[(np_prf60(seed, t, k, i) + 0.5) / 2.0**60 for k in range(q)] for i in range(d_in)] for t in ("w1", "w2")])
+    phase = np.array([(np_prf60(seed, "b", k) + 0.5) / 2.0**60 for k in range(q)])
+    return np.sqrt(-2 * np.log(u[0])) * np.cos(2 * np.pi * u[1]) * np.sqrt(2 * gamma), 2 * np.pi * phase
+
+
+def rbf_features(df: DataFrame, d_in: int, q: int = 2000, gamma: float = 5.0, seed: int | str = 1, column: str = "x") -> DataFrame:
+    """``column`` replaced by ``q`` random features ``sqrt(2/q) cos(x W + b)``; rows are mapped in Arrow batches. A text as seed draws by keyed hashes."""
+    w, b = keyed_matrix(d_in, q, gamma, seed) if isinstance(seed, str) else rbf_matrix(d_in, q, gamma, seed)
     shared = df.sparkSession.sparkContext.broadcast((w, b))
 
     def embed(batches):

@@ -161,3 +161,18 @@ def test_readers_of_other_formats(spark, tmp_path):
     df.withColumn("x", F.to_json("x")).write.option("header", True).option("escape", '"').csv(str(tmp_path / "csv"))
     got = read_examples(spark, str(tmp_path / "csv"), "csv", "device INT, x ARRAY<DOUBLE>, n BIGINT")
     assert sorted(map(tuple, got.collect())) == rows
+
+
+def test_clean_up_deletes_what_the_session_wrote(spark):
+    import os
+
+    from padgrad import shared
+
+    given, shared._given = shared._given, []
+    try:
+        shared.written(spark.range(3).toDF("id"), "gone")
+        (_, path) = shared._given[0]
+        place = path.removeprefix("file://")
+        assert os.path.isdir(place) and shared.clean_up(spark) == 1 and not os.path.isdir(place)
+    finally:
+        shared._given = given

@@ -124,4 +124,5 @@ def test_latency_laws():
 def test_planner():
     assert planner.use_moments(10**9, 2000, 10, 500)
     assert not planner.use_moments(100, 2000, 10, 1)
+    assert planner.moment_tasks(800_000, 10**14, 2000, 10) < 400_000 and planner.moment_tasks(8, 10**9, 64, 10) == 8
     assert planner.lanes_suffice(2000) and planner.decoder_plan(25, 16) == "on_demand" and planner.epoch_engine(25, 64, 10) == "local"

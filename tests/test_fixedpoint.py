@@ -95,6 +95,9 @@ def test_device_seeds_make_the_shared_pads(spark):
 
     seed = hashlib.sha256(b"master:device:1").hexdigest()
     assert cells[1].c01 == keys.np_prf60(seed, "xi", 0, 1, 0) % fx.PRIMES[0]
+    wide = own.select(*[keys.lane_of_digest(keys.wide_digest(F.col("seed"), "xi", F.lit(3), F.lit(2)), lane, fx.PRIMES[lane]).alias(f"l{lane}") for lane in (0, 4)]).collect()[1]
+    bits = hashlib.sha512(f"{seed}:xi:2:3".encode()).hexdigest()
+    assert [wide.l0, wide.l4] == [int(bits[:15], 16) % fx.PRIMES[0], int(bits[60:75], 16) % fx.PRIMES[4]]
 
 
 def test_lehmer_generator(spark):
