@@ -169,12 +169,15 @@ def train_coded(g, h, m, alpha, times, lam=9e-6, mu=None, epochs=None, mode="lif
     start = theta.copy()
     devices = CodedDevices(g, g @ theta - h, alpha, mode, seed, k, f, kind)
     keep = len(g) - alpha + 1
-    elapsed, trace = offset, []
+    elapsed, trace, notes = offset, [], {}
     for e in range(1, (epochs or len(times)) + 1):
         order = np.argsort(times[e - 1], kind="stable")[:keep]
         elapsed += float(times[e - 1][order[-1]]) + server_s
         change = theta - start
         if mode != "clear":
+            if not np.abs(change).max() < 2.0 ** (k - 1 - f):  # only wraps of literal shares lead here
+                notes["left_type_at"] = e
+                break
             change = quantised_model(change, f)
             theta = start + change
         nxt = step(theta, devices.gradient_sum(change, order) / m + lam * theta, mu(e))
@@ -184,7 +187,7 @@ def train_coded(g, h, m, alpha, times, lam=9e-6, mu=None, epochs=None, mode="lif
             trace.append({"epoch": e, "elapsed_s": elapsed, **evaluate(theta)})
         if moved <= tol:
             break
-    return TrainResult(theta, trace, {"wraps": devices.wraps, "elapsed_s": elapsed})
+    return TrainResult(theta, trace, {"wraps": devices.wraps, "elapsed_s": elapsed, **notes})
 
 
 class CodedTables:
