@@ -65,7 +65,7 @@ class CodedDevices:
         if mode not in MODES:
             raise ValueError(f"mode must be one of {MODES}")
         self.D, self.d, self.c, self.alpha, self.mode, self.k, self.f = len(g), g.shape[1], first.shape[2], alpha, mode, k, f
-        self.wraps = 0
+        self.wraps = self.coded_wraps = 0
         self._weights: dict[frozenset, object] = {}
         if mode == "field":
             self.codes = [field_encoder(self.D, alpha, p, seed) for p in PRIMES]
@@ -90,6 +90,9 @@ class CodedDevices:
         self.wraps = int((phi != x + xi).sum() + (psi != y + delta).sum())
         self.bar, self.own = self._combine(phi), self._combine(psi)
         self.key_bar, self.key_own = self._combine(xi), self._combine(delta)
+        # a coded moment and its coded pad that wrapped apart: the product with the model then differs by a multiple that is no multiple of 2^k
+        apart = self.bar - self.key_bar
+        self.coded_wraps = int((apart != np_wrap(apart, self.k)).sum())
 
     def _combine(self, parts):
         out = np.zeros((self.D, *parts.shape[1:]), np.int64)
@@ -187,7 +190,7 @@ def train_coded(g, h, m, alpha, times, lam=9e-6, mu=None, epochs=None, mode="lif
             trace.append({"epoch": e, "elapsed_s": elapsed, **evaluate(theta)})
         if moved <= tol:
             break
-    return TrainResult(theta, trace, {"wraps": devices.wraps, "elapsed_s": elapsed, **notes})
+    return TrainResult(theta, trace, {"wraps": devices.wraps, "coded_wraps": devices.coded_wraps, "elapsed_s": elapsed, **notes})
 
 
 class CodedTables:

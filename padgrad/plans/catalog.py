@@ -884,7 +884,7 @@ def w7_unlearnable_labels(spark, sf_dir):
 
 @query()
 def literal_hazard(spark, sf_dir):
-    """How often shares wrap in the published arithmetic and how wrong models get, against exact lanes: narrow types (32, 16) and the published ones (48, 24), 30 epochs of W1. ``left_type_at``: the epoch whose model no longer fits the type."""
+    """How often shares wrap, and coded shares wrap apart from their pads, in the published arithmetic and how wrong models get, against exact lanes: narrow types (32, 16) and the published ones (48, 24), 30 epochs of W1. ``left_type_at``: the epoch whose model no longer fits the type."""
     ex, d, c = workloads.planted_examples(spark, sf_dir)
     w = workloads.Workload(ex, d, c)
     times = latency.np_epoch_times(w.rates, 30, 1e6, 1e4, 2)
@@ -894,8 +894,8 @@ def literal_hazard(spark, sf_dir):
         for a in ALPHAS:
             for mode in ("literal", "lifted"):
                 r = train_coded(w.g, w.h, w.m, a, times, workloads.LAMBDA, w.mu, mode=mode, k=k, f=f)
-                out.append((k, f, a, mode, r.notes["wraps"], float(np.abs(r.theta - base).max()), r.notes.get("left_type_at")))
-    return spark.createDataFrame(out, "k int, f int, alpha int, mode string, wraps long, largest_difference double, left_type_at int")
+                out.append((k, f, a, mode, r.notes["wraps"], r.notes["coded_wraps"], float(np.abs(r.theta - base).max()), r.notes.get("left_type_at")))
+    return spark.createDataFrame(out, "k int, f int, alpha int, mode string, wraps long, coded_wraps long, largest_difference double, left_type_at int")
 
 
 # --- workloads -------------------------------------------------------------------------------------------------
