@@ -50,38 +50,42 @@ class PieceTokenizer:
         #: Latin letters as the characters of their bytes.
         self.letters = {k: "".join(self.chars[b] for b in chr(k).encode()) for k in range(33, 256)}
         self.model = self.tok.model
-        self.index: dict = {}
-        self.forget = lambda: None
-        self._turn()
-
-    def _turn(self) -> None:
-        """Starts a new generation of the cache; pieces still in use are copied over from the last one."""
-        self.forget()
-        old = self.old = (self.index, self.flat, self.ends, {*self.lead}, {*self.tail}) if self.index else None
         self.parts: dict[str, list[int]] = {}
-        flat = self.flat = array("I")  # the ids of piece k: flat[ends[k] : ends[k + 1]]
-        ends = self.ends = array("q", [0])
+        self.table = self._table()
+        self.index: dict[str, int] = self.table()
+        self.flat, self.ends = array("I"), array("q", [0])  # the ids of piece k: flat[ends[k] : ends[k + 1]]
         self.lead, self.tail = [], []  # pieces that begin or end with white space
-        add, part, tokenize, plain, letters = self._add, self._part, self.model.tokenize, _PLAIN.match, self.letters
+        self.used = np.zeros(0, bool)  # pieces met again in a later run of texts than their first, since the last turn
+
+    def _turn(self) -> None:
+        """Makes room: only pieces in use stay, and at most half of the cache."""
+        used = self.used
+        kept = [(piece, k) for piece, k in self.index.items() if used[k]][-(self.max_pieces // 2) :]
+        self.parts = {}
+        self.index = self.table()  # the pieces that go are freed before the new table fills
+        at = np.array([k for _, k in kept], np.int64)
+        flat, ends = np.frombuffer(self.flat, np.uint32), np.frombuffer(self.ends, np.int64)
+        start, n = ends[at], ends[at + 1] - ends[at]
+        stops = np.cumsum(n)
+        ids = flat[np.repeat(start - (stops - n), n) + np.arange(n.sum())]
+        edge = np.zeros((2, len(ends)), bool)
+        edge[0, self.lead], edge[1, self.tail] = True, True
+        self.lead, self.tail = (np.flatnonzero(e[at]).tolist() for e in edge)
+        del flat, ends
+        self.flat, self.ends = array("I", ids.tobytes()), array("q", np.append(0, stops).tobytes())
+        self.index = self.table((piece, k) for k, (piece, _) in enumerate(kept))
+        self.used = np.zeros(len(kept), bool)
+
+    def _table(self) -> type:
+        """Tables of pieces that take in what they lack."""
+        mine, tokenize, plain, letters = self, self.model.tokenize, _PLAIN.match, self.letters
         spaced = self.space_joins
-        before, was, stops, edges = (old[0].get, old[1], old[2], old[3] | old[4]) if old else ({}.get, flat, ends, ())
         gap = self.chars[32] if spaced else ""
 
-        def forget():
-            """Lets go of the generation before this one."""
-            nonlocal before, was, stops, edges
-            before, was, stops, edges = {}.get, None, None, ()
-
         class Index(dict):
             def __missing__(self, piece):
-                if (k := before(piece)) is not None:
-                    if k in edges:
-                        k = add(piece)
-                    else:
-                        flat.extend(was[stops[k] : stops[k + 1]])
-                        ends.append(len(flat))
-                        k = len(ends) - 2
-                elif piece.isascii() and piece.isalpha():
+                flat, ends = mine.flat, mine.ends
+                if piece.isascii() and piece.isalpha():
                     flat.extend(map(_ID, tokenize(gap + piece if spaced else piece.lower())))
                     ends.append(len(flat))
                     k = len(ends) - 2
@@ -90,18 +94,18 @@ class PieceTokenizer:
                     if marks:
                         k = self[word]
                         flat.extend(flat[ends[k] : ends[k + 1]])
-                        flat.extend(part(marks))
+                        flat.extend(mine._part(marks))
                     else:
                         s = word if spaced else word.lower()
                         flat.extend(map(_ID, tokenize(gap + (s if s.isascii() else s.translate(letters)))))
                     ends.append(len(flat))
                     k = len(ends) - 2
                 else:
-                    k = add(piece)
+                    k = mine._add(piece)
                 self[piece] = k
                 return k
 
-        self.index, self.forget = Index(), forget
+        return Index
 
     def _model(self, s: str) -> list[int]:
         if not self.space_joins:
@@ -133,9 +137,6 @@ class PieceTokenizer:
         return k
 
     def _add(self, piece: str) -> int:
-        if self.old and (k := self.old[0].get(piece)) is not None:
-            _, flat, ends, lead, tail = self.old
-            return self._edge(flat[ends[k] : ends[k + 1]], k in lead, k in tail)
         gap = piece[0] if piece and piece[0] in _GAPS else ""
         body = piece[1:] if gap else piece
         if m := _PLAIN.match(body):
@@ -160,7 +161,7 @@ class PieceTokenizer:
         """All ids end to end (uint32), and the number of ids of each text. Null counts as empty."""
         if max(len(self.index), len(self.parts)) > self.max_pieces or len(self.flat) > 16 * self.max_pieces:
             self._turn()
-        index = self.index
+        index, before = self.index, len(self.used)
         rows = []
         for text in texts:
             if not text:
@@ -181,6 +182,8 @@ class PieceTokenizer:
         if not texts or not sum(map(len, rows)):
             return np.zeros(0, np.uint32), np.zeros(len(texts), np.int64)
         row = np.concatenate(rows)
+        self.used[row[row < before]] = True
+        self.used = np.append(self.used, np.zeros(len(self.ends) - 1 - before, bool))
         flat, edges = np.frombuffer(self.flat, np.uint32), np.frombuffer(self.ends, np.int64)
         start = edges[row]
         n = edges[row + 1] - start

@@ -1,4 +1,4 @@
-"""Memory of Python workers, which Spark keeps from stage to stage."""
+"""Memory of executors and their Python workers, which Spark keeps from stage to stage."""
 
 from __future__ import annotations
 
@@ -7,6 +7,8 @@ import gc
 import sys
 
 import pyarrow as pa
+from pyspark.sql import SparkSession
+from pyspark.sql import functions as F
 
 _stage = ""
 
@@ -24,3 +26,12 @@ def tidy(stage: str) -> None:
     pa.default_memory_pool().release_unused()
     if hasattr(libc := ctypes.CDLL(None), "malloc_trim"):  # glibc
         libc.malloc_trim(0)
+
+
+def shrink_heaps(spark: SparkSession) -> None:
+    """Executors collect their garbage and give free heap back to the system, so that what earlier stages let it grow to is not held beside this stage's Python workers.
+
+    A task for each core; an executor that is busy or gets none only stays as it is. Results never depend on it.
+    """
+    n = spark.sparkContext.defaultParallelism
+    spark.range(0, n, 1, n).select(F.reflect(F.lit("java.lang.System"), F.lit("gc"))).collect()  # a null for each

@@ -268,6 +268,34 @@ def test_tokenizer_is_the_library():
                     at += k
 
 
+def test_piece_cache_holds_one_generation():
+    """Memory stays that of one full table, words in use stay in it, ids stay the library's."""
+    import tracemalloc
+
+    import public_tokenizers
+    from padgrad.llm.tokenizing import PieceTokenizer
+    from tokenizers import Tokenizer
+
+    path, rng = public_tokenizers.path("byte_bpe_50k.json"), np.random.default_rng(3)
+    words = ["".join(chr(97 + c) for c in rng.integers(0, 26, 9)) for _ in range(60_000)]
+    runs = [[f"the use of {' '.join(words[at : at + 500])}."] * 2 for at in range(0, len(words), 500)]
+
+    def held(most):
+        t = PieceTokenizer(path, True, max_pieces=most)
+        tracemalloc.start()
+        for k, run in enumerate(runs if most < 10_000 else runs[:20]):
+            ids, n = t.encode(run)
+            if not k % 20:
+                assert ids[: n[0]].tolist() == library.encode(run[0], add_special_tokens=False).ids
+        got = tracemalloc.get_traced_memory()[1]
+        tracemalloc.stop()
+        assert "use" in t.index and "of" in t.index
+        return got
+
+    library = Tokenizer.from_file(path)
+    assert held(9_500) < 1.3 * held(10_000)  # the second has 20 runs, 10 000 pieces and no turn
+
+
 def test_token_files(spark, docs, none):
     import public_tokenizers
     from tokenizers import Tokenizer
