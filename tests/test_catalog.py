@@ -176,3 +176,10 @@ def test_clean_up_deletes_what_the_session_wrote(spark):
         assert os.path.isdir(place) and shared.clean_up(spark) == 1 and not os.path.isdir(place)
     finally:
         shared._given = given
+
+
+def test_costs_follow_the_table(spark, tmp_path):
+    rows = [([0.0] * 8, k % 3) for k in range(500)]
+    spark.createDataFrame(rows, "embedding array<float>, label int").write.parquet(str(tmp_path / "embeddings.parquet"))
+    got = {(r.scheme, r.d, r.alpha): r.macs for r in catalog.cost_table(spark, str(tmp_path)).collect()}
+    assert got["coded", 8, 1] == 8 * 8 * 3 and got["minibatch", 8, 1] == 2 * 4 * 8 * 3 and got["encode", 8, 6] == 6 * 8 * 11
